@@ -1,0 +1,15 @@
+"""Registry of the queries outside the corpus operators."""
+
+from __future__ import annotations
+
+
+def flagship(spark, sf_dir):
+    raise NotImplementedError
+
+
+def queries():
+    return {}
+
+
+def oracle_sql():
+    return {}
