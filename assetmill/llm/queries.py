@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import os
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from assetmill.llm import mixing, sharding
+from assetmill.llm import bytepair, mixing, secrets, sharding
 from assetmill.plans.scratch import Scratch
-from assetmill.plans.ship import ship
 from assetmill.sources.tables import table
 
 
@@ -23,8 +24,24 @@ def op6_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
         return sharding.shard(table(spark, sf_dir, "documents"), scratch)
 
 
+def op5_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secrets.scan(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base", 256).alias("base_sha256"), "spans")
+
+
+def tokenizer_path() -> str:
+    """The byte-level vocabulary among the public tokenizers of this machine."""
+    import public_tokenizers
+
+    return os.environ.get("ASSETMILL_TOKENIZER") or str(public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def op7_bytepair(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bytepair.encode(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_mix": op1_mix, "op6_shard": op6_shard}
+    return {"op1_mix": op1_mix, "op5_secrets": op5_secrets, "op6_shard": op6_shard, "op7_bytepair": op7_bytepair}
 
 
 MIX_SQL = r"""
