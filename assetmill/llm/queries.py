@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from assetmill.llm import bytepair, mixing, secrets, sharding
+from assetmill.llm import bytepair, digest, language, mixing, secrets, sharding, simhash, toxicity, vectors
 from assetmill.plans.scratch import Scratch
 from assetmill.sources.tables import table
 
@@ -24,6 +24,28 @@ def op6_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
         return sharding.shard(table(spark, sf_dir, "documents"), scratch)
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents: the text, markup inside it if there is any, and the source in the place of a host."""
+    docs = table(spark, sf_dir, "documents")
+    with Scratch(spark, "language") as scratch:
+        return language.identify(docs, scratch, declared=language.markup_language(F.col("text")))
+
+
+def op4_language_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages: visible text, declared language, address suffix and host; fitted on labelled documents."""
+    pages = table(spark, sf_dir, "pages").select(F.col("page_id").alias("doc_id"), "url", "html", language.visible_text(F.col("html")).alias("text"))
+    model = language.fit(table(spark, sf_dir, "documents"))
+    host = language.address_host(F.col("url"))
+    with Scratch(spark, "language") as scratch:
+        out = language.identify(pages, scratch, host=host, suffix=F.substring_index(host, ".", -1), declared=language.markup_language(F.col("html")), model=model)
+    return out.withColumnRenamed("doc_id", "page_id")
+
+
 def op5_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secrets.scan(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base", 256).alias("base_sha256"), "spans")
@@ -40,8 +62,25 @@ def op7_bytepair(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bytepair.encode(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "simhash") as scratch:
+        return simhash.near_duplicates(table(spark, sf_dir, "documents"), scratch).drop("copies")
+
+
+def op9_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "vectors") as scratch:
+        return vectors.near_vectors(table(spark, sf_dir, "embeddings"), scratch)
+
+
+def op10_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return digest.edited_likeness(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_mix": op1_mix, "op5_secrets": op5_secrets, "op6_shard": op6_shard, "op7_bytepair": op7_bytepair}
+    return {
+        "op1_mix": op1_mix, "op2_toxicity": op2_toxicity, "op4_language": op4_language, "op4_language_pages": op4_language_pages, "op5_secrets": op5_secrets, "op6_shard": op6_shard,
+        "op7_bytepair": op7_bytepair, "op8_simhash": op8_simhash, "op9_vectors": op9_vectors, "op10_digest": op10_digest,
+    }
 
 
 MIX_SQL = r"""
