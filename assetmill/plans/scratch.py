@@ -37,11 +37,14 @@ class Scratch:
     def __init__(self, spark: SparkSession, tag: str):
         self.spark = spark
         self.root = f"{scratch_root(spark)}/{tag}-{uuid.uuid4().hex[:12]}"
+        self.turns: dict[str, int] = {}
 
     def path(self, name: str) -> str:
-        return f"{self.root}/{name}"
+        """Where the latest table of this name is."""
+        return f"{self.root}/{name}.{self.turns.get(name, 0)}" if name else self.root
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
+        self.turns[name] = self.turns.get(name, 0) + 1
         target = self.path(name)
         df.write.mode("errorifexists").parquet(target)
         return self.spark.read.schema(df.schema).parquet(target)
