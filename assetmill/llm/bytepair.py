@@ -236,3 +236,26 @@ def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFra
 
     names = ("ids_sha256", "decoded_sha256") if digest else ("ids", "decoded")
     return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string")
+
+
+def token_rows(docs: DataFrame, tokenizer_path: str) -> DataFrame:
+    """One row per document: doc_id, n_tokens, ids (array of int), decoded_sha256. Nulls and empty texts as
+    in ``encode``."""
+    with open(tokenizer_path, "rb") as f:
+        sent = docs.sparkSession.sparkContext.broadcast(f.read())
+
+    def make():
+        from hashlib import sha256
+
+        import numpy as np
+
+        table = _loaded(sent.value)
+
+        def one(doc_id, buf):
+            ids, n, back = table.encode(buf.decode("utf-8", "replace"))
+            found = np.fromstring(ids, dtype=np.int32, sep=",") if n else np.zeros(0, dtype=np.int32)
+            return doc_id, n, found, sha256(back.decode("utf-8", "replace").encode()).hexdigest()
+
+        return one
+
+    return map_rows(docs.select("doc_id", raw_text()), make, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string")
