@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from assetmill.llm import bytepair, digest, language, mixing, secrets, sharding, simhash, toxicity, vectors
+from assetmill.llm import bytepair, digest, language, mixing, secrets, sharding, simhash, suffixes, toxicity, vectors
 from assetmill.plans.scratch import Scratch
 from assetmill.sources.tables import table
 
@@ -29,6 +29,11 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op3_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    with Scratch(spark, "repeats") as scratch:
+        return suffixes.remove_repeats(table(spark, sf_dir, "documents"), scratch)
+
+
 def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents: the text, markup inside it if there is any, and the source in the place of a host."""
     docs = table(spark, sf_dir, "documents")
@@ -78,7 +83,7 @@ def op10_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
-        "op1_mix": op1_mix, "op2_toxicity": op2_toxicity, "op4_language": op4_language, "op4_language_pages": op4_language_pages, "op5_secrets": op5_secrets, "op6_shard": op6_shard,
+        "op1_mix": op1_mix, "op2_toxicity": op2_toxicity, "op3_repeats": op3_repeats, "op4_language": op4_language, "op4_language_pages": op4_language_pages, "op5_secrets": op5_secrets, "op6_shard": op6_shard,
         "op7_bytepair": op7_bytepair, "op8_simhash": op8_simhash, "op9_vectors": op9_vectors, "op10_digest": op10_digest,
     }
 
