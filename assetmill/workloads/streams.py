@@ -1 +1,65 @@
-QUERIES = {}
+"""Structured Streaming twins of the event workloads, run to the end of their input.
+
+Each reads the event file as a stream, writes Parquet under a checkpoint in the shared folder and returns
+what the sink holds, which equals the batch query's rows.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from assetmill.plans.scratch import Scratch
+from assetmill.sources.tables import table
+
+
+def _stream(spark: SparkSession, d: str) -> DataFrame:
+    schema = table(spark, d, "events").schema
+    return spark.readStream.schema(schema).parquet(f"{d}/events.parquet*").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def _finish(spark: SparkSession, df: DataFrame, tag: str, mode: str = "append") -> DataFrame:
+    with Scratch(spark, tag) as s:
+        out = s.path("sink")
+        if mode == "append":
+            q = df.writeStream.format("parquet").option("path", out).option("checkpointLocation", s.path("log")).trigger(availableNow=True).start()
+        else:  # the whole result of each batch replaces the one before, so a repeated batch does no harm
+            q = df.writeStream.outputMode(mode).foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(out)).option("checkpointLocation", s.path("log")).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return spark.read.schema(df.schema).parquet(out)
+
+
+def tumbling(spark, d):
+    g = _stream(spark, d).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("event_type") == "error").cast("long")).alias("failed"))
+    return _finish(spark, g.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n", "failed"), "st-tumbling", "complete")
+
+
+def sliding(spark, d):
+    g = _stream(spark, d).groupBy(F.window("ts", "2 hours", "30 minutes").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+    return _finish(spark, g.select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n"), "st-sliding", "complete")
+
+
+def dedup(spark, d):
+    g = _stream(spark, d).withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
+    return _finish(spark, g.select("event_id", "user_id"), "st-dedup")
+
+
+def static_join(spark, d):
+    c = table(spark, d, "customer").select("c_custkey", "c_mktsegment")
+    g = _stream(spark, d).where("event_type = 'purchase'").join(c, F.col("user_id") == F.col("c_custkey"))
+    return _finish(spark, g.select("event_id", "c_mktsegment"), "st-static")
+
+
+def stream_join(spark, d):
+    a = _stream(spark, d).where("event_type = 'error'").select(F.col("user_id").alias("u1"), F.col("ts").alias("t1"), F.col("event_id").alias("e1")).withWatermark("t1", "1 hour")
+    b = _stream(spark, d).where("event_type = 'signup'").select(F.col("user_id").alias("u2"), F.col("ts").alias("t2"), F.col("event_id").alias("e2")).withWatermark("t2", "1 hour")
+    return _finish(spark, a.join(b, F.expr("u1 = u2 AND t1 >= t2 AND t1 <= t2 + INTERVAL 1 HOUR")).select("e1", "e2"), "st-join")
+
+
+QUERIES = {
+    "st_tumbling": (tumbling, "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) AS n, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1"),
+    "st_sliding": (sliding, "SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS start, count(*) AS n FROM events, range(4) r(k) GROUP BY 1"),
+    "st_dedup": (dedup, "SELECT DISTINCT event_id, user_id FROM events"),
+    "st_join_static": (static_join, "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey WHERE event_type = 'purchase'"),
+    "st_join_stream": (stream_join, "SELECT a.event_id AS e1, b.event_id AS e2 FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'error' AND b.event_type = 'signup' AND a.ts BETWEEN b.ts AND b.ts + INTERVAL 1 HOUR"),
+}
