@@ -245,29 +245,57 @@ def _classes(batches):
 _SENT = "kind int, key long, digest long, ord long, pos long, bytes binary"
 
 
+#: Different strings that a task holds before it passes them on.
+HELD_STRINGS = 300_000
+
+
 def _fetch(batches):
     """Rows (ord, text, wanted): the bytes of segments (kind 2), and of classes with too many the digests of
-    their single strings (kind 3)."""
+    their single strings (kind 3). Of equal strings seen by one task only the earliest is sent on, the
+    others are marks already (kind 1: first start in pos, last in digest)."""
     from xxhash import xxh3_128_intdigest
 
+    earliest: dict[int, tuple[int, int]] = {}
+    out: list[tuple] = []
+
+    def passed_on():
+        for x, (o, s) in earliest.items():
+            out.append((3, (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63), o, s, None))
+        earliest.clear()
+
     for batch in batches:
-        out = []
-        for ord_, buf, wanted in zip(*(c for c in batch.columns)):
-            buf, view = buf.as_py(), None
+        for ord_, buf, wanted in zip(*batch.columns):
+            o, buf = ord_.as_py(), buf.as_py()
+            view = memoryview(buf)
             for w in wanted.as_py():
-                at, lo, hi = unpack(w["pos"])
+                _, lo, hi = unpack(w["pos"])
                 if w["kind"] == 2:
-                    out.append((2, w["key"], 0, ord_.as_py(), w["pos"], buf[lo : hi + LENGTH]))
-                else:
-                    view = view or memoryview(buf)
-                    for s in range(lo, hi + 1):
-                        x = xxh3_128_intdigest(view[s : s + LENGTH])
-                        out.append((3, (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63), ord_.as_py(), s, None))
+                    out.append((2, w["key"], 0, o, w["pos"], buf[lo : hi + LENGTH]))
+                    continue
+                run = None
+                for s in range(lo, hi + 1):
+                    x = xxh3_128_intdigest(view[s : s + LENGTH])
+                    held = earliest.setdefault(x, (o, s))
+                    late = (o, s) if held < (o, s) else None
+                    if held > (o, s):
+                        earliest[x] = (o, s)
+                        out.append((1, 0, held[1], held[0], held[1], None))
+                    if late and run and run[1] == s - 1:
+                        run[1] = s
+                    elif late:
+                        if run:
+                            out.append((1, 0, run[1], o, run[0], None))
+                        run = [s, s]
+                if run:
+                    out.append((1, 0, run[1], o, run[0], None))
+            if len(earliest) > HELD_STRINGS:
+                passed_on()
             if len(out) > 20_000:
                 yield _batch(_SENT, *zip(*out))
                 out = []
-        if out:
-            yield _batch(_SENT, *zip(*out))
+    passed_on()
+    for at in range(0, len(out), 50_000):
+        yield _batch(_SENT, *zip(*out[at : at + 50_000]))
 
 
 # --- one class ----------------------------------------------------------------------------------
@@ -430,7 +458,8 @@ def remove_repeats(docs: DataFrame, scratch: Scratch, keep_text: bool = False) -
     later = strings.join(earliest, (F.col("key") == F.col("k")) & (F.col("digest") == F.col("g"))).where(F.struct("ord", "first") != F.col("e")).select("ord", "first", F.col("first").alias("last"))
     at, low = F.shiftright("pos", 16), F.shiftright("pos", 8).bitwiseAND(F.lit(255))
     whole = found.where("kind = 1").select("ord", (at - low).alias("first"), (at - low + F.col("pos").bitwiseAND(F.lit(255))).alias("last"))
-    marks = whole.union(compared).union(later).groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("first", "last")).alias("m"))
+    seen = sent.where("kind = 1").select("ord", F.col("pos").alias("first"), F.col("digest").alias("last"))
+    marks = whole.union(compared).union(seen).union(later).groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("first", "last")).alias("m"))
     ddl = f"doc_id long, n_bytes long, n_removed long, n_spans long, {'kept binary' if keep_text else 'kept_sha256 string'}"
     joined = rows.join(marks, F.col("ord") == F.col("o"), "left").select("doc_id", "text", F.col("m.first").alias("first"), F.col("m.last").alias("last"))
     return joined.mapInArrow(lambda batches: _remove(batches, ddl, keep_text), ddl)
