@@ -27,7 +27,7 @@ PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S
 PRINTABLE = (range(33, 127), range(161, 173), range(174, 256))
 
 #: Encodings that a worker remembers, of pieces and of space-cut chunks, in each of two generations.
-CACHED_PIECES, CACHED_CHUNKS = 150_000, 80_000
+CACHED_PIECES, CACHED_CHUNKS = 250_000, 250_000
 #: Pairs of tokens whose compatibility a worker remembers.
 CACHED_PAIRS = 400_000
 _NEVER = 1 << 60
