@@ -29,7 +29,7 @@ PRINTABLE = (range(33, 127), range(161, 173), range(174, 256))
 #: Encodings that a worker remembers, of pieces and of space-cut chunks, in each of two generations.
 CACHED_PIECES, CACHED_CHUNKS = 250_000, 250_000
 #: Pairs of tokens whose compatibility a worker remembers.
-CACHED_PAIRS = 400_000
+CACHED_PAIRS = 300_000
 _NEVER = 1 << 60
 
 
@@ -63,7 +63,7 @@ class Remembered(dict):
 class BytePairs:
     """Encoder and decoder for a tokenizer file of byte-level byte pairs."""
 
-    def __init__(self, source: bytes):
+    def __init__(self, source: bytes, cached_pieces: int = CACHED_PIECES, cached_chunks: int = CACHED_CHUNKS):
         spec = json.loads(source)
         letters = {c: b for b, c in enumerate(byte_letters())}
         as_bytes = lambda s: bytes(letters[c] for c in s)
@@ -97,8 +97,8 @@ class BytePairs:
         self.pieces = regex.compile(PIECES)
         self.special_split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.fits: dict[int, bool] = {}
-        self._known_pieces = Remembered(self._piece, CACHED_PIECES)
-        self._known_chunks = Remembered(lambda word: self._chunk(" " + word), CACHED_CHUNKS)
+        self._known_pieces = Remembered(self._piece, cached_pieces)
+        self._known_chunks = Remembered(lambda word: self._chunk(" " + word), cached_chunks)
 
     def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The parts on one edge of a token, from its byte to itself, each with the rank of the merge that
@@ -197,15 +197,15 @@ class BytePairs:
 
 _SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
-_LOADED: dict[int, BytePairs] = {}
+_LOADED: dict[tuple, BytePairs] = {}
 
 
-def _loaded(source: bytes) -> BytePairs:
+def _loaded(source: bytes, *cached: int) -> BytePairs:
     """One table a worker, kept between tasks."""
-    key = hash(source)
+    key = (hash(source), *cached)
     if key not in _LOADED:
         _LOADED.clear()
-        _LOADED[key] = BytePairs(source)
+        _LOADED[key] = BytePairs(source, *cached)
     return _LOADED[key]
 
 
@@ -238,9 +238,9 @@ def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFra
     return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string")
 
 
-def token_rows(docs: DataFrame, tokenizer_path: str) -> DataFrame:
+def token_rows(docs: DataFrame, tokenizer_path: str, cached_pieces: int = 120_000, cached_chunks: int = 100_000) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids (array of int), decoded_sha256. Nulls and empty texts as
-    in ``encode``."""
+    in ``encode``. Workers that go on to other stages keep what they remember, so they remember less here."""
     with open(tokenizer_path, "rb") as f:
         sent = docs.sparkSession.sparkContext.broadcast(f.read())
 
@@ -249,7 +249,7 @@ def token_rows(docs: DataFrame, tokenizer_path: str) -> DataFrame:
 
         import numpy as np
 
-        table = _loaded(sent.value)
+        table = _loaded(sent.value, cached_pieces, cached_chunks)
 
         def one(doc_id, buf):
             ids, n, back = table.encode(buf.decode("utf-8", "replace"))
