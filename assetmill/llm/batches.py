@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -31,12 +32,26 @@ def arrow_schema(ddl: str) -> pa.Schema:
     return pa.schema([pa.field(n, kinds[k]) for n, k in (x.strip().split(" ") for x in ddl.split(","))])
 
 
-def map_rows(df: DataFrame, make: Callable[[], Callable[..., tuple]], ddl: str) -> DataFrame:
+_HELD: dict[str, dict] = {}
+
+
+def held(owner: str) -> dict:
+    """What an operator keeps in this worker between tasks; what others keep is freed."""
+    others = [kept for name, kept in _HELD.items() if name != owner and kept]
+    for kept in others:
+        kept.clear()
+    if others:
+        gc.collect()
+    return _HELD.setdefault(owner, {})
+
+
+def map_rows(df: DataFrame, make: Callable[[], Callable[..., tuple]], ddl: str, owner: str = "") -> DataFrame:
     """Each row of ``df``, its columns given in order to the function that ``make`` returns (made
-    once a task), becomes one row with the columns of ``ddl``."""
+    once a task), becomes one row with the columns of ``ddl``. ``owner`` names what ``make`` keeps by ``held``."""
     ship(df.sparkSession)
 
     def run(batches):
+        held(owner)
         one, schema = make(), arrow_schema(ddl)
         for columns in slices(batches):
             out = [one(*row) for row in zip(*columns)]

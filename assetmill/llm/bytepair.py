@@ -20,16 +20,18 @@ import re
 
 from pyspark.sql import DataFrame
 
-from assetmill.llm.batches import map_rows, raw_text
+from assetmill.llm.batches import held, map_rows, raw_text
 
 # How byte-level vocabularies cut a text into pieces, and their printable bytes.
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 PRINTABLE = (range(33, 127), range(161, 173), range(174, 256))
 
 #: Encodings that a worker remembers, of pieces and of space-cut chunks, in each of two generations.
-CACHED_PIECES, CACHED_CHUNKS = 250_000, 250_000
-#: Pairs of tokens whose compatibility a worker remembers.
-CACHED_PAIRS = 300_000
+CACHED_TEXTS = 400_000
+#: Texts longer than this are encoded again each time.
+CACHED_LENGTH = 64
+#: Pairs of tokens whose compatibility a worker remembers, in each of two generations.
+CACHED_PAIRS = 200_000
 _NEVER = 1 << 60
 
 
@@ -45,14 +47,16 @@ def byte_letters() -> list[str]:
 class Remembered(dict):
     """A bounded cache: a full generation becomes the old one, and what is asked for again moves up."""
 
-    def __init__(self, make, most: int):
+    def __init__(self, make, most: int, longest: int = 0):
         super().__init__()
-        self.make, self.most, self.old = make, most, {}
+        self.make, self.most, self.longest, self.old = make, most, longest, {}
 
     def __missing__(self, key):
         value = self.old.get(key)
         if value is None:
             value = self.make(key)
+            if self.longest and len(key) > self.longest:
+                return value
         if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
@@ -63,7 +67,7 @@ class Remembered(dict):
 class BytePairs:
     """Encoder and decoder for a tokenizer file of byte-level byte pairs."""
 
-    def __init__(self, source: bytes, cached_pieces: int = CACHED_PIECES, cached_chunks: int = CACHED_CHUNKS):
+    def __init__(self, source: bytes, cached_texts: int = CACHED_TEXTS):
         spec = json.loads(source)
         letters = {c: b for b, c in enumerate(byte_letters())}
         as_bytes = lambda s: bytes(letters[c] for c in s)
@@ -71,6 +75,7 @@ class BytePairs:
         ids = {as_bytes(t): i for t, i in model["vocab"].items() if all(c in letters for c in t)}
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
         self.bytes_of: dict[int, bytes] = {i: b for b, i in ids.items()} | {i: s.encode() for s, i in self.special.items()}
+        self.size = [len(self.bytes_of.get(i, b"")) for i in range(max(self.bytes_of) + 1)]
         self.digits = {i: str(i) for i in self.bytes_of}
         self.merges: dict[tuple[int, int], int] = {}
         self.parts: dict[int, tuple[int, int]] = {}
@@ -92,13 +97,12 @@ class BytePairs:
             else:
                 sound[i] = len(b) == 1
             if sound[i] and b.decode("latin-1"):
-                self.automaton.add_word(b.decode("latin-1"), (i, len(b)))
+                self.automaton.add_word(b.decode("latin-1"), i)
         self.automaton.make_automaton()
         self.pieces = regex.compile(PIECES)
         self.special_split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        self.fits: dict[int, bool] = {}
-        self._known_pieces = Remembered(self._piece, cached_pieces)
-        self._known_chunks = Remembered(lambda word: self._chunk(" " + word), cached_chunks)
+        self.fits = Remembered(lambda pair: self._walk(pair >> 20, pair & 0xFFFFF), CACHED_PAIRS)
+        self._known = Remembered(self._chunk, cached_texts, CACHED_LENGTH)
 
     def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The parts on one edge of a token, from its byte to itself, each with the rank of the merge that
@@ -137,31 +141,18 @@ class BytePairs:
         letters = piece.decode("latin-1")
         whole = self.automaton.get(letters, None)
         if whole is not None:
-            return [whole[0]]
-        n = len(piece)
-        last, begin = [-1] * (n + 1), [0] * (n + 1)
-        fits = self.fits
-        for end, (token, size) in self.automaton.iter(letters):
-            end += 1
+            return [whole]
+        last = [-1] * len(piece)
+        fits, size = self.fits, self.size
+        for end, token in self.automaton.iter(letters):
             if last[end] < 0:
-                start = end - size
-                if start:
-                    before = last[start]
-                    if before < 0:
-                        continue
-                    pair = before << 20 | token
-                    ok = fits.get(pair)
-                    if ok is None:
-                        if len(fits) > CACHED_PAIRS:
-                            fits.clear()
-                        ok = fits[pair] = self._walk(before, token)
-                    if not ok:
-                        continue
-                last[end], begin[end] = token, start
-        out, at = [], n
-        while at:
+                start = end - size[token]
+                if start < 0 or (last[start] >= 0 and fits[last[start] << 20 | token]):
+                    last[end] = token
+        out, at = [], len(piece) - 1
+        while at >= 0:
             out.append(last[at])
-            at = begin[at]
+            at -= size[last[at]]
         return out[::-1]
 
     def _piece(self, piece: str) -> tuple[str, int, bytes]:
@@ -169,17 +160,18 @@ class BytePairs:
         return ",".join([self.digits[i] for i in ids]), len(ids), b"".join([self.bytes_of[i] for i in ids])
 
     def _chunk(self, text: str) -> tuple[str, int, bytes]:
-        found = [self._known_pieces[p] for p in self.pieces.findall(text)]
-        if len(found) == 1:
-            return found[0]
+        pieces = self.pieces.findall(text)
+        if len(pieces) == 1:
+            return self._piece(text)
+        found = [self._known[p] for p in pieces]
         return ",".join([x[0] for x in found]), sum([x[1] for x in found]), b"".join([x[2] for x in found])
 
     def _segment(self, text: str) -> list[tuple[str, int, bytes]]:
         """Encodings of the chunks of a text without special tokens. No piece goes across a space that
         something other than white space follows, so the text is cut before such spaces."""
         parts = _CUT.split(text) if _SPACES.search(text) else text.split(" ")
-        known = self._known_chunks
-        return [self._chunk(parts[0]), *[known[p] for p in parts[1:]]]
+        known = self._known
+        return [self._chunk(parts[0]), *[known[" " + p] for p in parts[1:]]]
 
     def encode(self, text: str) -> tuple[str, int, bytes]:
         """Ids joined by commas, their number, and the bytes they decode to."""
@@ -197,16 +189,15 @@ class BytePairs:
 
 _SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
-_LOADED: dict[tuple, BytePairs] = {}
 
 
 def _loaded(source: bytes, *cached: int) -> BytePairs:
-    """One table a worker, kept between tasks."""
-    key = (hash(source), *cached)
-    if key not in _LOADED:
-        _LOADED.clear()
-        _LOADED[key] = BytePairs(source, *cached)
-    return _LOADED[key]
+    """One table a worker, kept between tasks until another operator's task runs there."""
+    loaded, key = held("bytepair"), (hash(source), *cached)
+    if key not in loaded:
+        loaded.clear()
+        loaded[key] = BytePairs(source, *cached)
+    return loaded[key]
 
 
 def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFrame:
@@ -235,12 +226,12 @@ def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFra
         return one
 
     names = ("ids_sha256", "decoded_sha256") if digest else ("ids", "decoded")
-    return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string")
+    return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string", "bytepair")
 
 
-def token_rows(docs: DataFrame, tokenizer_path: str, cached_pieces: int = 120_000, cached_chunks: int = 100_000) -> DataFrame:
+def token_rows(docs: DataFrame, tokenizer_path: str, cached_texts: int = 260_000) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids (array of int), decoded_sha256. Nulls and empty texts as
-    in ``encode``. Workers that go on to other stages keep what they remember, so they remember less here."""
+    in ``encode``. By then executors hold more than in a run of ``encode`` alone, so workers remember less here."""
     with open(tokenizer_path, "rb") as f:
         sent = docs.sparkSession.sparkContext.broadcast(f.read())
 
@@ -249,7 +240,7 @@ def token_rows(docs: DataFrame, tokenizer_path: str, cached_pieces: int = 120_00
 
         import numpy as np
 
-        table = _loaded(sent.value, cached_pieces, cached_chunks)
+        table = _loaded(sent.value, cached_texts)
 
         def one(doc_id, buf):
             ids, n, back = table.encode(buf.decode("utf-8", "replace"))
@@ -258,4 +249,4 @@ def token_rows(docs: DataFrame, tokenizer_path: str, cached_pieces: int = 120_00
 
         return one
 
-    return map_rows(docs.select("doc_id", raw_text()), make, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string")
+    return map_rows(docs.select("doc_id", raw_text()), make, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string", "bytepair")
