@@ -41,6 +41,7 @@ def held(owner: str) -> dict:
     for kept in others:
         kept.clear()
     if others:
+        gc.unfreeze()
         gc.collect()
     return _HELD.setdefault(owner, {})
 

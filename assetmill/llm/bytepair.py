@@ -12,11 +12,11 @@ some point the two facing parts would merge with each other before either is mer
 
 from __future__ import annotations
 
+import gc
 import json
+import re
 
-import ahocorasick
 import regex
-import re
 
 from pyspark.sql import DataFrame
 
@@ -75,6 +75,8 @@ class BytePairs:
         ids = {as_bytes(t): i for t, i in model["vocab"].items() if all(c in letters for c in t)}
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
         self.bytes_of: dict[int, bytes] = {i: b for b, i in ids.items()} | {i: s.encode() for s, i in self.special.items()}
+        if any(bytes([b]) not in ids for b in range(256)):
+            raise ValueError("not a byte-level vocabulary: some byte has no token")
         self.size = [len(self.bytes_of.get(i, b"")) for i in range(max(self.bytes_of) + 1)]
         self.digits = {i: str(i) for i in self.bytes_of}
         self.merges: dict[tuple[int, int], int] = {}
@@ -88,22 +90,57 @@ class BytePairs:
                 self.parts[whole], self.rank[whole] = (ids[a], ids[b]), r
         self._right: dict[int, list[tuple[int, int]]] = {}
         self._left: dict[int, list[tuple[int, int]]] = {}
-        self.automaton = ahocorasick.Automaton()
         sound: dict[int, bool] = {}
+        words: dict[bytes, int] = {}
         for b, i in sorted(ids.items(), key=lambda x: len(x[0])):
             if i in self.parts:
                 x, y = self.parts[i]
                 sound[i] = sound.get(x, False) and sound.get(y, False) and self._walk(x, y, top=True)
             else:
                 sound[i] = len(b) == 1
-            if sound[i] and b.decode("latin-1"):
-                self.automaton.add_word(b.decode("latin-1"), i)
-        self.automaton.make_automaton()
+            if sound[i]:
+                words[b] = i
+        self.words = words
+        self._automaton(words)
         self.pieces = regex.compile(PIECES)
         self.special_split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.fits = Remembered(lambda pair: self._walk(pair >> 20, pair & 0xFFFFF), CACHED_PAIRS)
         self._known = Remembered(self._chunk, cached_texts, CACHED_LENGTH)
 
+    def _automaton(self, words: dict[bytes, int]) -> None:
+        """The matching automaton as flat tables. A step is state << 8 | byte; ``suffix`` leads a state to the
+        longest proper suffix that is a state, ``ends`` to the longest token that ends there, and
+        ``shorter`` a token to the next shorter token that ends where it does."""
+        step: dict[int, int] = {}
+        came: list[tuple[int, int]] = [(0, 0)]
+        exact = [-1]
+        for word in sorted(words, key=len):
+            state = 0
+            for byte in word:
+                key = state << 8 | byte
+                state = step.get(key, -1)
+                if state < 0:
+                    state = step[key] = len(came)
+                    came.append((key >> 8, byte))
+                    exact.append(-1)
+            exact[state] = words[word]
+        self.step, self.suffix, self.ends, self.shorter = step, [0] * len(came), [-1] * len(came), [-1] * len(self.size)
+        # a parent's depth is one less, so going by depth finds its suffix known
+        depth = [0] * len(came)
+        for state in range(1, len(came)):
+            depth[state] = depth[came[state][0]] + 1
+        for state in sorted(range(1, len(came)), key=depth.__getitem__):
+            parent, byte = came[state]
+            if parent:
+                at = self.suffix[parent]
+                while at and at << 8 | byte not in step:
+                    at = self.suffix[at]
+                self.suffix[state] = step.get(at << 8 | byte, 0)
+            below = self.ends[self.suffix[state]]
+            self.ends[state] = below if exact[state] < 0 else exact[state]
+            if exact[state] >= 0:
+                self.shorter[exact[state]] = below
+
     def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The parts on one edge of a token, from its byte to itself, each with the rank of the merge that
         takes it into the next."""
@@ -137,29 +174,42 @@ class BytePairs:
                 j += 1
 
     def encode_piece(self, piece: bytes) -> list[int]:
-        """Ids of one piece."""
-        letters = piece.decode("latin-1")
-        whole = self.automaton.get(letters, None)
+        """Ids of one piece. ``last`` holds the last token of each prefix, the empty one first."""
+        whole = self.words.get(piece)
         if whole is not None:
             return [whole]
-        last = [-1] * len(piece)
-        fits, size = self.fits, self.size
-        for end, token in self.automaton.iter(letters):
-            if last[end] < 0:
+        step, suffix, ends, shorter, size, fits = self.step, self.suffix, self.ends, self.shorter, self.size, self.fits
+        last, state = [-1], 0
+        for end, byte in enumerate(piece, 1):
+            after = step.get(state << 8 | byte)
+            while after is None:
+                state = suffix[state]
+                after = step.get(state << 8 | byte)
+            state = after
+            token = ends[state]
+            start = end - size[token]
+            while start and not fits[last[start] << 20 | token]:
+                token = shorter[token]
                 start = end - size[token]
-                if start < 0 or (last[start] >= 0 and fits[last[start] << 20 | token]):
-                    last[end] = token
-        out, at = [], len(piece) - 1
-        while at >= 0:
-            out.append(last[at])
-            at -= size[last[at]]
-        return out[::-1]
+            last.append(token)
+        out, at = [], len(piece)
+        while at:
+            token = last[at]
+            out.append(token)
+            at -= size[token]
+        out.reverse()
+        return out
 
     def _piece(self, piece: str) -> tuple[str, int, bytes]:
         ids = self.encode_piece(piece.encode())
-        return ",".join([self.digits[i] for i in ids]), len(ids), b"".join([self.bytes_of[i] for i in ids])
+        if len(ids) == 1:
+            return self.digits[ids[0]], 1, self.bytes_of[ids[0]]
+        digits, bytes_of = self.digits, self.bytes_of
+        return ",".join([digits[i] for i in ids]), len(ids), b"".join([bytes_of[i] for i in ids])
 
     def _chunk(self, text: str) -> tuple[str, int, bytes]:
+        if text.isascii() and text[1:].isalpha() and (text[0] == " " or text[0].isalpha()):
+            return self._piece(text)
         pieces = self.pieces.findall(text)
         if len(pieces) == 1:
             return self._piece(text)
@@ -197,6 +247,7 @@ def _loaded(source: bytes, *cached: int) -> BytePairs:
     if key not in loaded:
         loaded.clear()
         loaded[key] = BytePairs(source, *cached)
+        gc.freeze()  # the collector need not walk tables and caches; ``held`` undoes this
     return loaded[key]
 
 
