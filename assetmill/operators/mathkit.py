@@ -235,3 +235,25 @@ def merge_weights(scheme: str, n: int, beta: float = 0.9) -> list[float]:
     else:
         raw = [0.0] * (n - 1) + [1.0]
     return [r / sum(raw) for r in raw]
+
+
+def timestep_embedding(t: Column, dims: int, base: float = 10_000.0) -> Column:
+    """Cosines then sines of 1000 t over falling frequencies."""
+    half = dims // 2
+    rate = lambda i: 1000 * t * F.pow(F.lit(base), -(i % half) / half)
+    return F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.when(i < half, F.cos(rate(i))).otherwise(F.sin(rate(i))))
+
+
+def modulation(emb: np.ndarray, w1: np.ndarray, w2: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Scale and gate of one layer: two linear layers with a SiLU between; zero w2 is the identity."""
+    h = emb @ w1
+    scale, gate = np.split((h / (1 + np.exp(-h))) @ w2, 2, axis=-1)
+    return 1 + scale, np.tanh(gate)
+
+
+def truncated_normal(key: Column, sigma: float, seed: int, bound: float = 2.0, tries: int = 8) -> Column:
+    """A normal draw by hash of the key, drawn again while beyond ``bound`` sigmas; after ``tries`` draws (one in
+    10^10) the bound itself."""
+    unit = lambda *salt: (F.pmod(F.xxhash64(key, F.lit(seed), *salt), F.lit(1 << 52)) + 1) / float((1 << 52) + 1)
+    draws = [F.sqrt(-2 * F.log(unit(F.lit(2 * k)))) * F.cos(2 * np.pi * unit(F.lit(2 * k + 1))) for k in range(tries)]
+    return sigma * F.coalesce(*[F.when(F.abs(z) <= bound, z) for z in draws], F.lit(bound))

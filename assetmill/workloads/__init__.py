@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from assetmill.workloads import curation, evaluation, network, relational, streams
+from assetmill.workloads import curation, evaluation, network, relational, rendering, streams
 
 
 def flagship(spark, sf_dir):
@@ -10,7 +10,7 @@ def flagship(spark, sf_dir):
 
 
 def _all() -> dict:
-    return {**curation.QUERIES, **network.QUERIES, **evaluation.QUERIES, **relational.QUERIES, **streams.QUERIES}
+    return {**curation.QUERIES, **network.QUERIES, **evaluation.QUERIES, **relational.QUERIES, **streams.QUERIES, **rendering.QUERIES}
 
 
 def queries() -> dict:
