@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assetmill.plans.scratch import Scratch
+from assetmill.plans.ship import ship
 from assetmill.sources.tables import table
 
 
@@ -56,7 +57,38 @@ def stream_join(spark, d):
     return _finish(spark, a.join(b, F.expr("u1 = u2 AND t1 >= t2 AND t1 <= t2 + INTERVAL 1 HOUR")).select("e1", "e2"), "st-join")
 
 
+def session(spark, d):
+    """Sessions of a user that end after 30 minutes without an event."""
+    g = _stream(spark, d).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return _finish(spark, g.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n"), "st-session", "complete")
+
+
+def _tally(key, batches, state):
+    """Running counts of one user; the state is two numbers."""
+    n, failed = state.get if state.exists else (0, 0)
+    for b in batches:
+        n, failed = n + len(b), failed + int((b["event_type"] == "error").sum())
+    state.update((n, failed))
+    import pandas as pd
+
+    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "failed": [failed]})
+
+
+def user_state(spark, d):
+    """Events and failures of each user by state kept between batches. A batch's rows go to a folder of its own
+    number, so a repeated batch replaces itself; the latest row of a user has the largest count."""
+    ship(spark)
+    rows = _stream(spark, d).select("user_id", "event_type").groupBy("user_id").applyInPandasWithState(_tally, "user_id long, n long, failed long", "n long, failed long", "update", "NoTimeout")
+    with Scratch(spark, "st-state") as s:
+        out = s.path("sink")
+        q = rows.writeStream.outputMode("update").foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{out}/batch={i}")).option("checkpointLocation", s.path("log")).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return spark.read.schema(rows.schema).parquet(out).groupBy("user_id").agg(F.max("n").alias("n"), F.max("failed").alias("failed"))
+
+
 QUERIES = {
+    "st_session": (session, "WITH g AS (SELECT user_id, ts, (ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE)::INTEGER AS same FROM events), k AS (SELECT *, sum(1 - coalesce(same, 0)) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS n FROM k GROUP BY user_id, k"),
+    "st_user_state": (user_state, "SELECT user_id, count(*) AS n, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1"),
     "st_tumbling": (tumbling, "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) AS n, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1"),
     "st_sliding": (sliding, "SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS start, count(*) AS n FROM events, range(4) r(k) GROUP BY 1"),
     "st_dedup": (dedup, "SELECT DISTINCT event_id, user_id FROM events"),

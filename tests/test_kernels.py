@@ -5,10 +5,11 @@ import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from assetmill.operators import captions, catalog, costmodel, curriculum, mathkit, quality, routing
+from assetmill.operators import allocation, captions, catalog, costmodel, curriculum, mathkit, quality, routing, textrender
 from assetmill.operators.components import components
 from assetmill.operators.ranks import place_in_group
 from assetmill.plans.scratch import Scratch
+from assetmill.workloads import extensions
 
 rng = np.random.default_rng(5)
 
@@ -121,3 +122,41 @@ def test_place_in_group(spark):
         own = sorted((r for r in got if r.k == k), key=lambda r: r.turn)
         assert [r.rank0 for r in own] == list(range(300))
         assert [r.start for r in own] == [sum(x.v for x in own[:j]) for j in range(300)]
+
+
+def test_modulation_starts_as_identity():
+    scale, gate = mathkit.modulation(rng.normal(size=(3, 16)), rng.normal(size=(16, 8)), np.zeros((8, 10)))
+    assert np.allclose(scale, 1) and np.allclose(gate, 0)
+
+
+def test_truncated_normal(spark):
+    r = spark.range(20_000).select(mathkit.truncated_normal(F.col("id"), 0.02, 3).alias("w")).agg(F.avg("w"), F.stddev("w"), F.max(F.abs("w"))).first()
+    assert abs(r[0]) < 0.001 and abs(r[1] - 0.02 * 0.88) < 0.001 and r[2] <= 0.04
+
+
+def test_maps(spark):
+    df = spark.createDataFrame([([1.0] * 64,), ([float(i % 8) for i in range(64)],)], "g array<double>")
+    flat, ramp = df.select(allocation.upsample(F.col("g"), 8, 3).alias("u"), allocation.gradient(F.col("g"), 8).alias("d"), allocation.gini(F.transform("g", lambda x: x + 1)).alias("q")).collect()
+    assert len(flat.u) == 576 and np.allclose(flat.u, 1) and np.allclose(flat.d, 0) and abs(flat.q) < 1e-12
+    assert np.allclose(ramp.u[:24], np.interp((np.arange(24) + 0.5) / 3 - 0.5, range(8), range(8))) and ramp.q > 0.2
+    assert np.allclose(ramp.d[1:7], 2) and ramp.d[0] == 1
+
+
+def test_render_rows(spark):
+    df = spark.createDataFrame([(1, "one"), (2, "two words"), (3, "w " * 20)], "k long, t string")
+    assert [r.difficulty for r in textrender.rows(df, "k", "t").orderBy("k").collect()] == ["word", "line", "paragraph"]
+
+
+def test_approximate_neighbours(spark):
+    """Against all pairs: of neighbours above 0.5 nine in ten are found."""
+    d = "/root/testdata/sf0.01"
+    e = spark.read.parquet(f"{d}/embeddings.parquet").orderBy("vec_id").toPandas()
+    x = np.array(e.embedding.tolist(), dtype=float)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    found = {(r.q, r.vec_id) for r in extensions.knn_lsh(spark, d).collect()}
+    want = set()
+    for i in np.flatnonzero(e.vec_id % 100 == 0):
+        c = x @ x[i]
+        c[i] = -2
+        want |= {(e.vec_id[i], e.vec_id[j]) for j in np.argsort(-c)[: extensions.NEAREST] if c[j] > 0.5}
+    assert len(want & found) >= 0.9 * len(want)
