@@ -280,7 +280,7 @@ def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFra
     return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string", "bytepair")
 
 
-def token_rows(docs: DataFrame, tokenizer_path: str, cached_texts: int = 260_000) -> DataFrame:
+def token_rows(docs: DataFrame, tokenizer_path: str, cached_texts: int = 160_000) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids (array of int), decoded_sha256. Nulls and empty texts as
     in ``encode``. By then executors hold more than in a run of ``encode`` alone, so workers remember less here."""
     with open(tokenizer_path, "rb") as f:
