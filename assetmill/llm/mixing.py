@@ -89,7 +89,7 @@ def source_targets(sized: DataFrame, share: float = 1.5, most: int = 2, weights:
     return ranked.withColumn("target", F.when(F.col("full"), F.col("room").cast("double")).otherwise(F.col("weight") * common)).select("source", "source_size", "n", "class", "target")
 
 
-def mix(docs: DataFrame, scratch: Scratch, share: float = 1.5, most: int = 2, weights: tuple[int, ...] = WEIGHTS, schedules: tuple[Schedule, ...] = SCHEDULES, seed: str = "mix") -> DataFrame:
+def mix(docs: DataFrame, scratch: Scratch, share: float = 1.5, most: int = 2, weights: tuple[int, ...] = WEIGHTS, schedules: tuple[Schedule, ...] = SCHEDULES, seed: str = "mix", carry: tuple[str, ...] = ()) -> DataFrame:
     """One row per document: doc_id, source, size, source_size, target, taken, position, again.
 
     ``taken`` counts the words that the mix takes of it, repeats included, at most ``most`` times its
@@ -97,16 +97,16 @@ def mix(docs: DataFrame, scratch: Scratch, share: float = 1.5, most: int = 2, we
     second pass, null where it has none. Rows are range-sorted by position.
 
     Null text counts no words and is never due; null sources are one source; equal rows and equal ids
-    keep separate turns; an empty table gives no rows. Columns other than doc_id, source and text are
-    not read.
+    keep separate turns; an empty table gives no rows. Columns other than doc_id, source, text
+    and those of ``carry``, which stay with their rows and settle ties, are not read.
     """
     if most not in (1, 2):
         raise ValueError("documents pass once or twice")
     key = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    sized = scratch.keep(docs.select("doc_id", "source", count_words(F.col("text")).alias("size"), key.alias("turn")), "sized")
+    sized = scratch.keep(docs.select("doc_id", "source", count_words(F.col("text")).alias("size"), key.alias("turn"), *carry), "sized")
     targets = scratch.keep(source_targets(sized, share, most, weights), "targets")
     rows = targets.agg(F.max("n")).first()[0] or 0
-    placed = place_in_group(sized, ["source"], "turn", ["doc_id", "size"], order_digits(rows), value=F.col("size"), rank="_rank", before="start")
+    placed = place_in_group(sized, ["source"], "turn", ["doc_id", "size", *carry], order_digits(rows), value=F.col("size"), rank="_rank", before="start")
     side = small_side(targets).withColumnRenamed("source", "_source")
     joined = placed.join(side, F.col("source").eqNullSafe(F.col("_source"))).drop("_source", "n", "_rank")
     passes = []
@@ -124,11 +124,11 @@ def mix(docs: DataFrame, scratch: Scratch, share: float = 1.5, most: int = 2, we
 
     second = when_due(1) if most == 2 else F.lit(None).cast("double")
     taken = sum((F.col(f"_take{i}") for i in range(1, most)), F.col("_take0"))
-    return out.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), when_due(0).alias("position"), second.alias("again"), "turn").orderBy(F.col("position").asc_nulls_last(), "turn").drop("turn")
+    return out.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), when_due(0).alias("position"), second.alias("again"), "turn", *carry).orderBy(F.col("position").asc_nulls_last(), "turn").drop("turn")
 
 
-def whole_passes(mixed: DataFrame) -> DataFrame:
-    """doc_id and training position of each pass that takes a document whole, or cuts its last one:
+def whole_passes(mixed: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, the columns of ``carry`` and training position of each pass that takes a document whole, or cuts its last one:
     the rows a trainer reads, one per pass."""
     both = F.filter(F.array("position", "again"), lambda p: p.isNotNull())
-    return mixed.select("doc_id", F.explode(both).alias("position"))
+    return mixed.select("doc_id", *carry, F.explode(both).alias("position"))

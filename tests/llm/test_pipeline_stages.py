@@ -74,3 +74,39 @@ def test_stage_removes_near_copies(spark):
     rows = [(i, t, "en", "src0", len(t or "")) for i, t in enumerate(texts)]
     got = corpus_pipeline.keep_one_of_each_group(spark, spark.createDataFrame(rows, SCHEMA).repartition(3), "")
     assert sorted(r.doc_id for r in got.collect()) == sorted(set(groups(texts)))
+
+
+def awkward():
+    """Null and repeated ids over different texts, near copies across them, and equal rows."""
+    rng = random.Random(9)
+    a, b, c, d, e, f = ([f"{k}{rng.randrange(500)}" for _ in range(120)] for k in "abcdef")
+    near = lambda t: " ".join([*t[:60], "changed", *t[61:]])
+    rows = [(None, " ".join(a)), (None, " ".join(b)), (1, near(a)), (None, " ".join(c)), (None, " ".join(c)), (7, " ".join(d)), (7, " ".join(e)), (3, near(d)), (9, " ".join(f)), (9, near(f)), (None, None)]
+    return [(i, t, "en", "src0", len(t or "")) for i, t in rows]
+
+
+def test_null_and_repeated_ids(spark):
+    rows = awkward()
+    docs = spark.createDataFrame(rows, SCHEMA).repartition(3)
+    got = [tuple(r) for r in corpus_pipeline.keep_one_of_each_group(spark, docs, "").collect()]
+    want = [rows[i] for i in (1, 2, 3, 6, 7, 10)]
+    assert len(got) == 7 and all(got.count(r) == 1 for r in want) and sum(r in got for r in (rows[8], rows[9])) == 1
+
+
+def test_passes_of_null_and_repeated_ids(spark):
+    from assetmill.llm import mixing
+
+    rows = awkward()
+    docs = spark.createDataFrame(rows, SCHEMA).repartition(3)
+    with Scratch(spark, "passes") as s:
+        taken = mixing.whole_passes(mixing.mix(docs, s)).count()
+    got = [tuple(r) for r in corpus_pipeline.mix_sources(spark, docs, "").collect()]
+    assert len(got) == taken and all(got.count(r) <= 2 * rows.count(r) for r in rows)
+
+
+@pytest.mark.parametrize("stage", [corpus_pipeline.keep_known_language, corpus_pipeline.hide_secrets])
+def test_row_stages_keep_rows_apart(spark, stage):
+    text = "The {} was in the house and they had seen that it is good for all of us."
+    rows = [(i, text.format(w), "en", "src0", len(text.format(w))) for i, w in ((None, "cat"), (None, "dog"), (7, "bird"), (7, "fish"), (7, "fish"))]
+    got = [tuple(r) for r in stage(spark, spark.createDataFrame([*rows, (7, "12 34", "en", "src0", 5), (None, "12 34", "en", "src0", 5)], SCHEMA), "").collect()]
+    assert sorted(map(str, got)) == sorted(map(str, rows + ([] if stage is corpus_pipeline.keep_known_language else [(7, "12 34", "en", "src0", 5), (None, "12 34", "en", "src0", 5)])))
