@@ -33,9 +33,10 @@ def scores(df: DataFrame, x: str, experts: int, dims: int, layer: int = 0) -> Da
     return with_logits.withColumn("_m", top).withColumn("_z", z).select(*df.columns, F.posexplode("_l").alias("expert", "logit"), "_m", "_z").withColumn("score", F.round(F.exp(F.col("logit") - F.col("_m")) / F.col("_z"), 9)).drop("_m", "_z")
 
 
-def expert_choice(scored: DataFrame, capacity: Column) -> DataFrame:
-    """Every expert of a sample takes its ``capacity`` best tokens, ties to the lower token."""
-    w = Window.partitionBy("sample", "expert").orderBy(F.desc("score"), "pos")
+def expert_choice(scored: DataFrame, capacity: Column, within: tuple[str, ...] = ("sample",)) -> DataFrame:
+    """Every expert of a sample takes its ``capacity`` best tokens, ties to the lower token; ``within`` names
+    what else selects apart."""
+    w = Window.partitionBy(*within, "expert").orderBy(F.desc("score"), "pos")
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= capacity)
 
 
