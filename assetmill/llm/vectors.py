@@ -110,7 +110,7 @@ def near_vectors(rows: DataFrame, scratch: Scratch, least: float = LEAST) -> Dat
     own = scratch.keep(own.withColumn("key", key), "rows")
     classes = scratch.keep(own.where("key IS NOT NULL").groupBy("key").agg(F.min("vec_id").alias("first"), F.count(F.lit(1)).alias("n"), F.first("label").alias("label"), F.first("v").alias("v")).withColumn("dims", F.size("v")), "classes")
     found = None
-    for (dims,) in classes.select("dims").distinct().limit(1000).collect():
+    for (dims,) in classes.select("dims").distinct().collect():
         one = _links(spark, classes.where(F.col("dims") == dims), dims, scratch, least)
         found = one if found is None else found.union(one)
     if found is None:
