@@ -224,7 +224,7 @@ def w19_shadow(spark, d):
     """The running average of each user's values and its unrolled form, which agree."""
     e = table(spark, d, "events").select("user_id", "value", (F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1).alias("k"))
     n = e.groupBy("user_id").agg(F.max("k").alias("last"), F.transform(F.array_sort(F.collect_list(F.struct("k", "value"))), lambda p: p["value"]).alias("v"))
-    fold = F.aggregate(F.slice("v", 2, 1_000_000), F.get("v", F.lit(0)), lambda s, x: 0.9 * s + 0.1 * x)
+    fold = F.aggregate(F.slice("v", F.lit(2), F.size("v")), F.get("v", F.lit(0)), lambda s, x: 0.9 * s + 0.1 * x)
     unrolled = F.aggregate(F.transform("v", lambda x, j: x * F.when(j == 0, F.pow(F.lit(0.9), F.col("last"))).otherwise(0.1 * F.pow(F.lit(0.9), F.col("last") - j))), F.lit(0.0), lambda s, x: s + x)
     return n.select("user_id", F.round(fold, 6).alias("folded"), F.round(unrolled, 6).alias("unrolled"))
 
