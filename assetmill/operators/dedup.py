@@ -14,6 +14,12 @@ def exact(df: DataFrame, key: str, order: list[Column]) -> DataFrame:
     return df.groupBy(key).agg(F.min_by("doc_id", F.struct(*order)).alias("keep_id"), F.count(F.lit(1)).alias("copies"))
 
 
+def representative(members: DataFrame) -> DataFrame:
+    """One id per cluster: the largest area, then the best tier, then the smallest id."""
+    best = F.struct(F.col("width") * F.col("height"), "quality_tier", -F.col("doc_id"))
+    return members.groupBy("cluster").agg(F.max_by("doc_id", best).alias("keep_id"), F.count(F.lit(1)).alias("members"))
+
+
 def ahash(grid: Column) -> Column:
     """Bits of cells above their mean, as text."""
     m = F.aggregate(grid, F.lit(0.0), lambda s, x: s + x) / F.size(grid)

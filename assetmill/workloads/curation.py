@@ -103,6 +103,16 @@ def w03_rates(spark, d):
 W03_RATES_SQL = CLUSTERS_SQL + " SELECT n, after_exact, after_near, round(1 - after_exact::DOUBLE / n, 6) AS exact_rate, round(1 - after_near::DOUBLE / after_exact, 6) AS near_rate FROM (SELECT count(*) AS n, count(DISTINCT sha256(text)) AS after_exact, count(DISTINCT cluster) AS after_near FROM cl JOIN documents USING (doc_id))"
 
 
+def w03_survivors(spark, d):
+    """One document of each near-duplicate cluster, after exact copies are gone."""
+    a = assets(spark, d).select("doc_id", "sha256", "width", "height", "quality_tier")
+    single = a.join(a.groupBy("sha256").agg(F.min("doc_id").alias("doc_id")), ["sha256", "doc_id"], "left_semi")
+    return dedup.representative(single.join(_clusters(spark, d), "doc_id"))
+
+
+W03_SURVIVORS_SQL = CLUSTERS_SQL + ", " + ASSETS_SQL.strip().removeprefix("WITH ") + ", u AS (SELECT sha256, min(doc_id) AS doc_id FROM assets GROUP BY 1) SELECT cluster, arg_max(doc_id, (width * height, quality_tier, -doc_id)) AS keep_id, count(*) AS members FROM assets JOIN u USING (sha256, doc_id) JOIN cl USING (doc_id) GROUP BY 1"
+
+
 def pixels(spark, d) -> DataFrame:
     return table(spark, d, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("grid"))
 
@@ -390,6 +400,7 @@ QUERIES = {
     "w03_near_pairs": (w03_pairs, NEAR_SQL + " SELECT * FROM pairs"),
     "w03_clusters": (_clusters, CLUSTERS_SQL + " SELECT doc_id, cluster FROM cl"),
     "w03_removal_rates": (w03_rates, W03_RATES_SQL),
+    "w03_survivors": (w03_survivors, W03_SURVIVORS_SQL),
     "w04_ahash_bits": (w04_ahash, W04_AHASH_SQL),
     "w04_phash_bits": (w04_phash, None),
     "w04_planted_recall": (w04_planted, None),
