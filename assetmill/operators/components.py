@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from assetmill.plans.bounded import small_side
 from assetmill.plans.scratch import Scratch
 
 
@@ -44,3 +45,18 @@ def components(edges: DataFrame, scratch: Scratch, name: str = "cc", most_rounds
     else:
         raise RuntimeError(f"components did not settle in {most_rounds} rounds")
     return now.select(F.col("u").alias("node"), F.col("v").alias("component")).union(now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
+
+
+#: Members beyond which a group's label is sent to all tasks instead of meeting its members in one.
+LARGE_GROUP = 500
+
+
+def spread(members: DataFrame, key: str, value: Column, name: str) -> DataFrame:
+    """``members`` with ``name``, an aggregate of all rows of the same ``key`` (not null). Groups are summed with
+    partial aggregation; large ones, of which there are few, go to their members by broadcast behind a size check,
+    so no group's rows meet in one task."""
+    groups = members.groupBy(F.col(key).alias("_g")).agg(value.alias(name), F.count(F.lit(1)).alias("_rows"))
+    large = groups.where(F.col("_rows") > LARGE_GROUP).drop("_rows")
+    hot, match = small_side(large), F.col(key) == F.col("_g")
+    few = members.join(hot, match, "left_anti").join(groups.where(F.col("_rows") <= LARGE_GROUP).drop("_rows"), match)
+    return few.union(members.join(hot, match)).drop("_g")
