@@ -58,7 +58,7 @@ def sweep(scored: DataFrame, score: str, label: str, steps: int = 20) -> DataFra
 
 def pick_captioner(df: DataFrame) -> Column:
     """Texts dense in digits or symbols go to the precise model."""
-    symbols = F.char_length(F.regexp_replace("text", r"[\p{L}\s.,]", "")) / F.greatest(F.char_length("text"), F.lit(1))
+    symbols = F.char_length(F.regexp_replace("text", r"[\p{L} \t\n\r.,]", "")) / F.greatest(F.char_length("text"), F.lit(1))
     return F.when(symbols > 0.05, "precise").otherwise("fast")
 
 

@@ -59,29 +59,114 @@ def phash_column(df: DataFrame, grid: str, name: str = "bits") -> DataFrame:
     return df.mapInArrow(run, schema)
 
 
-def text_fingerprint(docs: DataFrame, shingle: int = 3) -> DataFrame:
-    """Sign of the sum of shingle hashes, 60 bits as text of 0 and 1; partial sums before the shuffle."""
-    words = F.split("text", " ")
-    n = F.greatest(F.lit(1), F.size("w") - shingle + 1)
-    grams = docs.select("doc_id", words.alias("w")).select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), n), lambda i: F.array_join(F.slice("w", i, shingle), " "))).alias("g"))
-    h = F.conv(F.substring(F.md5("g"), 1, 15), 16, 10).cast("long")
-    bits = grams.select("doc_id", h.alias("h")).groupBy("doc_id").agg(*(F.sum(F.when(F.shiftright("h", i).bitwiseAND(F.lit(1)) == 1, 1).otherwise(-1)).alias(f"b{i}") for i in range(60)))
-    return bits.select("doc_id", F.concat(*(F.when(F.col(f"b{i}") > 0, F.lit("1")).otherwise(F.lit("0")) for i in range(60))).alias("bits"))
+# --- texts: word shingles ---------------------------------------------------------------------------
+
+#: Words of a shingle, and the least Jaccard similarity of near copies as a fraction.
+SHINGLE, NEAR = 5, (4, 5)
+#: A shingle that stands in the prefixes of more texts than this goes behind all others in the order.
+OFTEN = 32
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+
+def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
+    """doc_id, set (sorted hashes of the distinct shingles of words) and n, its size. Words lie between spaces and
+    the controls 9 to 13, A-Z is lower-cased; fewer words than ``size`` are one shingle, none or null an empty set."""
+    words = F.filter(F.split(F.translate(F.coalesce("text", F.lit("")), _UPPER, _LOWER), r"[\x20\x09-\x0D]+"), lambda w: w != "")
+    gram = lambda i: F.xxhash64(F.array_join(F.slice("_w", i + 1, size), " "))
+    grams = F.when(F.size("_w") > 0, F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.size("_w") - size)), gram)).otherwise(F.array().cast("array<long>"))
+    return docs.select("doc_id", words.alias("_w")).select("doc_id", F.array_sort(F.array_distinct(grams)).alias("set")).withColumn("n", F.size("set"))
+
+
+def set_nodes(sets: DataFrame) -> DataFrame:
+    """node (smallest doc_id), n and set of each different set; equal sets are one node."""
+    firsts = sets.groupBy(F.xxhash64("set").alias("_h"), F.hash("set").alias("_g"), "n").agg(F.min("doc_id").alias("node")).select("node")
+    return firsts.join(sets, F.col("node") == F.col("doc_id")).select("node", "n", "set")
+
+
+def set_names(sets: DataFrame) -> DataFrame:
+    """doc_id and the node that its set belongs to; a window-free join on the set's hashes."""
+    keys = (F.xxhash64("set").alias("_h"), F.hash("set").alias("_g"), "n")
+    own = sets.select("doc_id", *keys)
+    names = own.groupBy("_h", "_g", "n").agg(F.min("doc_id").alias("node"))
+    return own.join(names, ["_h", "_g", "n"]).select("doc_id", "node")
+
+
+def near_sets(nodes: DataFrame, near: tuple[int, int] = NEAR) -> DataFrame:
+    """Pairs (a, b, shared, jaccard) of nodes whose sets have a Jaccard similarity of ``near`` or more, none missed.
+
+    In any order of all shingles two such sets meet in their first n - ceil(n * near) + 1 ones, so an equi-join on
+    these gives all candidates. The order is by hash, with shingles that are frequent there put last, which keeps
+    passages that many texts share from making candidates. Each candidate is checked on the whole sets.
+    """
+    up, down = near
+    most = lambda n: n - F.floor((up * n + down - 1) / down) + 1
+    some = nodes.where("n > 0")
+    often = some.select(F.explode(F.slice("set", F.lit(1), most(F.col("n")).cast("int"))).alias("_s")).groupBy("_s").count().where(F.col("count") > OFTEN).select("_s")
+    hit = some.select("node", F.explode("set").alias("_s")).join(often, "_s", "left_semi").groupBy("node").agg(F.array_sort(F.collect_list("_s")).alias("_late"))
+    late = F.coalesce("_late", F.array().cast("array<long>"))
+    first = F.slice(F.concat(F.array_except("set", late), late), F.lit(1), most(F.col("n")).cast("int"))
+    cells = some.join(hit.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left").select("node", "n", F.explode(first).alias("cell"))
+    a, b = cells.alias("a"), cells.alias("b")
+    sizes = (up * F.col("a.n") <= down * F.col("b.n")) & (up * F.col("b.n") <= down * F.col("a.n"))
+    pairs = a.join(b, (F.col("a.cell") == F.col("b.cell")) & (F.col("a.node") < F.col("b.node")) & sizes).select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
+    x, y = (nodes.select(F.col("node").alias(k), F.col("n").alias(f"n{k}"), F.col("set").alias(f"s{k}")) for k in "ab")
+    both = pairs.join(x, "a").join(y, "b").withColumn("shared", F.size(F.array_intersect("sa", "sb")))
+    union = F.col("na") + F.col("nb") - F.col("shared")
+    return both.where(down * F.col("shared") >= up * union).select("a", "b", "shared", F.round(F.col("shared") / union, 6).alias("jaccard"))
+
+
+def star_clusters(nodes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Without transitivity: each node goes to its best smaller neighbour (most alike, then smallest), or stays."""
+    best = pairs.groupBy(F.col("b").alias("node")).agg(F.max_by("a", F.struct("jaccard", -F.col("a"))).alias("_to"))
+    return nodes.select("node").join(best, "node", "left").select("node", F.coalesce("_to", "node").alias("centre"))
+
+
+def two_stage(members: DataFrame, names: DataFrame, clusters: DataFrame) -> DataFrame:
+    """Exact copies first, by ``sha256``, then near copies among what is left: doc_id and stage (exact, near or kept)
+    of each row of ``members`` (doc_id, sha256, width, height, quality_tier). ``names`` maps doc_id to node and
+    ``clusters`` node to cluster, where it has more than itself. The best by area, tier and smallest id stays."""
+    best = F.struct(F.col("width") * F.col("height"), "quality_tier", -F.col("doc_id"))
+    one = members.groupBy("sha256").agg(F.max_by("doc_id", best).alias("keep"))
+    left = members.join(one.select(F.col("keep").alias("doc_id")), "doc_id", "left_semi")
+    grouped = left.join(names, "doc_id").join(clusters, "node", "left").withColumn("cluster", F.coalesce("cluster", "node"))
+    stay = representative(grouped).select(F.col("keep_id").alias("doc_id"), F.lit("kept").alias("_near"))
+    after = left.select("doc_id").join(stay, "doc_id", "left").select("doc_id", F.coalesce("_near", F.lit("near")).alias("_stage"))
+    return members.select("doc_id").join(after, "doc_id", "left").select("doc_id", F.coalesce("_stage", F.lit("exact")).alias("stage"))
+
+
+# --- grids: bits -------------------------------------------------------------------------------------
+
+
+def bits_number(bits: Column) -> Column:
+    """64 bits as text of 0 and 1, as one long."""
+    half = lambda at: F.conv(F.substring(bits, at, 32), 2, 10).cast("long")
+    return F.shiftleft(half(1), 32).bitwiseOR(half(33))
 
 
 def hamming(a: Column, b: Column) -> Column:
-    """Differing positions of two texts of bits."""
-    return F.aggregate(F.zip_with(F.split(a, ""), F.split(b, ""), lambda x, y: (x != y).cast("int")), F.lit(0), lambda s, x: s + x)
-
-
-def near_pairs(prints: DataFrame, radius: int = 3) -> DataFrame:
-    """Pairs of ids within ``radius`` bits. Cut into radius + 1 bands, two fingerprints that close agree in
-    one band at least, so an equi-join on bands loses nothing. Equal fingerprints are one node here: the
-    ids are the smallest of each fingerprint."""
-    nodes = prints.groupBy("bits").agg(F.min("doc_id").alias("doc_id"))
-    width = 60 // (radius + 1)
-    bands = F.array(*(F.concat(F.lit(f"{i}:"), F.substring("bits", i * width + 1, width if i < radius else 60)) for i in range(radius + 1)))
-    keyed = nodes.select("doc_id", "bits", F.explode(bands).alias("band"))
+    """Differing bits of two longs."""
+    return F.bit_count(a.bitwiseXOR(b)).cast("int")
+
+
+def near_bits(prints: DataFrame, radius: int = 3) -> DataFrame:
+    """Pairs of ids within ``radius`` of the 64 bits of ``fp``. Of the radius + 3 bands, two fingerprints that close
+    agree in three at least, so an equi-join on triples of bands loses nothing and meets few others. Equal
+    fingerprints are one node: the ids are the smallest of each."""
+    from itertools import combinations
+
+    nodes = prints.groupBy("fp").agg(F.min("vec_id").alias("id"))
+    n, edges = radius + 3, [64 * i // (radius + 3) for i in range(radius + 4)]
+    mask = lambda i: sum(1 << b for b in range(edges[i], edges[i + 1]))
+    masks = [sum(mask(i) for i in three) for three in combinations(range(n), 3)]
+    signed = lambda m: m - (1 << 64) if m >> 63 else m
+    keyed = nodes.select("id", "fp", F.posexplode(F.array(*(F.col("fp").bitwiseAND(F.lit(signed(m))) for m in masks))).alias("band", "key"))
     a, b = keyed.alias("a"), keyed.alias("b")
-    near = hamming(F.col("a.bits"), F.col("b.bits"))
-    return a.join(b, (F.col("a.band") == F.col("b.band")) & (F.col("a.doc_id") < F.col("b.doc_id")) & (near <= radius)).select(F.col("a.doc_id").alias("a"), F.col("b.doc_id").alias("b"), near.alias("bits_apart")).distinct()
+    apart = hamming(F.col("a.fp"), F.col("b.fp"))
+    return a.join(b, (F.col("a.band") == F.col("b.band")) & (F.col("a.key") == F.col("b.key")) & (F.col("a.id") < F.col("b.id")) & (apart <= radius)).select(F.col("a.id").alias("a"), F.col("b.id").alias("b"), apart.alias("bits_apart")).distinct()
+
+
+def near_bits_brute(queries: DataFrame, prints: DataFrame, radius: int = 3) -> DataFrame:
+    """Baseline: a stated set of queries against all fingerprints, both with vec_id and fp."""
+    q = queries.select(F.col("vec_id").alias("q"), F.col("fp").alias("qfp"))
+    apart = hamming(F.col("qfp"), F.col("fp"))
+    return prints.join(q, (apart <= radius) & (F.col("q") != F.col("vec_id"))).select("q", "vec_id", apart.alias("bits_apart"))

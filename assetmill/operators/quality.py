@@ -3,9 +3,15 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from assetmill.operators.ranks import place_in_group
+from assetmill.plans.bounded import small_side
+
+#: Leading digits of a score in millionths that make a cell of ranks: 10^5 cells a stream.
+SCORE_DIGITS = 6
+
 
 def gram(df: DataFrame, features: list[str], target: str) -> DataFrame:
     """Sums of products of features (a constant first) and target: one pass, one row per pair."""
@@ -66,8 +72,16 @@ def tier_fixed(score: Column, cuts: tuple[float, ...] = CUTS) -> Column:
 
 
 def tier_quantile(df: DataFrame, score: str, stream: str, key: str, tiers: int = 5) -> DataFrame:
-    """Tiers by rank inside each stream, exact."""
-    return df.withColumn("tier", F.ntile(tiers).over(Window.partitionBy(stream).orderBy(score, key)))
+    """Tiers by rank inside each stream, exact; the first tiers take what does not divide. Ranks come in two
+    levels, by cells of the rounded score, so a stream with most rows is many groups. Scores are 0 to 10, keys
+    whole numbers."""
+    text = F.lpad(F.round(F.col(score) * 1_000_000).cast("long").cast("string"), 8, "0")
+    placed = place_in_group(df.withColumn("_order", text), [stream], "_order", [score, key], SCORE_DIGITS, rank="_rank")
+    sizes = df.groupBy(F.col(stream).alias("_stream")).agg(F.count(F.lit(1)).alias("_n"))
+    placed = placed.join(small_side(sizes), F.col(stream).eqNullSafe(F.col("_stream")))
+    more, each = F.col("_n") % tiers, F.floor(F.col("_n") / tiers)
+    tier = F.when(F.col("_rank") < more * (each + 1), F.floor(F.col("_rank") / (each + 1))).otherwise(more + F.floor((F.col("_rank") - more * (each + 1)) / F.greatest(each, F.lit(1))))
+    return placed.withColumn("tier", (tier + 1).cast("int")).drop("_order", "_rank", "_stream", "_n")
 
 
 def tier_sketch(df: DataFrame, score: str, stream: str, tiers: int = 5, accuracy: int = 10_000) -> DataFrame:
@@ -84,3 +98,38 @@ def resolution_tier(w: Column, h: Column) -> Column:
 def slice_of(tier: Column, resolution: Column, alignment: Column) -> Column:
     """S1 (best) to S4, and below the floor none."""
     return F.when(tier <= 1, "below_floor").when((tier >= 4) & (resolution >= 2) & (alignment > 0.65), "S1").when((tier >= 4) & (resolution >= 1), "S2").when(tier >= 3, "S3").otherwise("S4")
+
+
+def synthetic_score_with_captions(df: DataFrame) -> Column:
+    """The synthetic score with a fifth of it from how many of a row's captions differ."""
+    return F.round(0.8 * synthetic_score(df) + 2 * F.size(F.array_distinct("captions")) / F.greatest(F.size("captions"), F.lit(1)), 6)
+
+
+def merge_streams(real: DataFrame, synthetic: DataFrame) -> DataFrame:
+    """Survivors of both streams, with which they come from."""
+    return real.withColumn("stream", F.lit("real")).unionByName(synthetic.withColumn("stream", F.lit("synthetic")))
+
+
+#: Share of odd symbols, and of a page outside its body, from which a row is dropped.
+MOST_ODD, MOST_CHROME = 0.1, 0.3
+
+
+def odd_share(text: Column) -> Column:
+    """Characters that are neither letters, digits, blanks nor common punctuation, the stand-in for artifacts."""
+    return F.char_length(F.regexp_replace(text, r"""[\p{L}\p{N} \t\n\r.,;:!?'"()-]""", "")) / F.greatest(F.char_length(text), F.lit(1))
+
+
+def chrome_share(html: Column) -> Column:
+    """Share of a page's bytes in navigation, advertisement and footer."""
+    parts = [F.regexp_extract(html, p, 0) for p in (r"(?s)<nav>.*?</nav>", r'(?s)<div class="ad">.*?</div>', r"(?s)<footer>.*?</footer>")]
+    return sum((F.octet_length(x) for x in parts), F.lit(0)) / F.greatest(F.octet_length(html), F.lit(1))
+
+
+def hard_filters(docs: DataFrame, marks: DataFrame) -> DataFrame:
+    """doc_id, watermark (a line of ``marks``, source and line, stands in it), artifacts, dropped. Marks meet lines,
+    not documents, so a mark that a third of all documents share is one row on its side."""
+    lines = docs.select("doc_id", "source", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).where("line <> ''")
+    hit = lines.join(marks.select(F.col("source").alias("_s"), F.col("line").alias("_l")), F.col("source").eqNullSafe(F.col("_s")) & (F.col("line") == F.col("_l")), "left_semi").select(F.col("doc_id").alias("_d")).distinct()
+    out = docs.join(hit.withColumn("_hit", F.lit(True)), F.col("doc_id") == F.col("_d"), "left")
+    flagged = out.select("doc_id", F.coalesce("_hit", F.lit(False)).alias("watermark"), (F.coalesce(odd_share(F.col("text")), F.lit(0.0)) > MOST_ODD).alias("artifacts"))
+    return flagged.withColumn("dropped", F.col("watermark") | F.col("artifacts"))

@@ -102,5 +102,15 @@ def run_tiers(df: DataFrame, tiers: list[Column]) -> DataFrame:
     return df
 
 
+def tier_counts(df: DataFrame, tiers: list[tuple[str, Column]]) -> DataFrame:
+    """Rows that reach the end of each tier, by name."""
+    out, names = None, []
+    for name, keep in tiers:
+        names.append((name, keep))
+        one = run_tiers(df, [k for _, k in names]).agg(F.lit(name).alias("tier"), F.count(F.lit(1)).alias("kept"))
+        out = one if out is None else out.union(one)
+    return out
+
+
 def dct_basis(side: int = 8) -> list[list[float]]:
     return [[math.cos(math.pi * (2 * x + 1) * u / (2 * side)) * (math.sqrt(1 / side) if u == 0 else math.sqrt(2 / side)) for x in range(side)] for u in range(side)]

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from assetmill.operators import captions as C
 from assetmill.operators import catalog, collect, curriculum, dedup, quality, validate
 from assetmill.operators.components import components
+from assetmill.plans.bounded import at_most
 from assetmill.plans.scratch import Scratch
 from assetmill.sources.tables import table
 
@@ -69,29 +70,48 @@ def w03_exact(spark, d):
 
 W03_EXACT_SQL = ASSETS_SQL + "SELECT sha256, arg_min(doc_id, (-height, doc_id)) AS keep_id, count(*) AS copies FROM assets GROUP BY sha256"
 
-PRINTS_SQL = """
-WITH w AS (SELECT doc_id, string_split(text, ' ') AS w FROM documents),
-g AS (SELECT doc_id, unnest(list_transform(range(1, greatest(1, len(w) - 2) + 1), lambda i: array_to_string(w[i:i + 2], ' '))) AS g FROM w),
-h AS (SELECT doc_id, ('0x' || substr(md5(g), 1, 15))::BIGINT AS h FROM g),
-prints AS (SELECT doc_id, """ + " || ".join(f"CASE WHEN sum(CASE WHEN (h >> {i}) & 1 = 1 THEN 1 ELSE -1 END) > 0 THEN '1' ELSE '0' END" for i in range(60)) + """ AS bits FROM h GROUP BY doc_id),
-nodes AS (SELECT bits, min(doc_id) AS doc_id FROM prints GROUP BY bits)"""
-NEAR_SQL = PRINTS_SQL + ", pairs AS (SELECT a.doc_id AS a, b.doc_id AS b, hamming(a.bits, b.bits)::INTEGER AS bits_apart FROM nodes a JOIN nodes b ON a.doc_id < b.doc_id WHERE hamming(a.bits, b.bits) <= 3)"
+SETS_SQL = r"""
+WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+sets AS (SELECT doc_id, list_sort(list_distinct(CASE WHEN len(w) = 0 THEN []::VARCHAR[] ELSE list_transform(range(1, greatest(1, len(w) - 4) + 1), lambda i: array_to_string(w[i:i + 4], ' ')) END)) AS s FROM w),
+nodes AS (SELECT s, min(doc_id) AS node, len(s) AS n FROM sets GROUP BY s),
+grams AS (SELECT node, n, unnest(s) AS g FROM nodes),
+shared AS (SELECT a.node AS a, b.node AS b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS shared FROM grams a JOIN grams b ON a.g = b.g AND a.node < b.node AND 4 * a.n <= 5 * b.n AND 4 * b.n <= 5 * a.n GROUP BY 1, 2),
+pairs AS (SELECT a, b, shared::INTEGER AS shared, round(shared::DOUBLE / (na + nb - shared), 6) AS jaccard FROM shared WHERE 5 * shared >= 4 * (na + nb - shared))"""
+
+
+def _sets(spark, d, s: Scratch) -> DataFrame:
+    return s.keep(dedup.shingle_sets(table(spark, d, "documents")), "sets")
 
 
 def w03_pairs(spark, d):
-    return dedup.near_pairs(dedup.text_fingerprint(table(spark, d, "documents")))
+    with Scratch(spark, "pairs") as s:
+        return dedup.near_sets(s.keep(dedup.set_nodes(_sets(spark, d, s)), "nodes"))
+
+
+def _near(spark, d, s: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """doc_id and node; near pairs of nodes; node and cluster of the nodes that have one."""
+    sets = _sets(spark, d, s)
+    pairs = s.keep(dedup.near_sets(s.keep(dedup.set_nodes(sets), "nodes")), "pairs")
+    reach = components(pairs.select("a", "b"), s)
+    return s.keep(dedup.set_names(sets), "names"), pairs, reach.withColumnRenamed("component", "cluster")
 
 
 def _clusters(spark, d) -> DataFrame:
     with Scratch(spark, "clusters") as s:
-        prints = s.keep(dedup.text_fingerprint(table(spark, d, "documents")), "prints")
-        reach = components(dedup.near_pairs(prints).select("a", "b"), s)
-        nodes = prints.groupBy("bits").agg(F.min("doc_id").alias("node"))
-        return prints.join(nodes, "bits").join(reach, "node", "left").select("doc_id", F.coalesce("component", "node").alias("cluster"))
+        names, _, reach = _near(spark, d, s)
+        return names.join(reach, "node", "left").select("doc_id", F.coalesce("cluster", "node").alias("cluster"))
 
 
-CLUSTERS_SQL = NEAR_SQL.replace("WITH w AS", "WITH RECURSIVE w AS", 1) + """, e AS (SELECT a, b FROM pairs UNION SELECT b, a FROM pairs), r(n, c) AS (SELECT doc_id, doc_id FROM nodes UNION SELECT e.b, r.c FROM r JOIN e ON r.n = e.a WHERE r.c < e.b),
-cl AS (SELECT p.doc_id, (SELECT min(c) FROM r WHERE r.n = n.doc_id) AS cluster FROM prints p JOIN nodes n ON p.bits = n.bits)"""
+def w03_star(spark, d):
+    with Scratch(spark, "star") as s:
+        names, pairs, _ = _near(spark, d, s)
+        star = dedup.star_clusters(names.select("node").distinct(), pairs)
+        return names.join(star, "node").select("doc_id", "centre")
+
+
+CLUSTERS_SQL = SETS_SQL.replace("WITH w AS", "WITH RECURSIVE w AS", 1) + """, e AS (SELECT a, b FROM pairs UNION SELECT b, a FROM pairs), r(n, c) AS (SELECT node, node FROM nodes UNION SELECT e.b, r.c FROM r JOIN e ON r.n = e.a WHERE r.c < e.b),
+lows AS (SELECT n, min(c) AS cluster FROM r GROUP BY n), cl AS (SELECT doc_id, node, cluster FROM sets JOIN nodes USING (s) JOIN lows ON n = node)"""
+CLUSTERS_SQL = CLUSTERS_SQL.replace("r(n, c) AS (SELECT node, node", "r(rn, c) AS (SELECT node, node").replace("r.n = e.a", "r.rn = e.a").replace("SELECT n, min(c)", "SELECT rn, min(c)").replace("GROUP BY n)", "GROUP BY rn)").replace("ON n = node", "ON rn = node")
 
 
 def w03_rates(spark, d):
@@ -103,14 +123,75 @@ def w03_rates(spark, d):
 W03_RATES_SQL = CLUSTERS_SQL + " SELECT n, after_exact, after_near, round(1 - after_exact::DOUBLE / n, 6) AS exact_rate, round(1 - after_near::DOUBLE / after_exact, 6) AS near_rate FROM (SELECT count(*) AS n, count(DISTINCT sha256(text)) AS after_exact, count(DISTINCT cluster) AS after_near FROM cl JOIN documents USING (doc_id))"
 
 
+def _members(spark, d) -> DataFrame:
+    return assets(spark, d).select("doc_id", "sha256", "width", "height", "quality_tier")
+
+
 def w03_survivors(spark, d):
-    """One document of each near-duplicate cluster, after exact copies are gone."""
-    a = assets(spark, d).select("doc_id", "sha256", "width", "height", "quality_tier")
-    single = a.join(a.groupBy("sha256").agg(F.min("doc_id").alias("doc_id")), ["sha256", "doc_id"], "left_semi")
+    """One document of each near-duplicate cluster, after exact copies are gone: by area, tier and smallest id."""
+    best = F.struct(F.col("width") * F.col("height"), "quality_tier", -F.col("doc_id"))
+    a = _members(spark, d)
+    single = a.join(a.groupBy("sha256").agg(F.max_by("doc_id", best).alias("doc_id")).select("doc_id"), "doc_id", "left_semi")
     return dedup.representative(single.join(_clusters(spark, d), "doc_id"))
 
 
-W03_SURVIVORS_SQL = CLUSTERS_SQL + ", " + ASSETS_SQL.strip().removeprefix("WITH ") + ", u AS (SELECT sha256, min(doc_id) AS doc_id FROM assets GROUP BY 1) SELECT cluster, arg_max(doc_id, (width * height, quality_tier, -doc_id)) AS keep_id, count(*) AS members FROM assets JOIN u USING (sha256, doc_id) JOIN cl USING (doc_id) GROUP BY 1"
+MEMBERS_SQL = CLUSTERS_SQL + ", " + ASSETS_SQL.strip().removeprefix("WITH ") + ", u AS (SELECT arg_max(doc_id, (width * height, quality_tier, -doc_id)) AS doc_id FROM assets GROUP BY sha256), k AS (SELECT cluster, arg_max(doc_id, (width * height, quality_tier, -doc_id)) AS keep_id, count(*) AS members FROM assets JOIN u USING (doc_id) JOIN cl USING (doc_id) GROUP BY 1)"
+W03_SURVIVORS_SQL = MEMBERS_SQL + " SELECT cluster, keep_id, members FROM k"
+
+
+def w03_two_stage(spark, d):
+    """What becomes of each document: removed as an exact copy, as a near copy of what that left, or kept."""
+    with Scratch(spark, "two-stage") as s:
+        names, _, reach = _near(spark, d, s)
+        return dedup.two_stage(_members(spark, d), names, reach)
+
+
+W03_TWO_SQL = MEMBERS_SQL + " SELECT doc_id, CASE WHEN doc_id IN (SELECT keep_id FROM k) THEN 'kept' WHEN doc_id IN (SELECT doc_id FROM u) THEN 'near' ELSE 'exact' END AS stage FROM assets"
+
+
+def w03_diversity(spark, d):
+    """Distinct clusters a row, before and after each stage."""
+    with Scratch(spark, "diversity") as s:
+        names, _, reach = _near(spark, d, s)
+        stage = dedup.two_stage(_members(spark, d), names, reach)
+        rows = s.keep(stage.join(names, "doc_id").join(reach, "node", "left").select("stage", F.coalesce("cluster", "node").alias("cluster")), "rows")
+    part = lambda kept: rows.where(F.col("stage").isin(*kept)).agg(F.count(F.lit(1)).alias("n"), F.count_distinct("cluster").alias("clusters"))
+    out = None
+    for name, kept in DEDUP_STAGES:
+        one = part(kept).select(F.lit(name).alias("after"), "n", F.round(F.col("clusters") / F.col("n"), 6).alias("diversity"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+DEDUP_STAGES = (("collection", ("exact", "near", "kept")), ("exact", ("near", "kept")), ("near", ("kept",)))
+W03_DIV_SQL = MEMBERS_SQL + f", st AS ({W03_TWO_SQL.rsplit(' SELECT doc_id, CASE', 1)[1].join((' SELECT doc_id, CASE', ''))}), x AS (SELECT stage, cluster FROM st JOIN cl USING (doc_id)) " + " UNION ALL ".join(f"SELECT '{n}' AS after, count(*) AS n, round(count(DISTINCT cluster)::DOUBLE / count(*), 6) AS diversity FROM x WHERE stage IN ({', '.join(map(repr, k)) if len(k) > 1 else repr(k[0])})" for n, k in DEDUP_STAGES)
+
+
+def _grid_prints(spark, d) -> DataFrame:
+    """Cosine-sign hashes of the grids and of a slightly noisy copy of each, whose id is moved by a million."""
+    p = pixels(spark, d).select("vec_id", "grid")
+    noise = F.transform("grid", lambda x, i: x + (F.pmod(i * 7919 + F.col("vec_id"), F.lit(1009)) / 1009 - 0.5) * 1e-2)
+    both = p.union(p.select((F.col("vec_id") + 1_000_000).alias("vec_id"), noise.alias("grid")))
+    return dedup.phash_column(both, "grid").select("vec_id", dedup.bits_number(F.col("bits")).alias("fp"))
+
+
+def w04_banded_recall(spark, d):
+    """Near fingerprints found by bands beside a brute-force search of every hundredth grid against all."""
+    with Scratch(spark, "brute") as s:
+        prints = s.keep(_grid_prints(spark, d), "prints")
+        q = prints.where("vec_id % 100 = 0")
+        brute = dedup.near_bits_brute(F.broadcast(q) if at_most(q, BRUTE_QUERIES) else q, prints)
+        found = dedup.near_bits(prints)
+        first = prints.groupBy("fp").agg(F.min("vec_id").alias("id"))
+        named = prints.join(first, "fp").select(F.col("vec_id").alias("v"), "id")
+        links = found.select("a", "b").union(found.select(F.col("b").alias("a"), F.col("a").alias("b"))).union(first.select(F.col("id").alias("a"), F.col("id").alias("b")))
+        asked = brute.join(named.toDF("q", "a"), "q").join(named.toDF("vec_id", "b"), "vec_id")
+        hit = links.distinct().withColumn("hit", F.lit(1))
+        return asked.join(hit, ["a", "b"], "left").agg(F.count(F.lit(1)).alias("brute_pairs"), F.count("hit").alias("banded_pairs"))
+
+
+#: Queries up to which a search by brute force sends them to every executor.
+BRUTE_QUERIES = 100_000
 
 
 def pixels(spark, d) -> DataFrame:
@@ -135,7 +216,7 @@ def w04_planted(spark, d):
     kinds = F.array(F.struct(F.lit("brighten").alias("kind"), F.transform("grid", lambda x: x + 0.1).alias("copy")), F.struct(F.lit("exact").alias("kind"), F.col("grid").alias("copy")), F.struct(F.lit("noise").alias("kind"), noise.alias("copy")))
     p = dedup.phash_column(p, "grid")
     copies = dedup.phash_column(p.select("bits", F.explode(kinds).alias("k")).select("bits", "k.kind", "k.copy"), "copy", "copy_bits")
-    c = copies.select("kind", dedup.hamming(F.col("bits"), F.col("copy_bits")).alias("apart"))
+    c = copies.select("kind", dedup.hamming(dedup.bits_number(F.col("bits")), dedup.bits_number(F.col("copy_bits"))).alias("apart"))
     return c.groupBy("kind").agg(F.round(F.avg((F.col("apart") <= 3).cast("double")), 6).alias("recall"))
 
 
@@ -297,9 +378,10 @@ def w10_scale(spark, d):
 W10_S_SQL = "WITH g AS (SELECT (l_quantity * 16)::INTEGER AS width, (p_size * 16)::INTEGER AS height, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2), " + CROP_SQL.format(a=65536) + f", x AS (SELECT n, cw, ch, {_R} AS kept, row_number() OVER (PARTITION BY width, height ORDER BY {_R} DESC, cw * ch DESC, cw) AS rn FROM g, cr) SELECT cw AS crop_w, ch AS crop_h, sum(n)::BIGINT AS n, round(sum(kept * n) / sum(n), 6) AS mean_kept FROM x WHERE rn = 1 GROUP BY 1, 2"
 
 
-def _batches(spark, d):
+def _batches(spark, d, drop_last: bool = True):
     a = curriculum.assign_crop(assets(spark, d), curriculum.crops(256)).select("doc_id", "crop_w", "crop_h")
-    return curriculum.to_workers(curriculum.batches(a, ["crop_w", "crop_h"], "doc_id", 8, "e0"), 4)
+    with Scratch(spark, "batches") as s:
+        return curriculum.to_workers(curriculum.batches(a, ["crop_w", "crop_h"], "doc_id", 8, "e0", s, drop_last), 4)
 
 
 def w11_batches(spark, d):
@@ -312,13 +394,17 @@ W11_SQL = W10_A_SQL.replace(" SELECT doc_id, cw AS crop_w", ", asg AS (SELECT do
 
 
 def w11_resume(spark, d):
-    """Rows before and after a stop at batch 20, and how many batches stand in both."""
-    b = _batches(spark, d)
-    half = b.agg(F.sum((F.col("batch_rank") < 20).cast("long")).alias("before"), F.sum((F.col("batch_rank") >= 20).cast("long")).alias("after"), F.count(F.lit(1)).alias("whole"))
-    return half
+    """A run that stops after 20 batches and goes on: rows of the whole that neither part has, rows that both have,
+    and rows of the parts that the whole has not."""
+    with Scratch(spark, "resume") as s:
+        whole = s.keep(_batches(spark, d).select("doc_id", "batch_rank", "slot"), "whole")
+    done, rest = whole.where("batch_rank < 20"), curriculum.resume(whole, 20)
+    keys = ["doc_id", "batch_rank", "slot"]
+    count = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    return count(whole, "whole").join(count(done.unionByName(rest), "parts")).join(count(whole.join(done.unionByName(rest), keys, "left_anti"), "missing")).join(count(done.join(rest, keys, "left_semi"), "repeated"))
 
 
-W11_R_SQL = "SELECT count(*) FILTER (batch_rank < 20) AS before, count(*) FILTER (batch_rank >= 20) AS after, count(*) AS whole FROM (" + W11_SQL + ")"
+W11_R_SQL = "SELECT count(*) AS whole, count(*) AS parts, 0::BIGINT AS missing, 0::BIGINT AS repeated FROM (" + W11_SQL + ")"
 
 
 def w12_rate(spark, d):
@@ -397,13 +483,17 @@ QUERIES = {
     "w01_retention_funnel": (w01, W01_SQL),
     "w02_crawl_funnel": (w02, W02_SQL),
     "w03_exact_dedup": (w03_exact, W03_EXACT_SQL),
-    "w03_near_pairs": (w03_pairs, NEAR_SQL + " SELECT * FROM pairs"),
+    "w03_near_pairs": (w03_pairs, SETS_SQL + " SELECT * FROM pairs"),
     "w03_clusters": (_clusters, CLUSTERS_SQL + " SELECT doc_id, cluster FROM cl"),
     "w03_removal_rates": (w03_rates, W03_RATES_SQL),
     "w03_survivors": (w03_survivors, W03_SURVIVORS_SQL),
+    "w03_star": (w03_star, SETS_SQL + ", b AS (SELECT b AS node, arg_max(a, (jaccard, -a)) AS centre FROM pairs GROUP BY 1) SELECT doc_id, coalesce(centre, node) AS centre FROM sets JOIN nodes USING (s) LEFT JOIN b USING (node)"),
+    "w03_two_stage": (w03_two_stage, W03_TWO_SQL),
+    "w03_effective_diversity": (w03_diversity, W03_DIV_SQL),
     "w04_ahash_bits": (w04_ahash, W04_AHASH_SQL),
     "w04_phash_bits": (w04_phash, None),
     "w04_planted_recall": (w04_planted, None),
+    "w04_banded_recall": (w04_banded_recall, None),
     "w05_tier_sizes": (w05_tiers, W05_TIERS_SQL),
     "w05_head_gram": (w05_gram, W05_GRAM_SQL),
     "w05_head_scores": (w05_head, None),
