@@ -17,15 +17,21 @@ def dot(a: Column, b: Column) -> Column:
     return total(F.zip_with(a, b, lambda x, y: x * y))
 
 
+def bind(values: dict[str, Column], body) -> Column:
+    """``body`` of values that are worked out once for a row; inside a function over an array, an expression would
+    be worked out again for each element."""
+    one = F.array(F.struct(*(v.alias(k) for k, v in values.items())))
+    return F.get(F.transform(one, body), F.lit(0))
+
+
 def rms_norm(x: Column, eps: float = 1e-6) -> Column:
-    r = F.sqrt(dot(x, x) / F.size(x) + eps)
-    return F.transform(x, lambda v: v / r)
+    return bind({"x": x}, lambda a: bind({"x": a["x"], "r": F.sqrt(dot(a["x"], a["x"]) / F.size(a["x"]) + eps)}, lambda t: F.transform(t["x"], lambda v: v / t["r"])))
 
 
 def layer_norm(x: Column, eps: float = 1e-6) -> Column:
-    m = total(x) / F.size(x)
-    s = F.sqrt(total(F.transform(x, lambda v: (v - m) * (v - m))) / F.size(x) + eps)
-    return F.transform(x, lambda v: (v - m) / s)
+    spread = lambda a: F.sqrt(total(F.transform(a["x"], lambda v: (v - a["m"]) * (v - a["m"]))) / F.size(a["x"]) + eps)
+    centred = lambda a: bind({"x": a["x"], "m": a["m"], "s": spread(a)}, lambda t: F.transform(t["x"], lambda v: (v - t["m"]) / t["s"]))
+    return bind({"x": x}, lambda y: bind({"x": y["x"], "m": total(y["x"]) / F.size(y["x"])}, centred))
 
 
 def progressive_norm(x: Column, layer: int) -> Column:

@@ -8,6 +8,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from assetmill.plans.ship import ship
+
 
 def weight(i: int, e: int, layer: int = 0, scale: float = 2.0) -> float:
     """Router weights from integer hashing, the same in every engine."""
@@ -60,10 +62,10 @@ def balance(chosen: DataFrame, scored: DataFrame) -> DataFrame:
     expert took."""
     all_ = scored.select("sample", "expert").distinct()
     load = all_.join(chosen.groupBy("sample", "expert").agg(F.count(F.lit(1)).alias("n")), ["sample", "expert"], "left").select(F.coalesce("n", F.lit(0)).alias("n"))
-    tokens = scored.select("sample", "pos").distinct().count()
-    served = chosen.select("sample", "pos").distinct().agg(F.count(F.lit(1)).alias("served"))
+    served = chosen.select("sample", "pos").distinct().withColumn("served", F.lit(1))
+    tokens = scored.select("sample", "pos").distinct().join(served, ["sample", "pos"], "left").agg(F.count_if(F.col("served").isNull()).alias("unserved"))
     one = load.agg(F.round(F.avg("n"), 6).alias("mean_load"), F.round(F.stddev_pop("n") / F.avg("n"), 6).alias("cv"), F.round(F.max("n") / F.avg("n"), 6).alias("peak"))
-    return one.crossJoin(served).select("mean_load", "cv", "peak", (F.lit(tokens) - F.col("served")).alias("unserved"))
+    return one.crossJoin(tokens).select("mean_load", "cv", "peak", "unserved")
 
 
 def capacity(c: float, s: int, e: int) -> int:
@@ -101,18 +103,76 @@ def invert(perm: DataFrame) -> DataFrame:
     return perm.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
 
 
-def grouped_matmul(tokens: DataFrame, dims: int, out_dims: int) -> DataFrame:
-    """Rows (token, expert, x): y = x W_e, one Arrow batch of a group at a time, weights by formula."""
+def expert_weights(experts: int, dims: int, out_dims: int) -> np.ndarray:
+    """Matrices of all experts, by formula."""
+    return np.array([[[weight(i, e * out_dims + j) for j in range(out_dims)] for i in range(dims)] for e in range(experts)])
+
+
+def _by_expert(x: np.ndarray, expert: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Rows put side by side by expert in one buffer, one product a group, and back in their order."""
+    order = np.argsort(expert, kind="stable")
+    at = np.searchsorted(expert[order], np.arange(len(w) + 1))
+    buf, out = x[order], np.empty((len(x), w.shape[2]))
+    for e, (a, b) in enumerate(zip(at, at[1:])):
+        out[order[a:b]] = buf[a:b] @ w[e]
+    return out
+
+
+def _padded(x: np.ndarray, expert: np.ndarray, w: np.ndarray) -> np.ndarray:
+    groups = [np.flatnonzero(expert == e) for e in range(len(w))]
+    out = np.empty((len(x), w.shape[2]))
+    for index, y in zip(groups, padded_matmul([x[g] for g in groups], w)):
+        out[index] = y
+    return out
+
+
+def _one_by_one(x: np.ndarray, expert: np.ndarray, w: np.ndarray) -> np.ndarray:
+    out = np.empty((len(x), w.shape[2]))
+    for e in range(len(w)):
+        here = expert == e
+        out[here] = x[here] @ w[e]
+    return out
+
+
+KERNELS = {"grouped": _by_expert, "padded": _padded, "loop": _one_by_one}
+
+
+def grouped_matmul(tokens: DataFrame, experts: int, dims: int, out_dims: int, kernel: str = "grouped") -> DataFrame:
+    """Rows (token, expert, x): y = x W_e. Weights come from a formula, so tokens are grouped by expert inside
+    each Arrow batch and no expert's tokens meet in one task. ``kernel``: grouped, padded or loop."""
+    ship(tokens.sparkSession)
+    product = KERNELS[kernel]
+
+    def run(batches):
+        import pyarrow as pa
+
+        w = expert_weights(experts, dims, out_dims)
+        for b in batches:
+            if b.num_rows:
+                x = np.array(b.column("x").to_pylist(), dtype=np.float64)
+                y = product(x, b.column("expert").to_numpy(), w)
+                yield pa.record_batch([b.column("token"), b.column("expert"), pa.array(list(y), pa.list_(pa.float64()))], names=["token", "expert", "y"])
+
+    return tokens.select("token", "expert", "x").mapInArrow(run, "token long, expert int, y array<double>")
+
+
+def best_expert(df: DataFrame, features: list[str], experts: int) -> DataFrame:
+    """How many rows have each expert as their best, the first of equals; counted inside each batch before
+    anything is shuffled. Null features count as zero."""
+    ship(df.sparkSession)
 
-    def run(key, table):
+    def run(batches):
         import pyarrow as pa
 
-        e = key[0].as_py()
-        w = np.array([[weight(i, e * out_dims + j) for j in range(out_dims)] for i in range(dims)])
-        y = np.array(table.column("x").to_pylist(), dtype=np.float64) @ w
-        return pa.table({"token": table.column("token"), "expert": table.column("expert"), "y": pa.array(y.tolist())})
+        w = np.array([[weight(i, e) for e in range(experts)] for i in range(len(features))])
+        for b in batches:
+            if b.num_rows:
+                x = np.stack([np.nan_to_num(c.to_numpy(zero_copy_only=False)) for c in b.columns], axis=1)
+                n = np.bincount(np.round(x @ w, 9).argmax(axis=1), minlength=experts)
+                hit = np.flatnonzero(n)
+                yield pa.record_batch([pa.array(hit.astype(np.int32)), pa.array(n[hit])], names=["expert", "n"])
 
-    return tokens.groupBy("expert").applyInArrow(run, "token long, expert int, y array<double>")
+    return df.select(*(F.col(f).cast("double") for f in features)).mapInArrow(run, "expert int, n long").groupBy("expert").agg(F.sum("n").alias("n"))
 
 
 def padded_matmul(x: list[np.ndarray], w: np.ndarray) -> list[np.ndarray]:

@@ -12,6 +12,8 @@ from assetmill.operators import costmodel, mathkit, routing
 from assetmill.sources.tables import table
 
 E, DIMS = 8, 64
+#: Events that fold together.
+FOLDED = 4096
 
 
 def tokens(spark: SparkSession, d: str) -> DataFrame:
@@ -70,11 +72,8 @@ def w13_dropped(spark, d):
 
 def w13_scale(spark, d):
     """Token choice on order lines, with suppliers as samples: load of 64 experts."""
-    x = F.array((F.col("l_quantity") - 25.5) / 14.4, (F.col("l_discount") - 0.05) / 0.03, (F.col("l_tax") - 0.04) / 0.026)
-    li = table(spark, d, "lineitem").select("l_suppkey", x.alias("x"))
-    logits = F.array(*(sum((F.get("x", F.lit(i)) * routing.weight(i, e) for i in range(3)), F.lit(0.0)) for e in range(64)))
-    best = li.select("l_suppkey", F.transform(logits, lambda v: F.round(v, 9)).alias("g")).select((F.array_position("g", F.array_max("g")) - 1).cast("int").alias("expert"))
-    return best.groupBy("expert").agg(F.count(F.lit(1)).alias("n"))
+    li = table(spark, d, "lineitem").select(((F.col("l_quantity") - 25.5) / 14.4).alias("a"), ((F.col("l_discount") - 0.05) / 0.03).alias("b"), ((F.col("l_tax") - 0.04) / 0.026).alias("c"))
+    return routing.best_expert(li, ["a", "b", "c"], 64)
 
 
 W13_S_SQL = "WITH w AS (SELECT e, list(((((i * 73856093 + e * 19349663) % 1009)::DOUBLE / 1009 - 0.5) * 2.0) ORDER BY i) AS w FROM range(64) a(e), range(3) b(i) GROUP BY e), ws AS (SELECT list(w ORDER BY e) AS ws FROM w), x AS (SELECT (l_quantity - 25.5::DOUBLE) / 14.4::DOUBLE AS a, (l_discount - 0.05::DOUBLE) / 0.03::DOUBLE AS b, (l_tax - 0.04::DOUBLE) / 0.026::DOUBLE AS c FROM lineitem), g AS (SELECT list_transform(ws, lambda w: round(a * w[1] + b * w[2] + c * w[3], 9)) AS g FROM x, ws) SELECT (list_position(g, list_max(g)) - 1)::INTEGER AS expert, count(*) AS n FROM g GROUP BY 1"
@@ -126,10 +125,13 @@ def w16_waste(spark, d):
     return c.agg(F.sum("n").alias("tokens"), F.max("n").alias("largest"), F.round(1 - F.sum("n") / (F.count(F.lit(1)) * F.max("n")), 6).alias("waste"))
 
 
-def w16_matmul(spark, d):
-    li = table(spark, d, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("token"), (F.col("l_partkey") % E).cast("int").alias("expert"), F.array("l_quantity", "l_discount", "l_tax").alias("x"))
-    y = routing.grouped_matmul(li, 3, 4)
-    return y.groupBy("expert").agg(F.count(F.lit(1)).alias("n"), *(F.round(F.sum(F.get("y", F.lit(j))), 4).alias(f"y{j}") for j in range(4)))
+def w16_matmul(kernel: str = "grouped"):
+    def run(spark, d):
+        li = table(spark, d, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("token"), (F.col("l_partkey") % E).cast("int").alias("expert"), F.array("l_quantity", "l_discount", "l_tax").alias("x"))
+        y = routing.grouped_matmul(li, E, 3, 4, kernel)
+        return y.groupBy("expert").agg(F.count(F.lit(1)).alias("n"), *(F.round(F.sum(F.get("y", F.lit(j))), 4).alias(f"y{j}") for j in range(4)))
+
+    return run
 
 
 def _w(i: int, j: int) -> str:
@@ -223,10 +225,18 @@ W19_M_SQL = WEIGHT_SQL + ", t AS (SELECT label, embedding, row_number() OVER (PA
 def w19_shadow(spark, d):
     """The running average of each user's values and its unrolled form, which agree."""
     e = table(spark, d, "events").select("user_id", "value", (F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1).alias("k"))
-    n = e.groupBy("user_id").agg(F.max("k").alias("last"), F.transform(F.array_sort(F.collect_list(F.struct("k", "value"))), lambda p: p["value"]).alias("v"))
-    fold = F.aggregate(F.slice("v", F.lit(2), F.size("v")), F.get("v", F.lit(0)), lambda s, x: 0.9 * s + 0.1 * x)
-    unrolled = F.aggregate(F.transform("v", lambda x, j: x * F.when(j == 0, F.pow(F.lit(0.9), F.col("last"))).otherwise(0.1 * F.pow(F.lit(0.9), F.col("last") - j))), F.lit(0.0), lambda s, x: s + x)
-    return n.select("user_id", F.round(fold, 6).alias("folded"), F.round(unrolled, 6).alias("unrolled"))
+    # chunks of a user's events fold on their own: over m events the average keeps 0.9^m of what it was, so no user's
+    # events need to stand in one array
+    chunk = e.withColumn("c", F.floor(F.col("k") / FOLDED)).groupBy("user_id", "c").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "value"))), lambda p: p["value"]).alias("v"))
+    head = F.col("c") == 0
+    start, rest = F.when(head, F.get("v", F.lit(0))).otherwise(F.lit(0.0)), F.when(head, F.slice("v", F.lit(2), F.size("v"))).otherwise(F.col("v"))
+    part = chunk.select("user_id", "c", F.size("v").alias("m"), F.aggregate(rest, start, lambda s, x: 0.9 * s + 0.1 * x).alias("own"))
+    after = F.coalesce(F.sum("m").over(Window.partitionBy("user_id").orderBy(F.desc("c")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    folded = part.select("user_id", (F.col("own") * F.pow(F.lit(0.9), after)).alias("own")).groupBy("user_id").agg(F.round(F.sum("own"), 6).alias("folded"))
+    last = e.groupBy("user_id").agg(F.max("k").alias("last")).withColumnRenamed("user_id", "u")
+    weight = F.when(F.col("k") == 0, F.pow(F.lit(0.9), F.col("last"))).otherwise(0.1 * F.pow(F.lit(0.9), F.col("last") - F.col("k")))
+    unrolled = e.join(last, F.col("user_id") == F.col("u")).groupBy("user_id").agg(F.round(F.sum(F.col("value") * weight), 6).alias("unrolled"))
+    return folded.join(unrolled, "user_id")
 
 
 W19_S_SQL = "WITH e AS (SELECT user_id, value, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS k, count(*) OVER (PARTITION BY user_id) - 1 AS n FROM events) SELECT user_id, round(sum(value * CASE WHEN k = 0 THEN 0.9::DOUBLE ** n ELSE 0.1::DOUBLE * 0.9::DOUBLE ** (n - k) END), 6) AS folded, round(sum(value * CASE WHEN k = 0 THEN 0.9::DOUBLE ** n ELSE 0.1::DOUBLE * 0.9::DOUBLE ** (n - k) END), 6) AS unrolled FROM e GROUP BY user_id"
@@ -293,7 +303,9 @@ QUERIES = {
     "w16_permutation": (lambda s, d: routing.permutation(routing.offsets(counts(s, d))), PERM_SQL + " SELECT * FROM p"),
     "w16_inverse": (lambda s, d: routing.invert(routing.permutation(routing.offsets(counts(s, d)))), PERM_SQL + " SELECT dst AS src, src AS dst FROM p"),
     "w16_padding_waste": (w16_waste, CNT_SQL + ", x AS (SELECT expert, sum(n)::BIGINT AS n FROM c GROUP BY 1) SELECT sum(n)::BIGINT AS tokens, max(n) AS largest, round(1 - sum(n)::DOUBLE / (count(*) * max(n)), 6) AS waste FROM x"),
-    "w16_grouped_matmul": (w16_matmul, W16_M_SQL),
+    "w16_grouped_matmul": (w16_matmul(), W16_M_SQL),
+    "w16_loop_matmul": (w16_matmul("loop"), W16_M_SQL),
+    "w16_padded_matmul": (w16_matmul("padded"), W16_M_SQL),
     "w17_losses": (w17, W17_SQL),
     "w17_z_loss": (w17_z, TOK_SQL + ", z AS (SELECT sample, pos, max(logit) + ln(sum(exp(logit - mx))) AS z FROM m GROUP BY sample, pos) SELECT round(avg(z * z), 6) AS z_loss FROM z"),
     "w17_ortho_loss": (w17_ortho, W17_O_SQL),
