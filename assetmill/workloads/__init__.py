@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from assetmill.workloads import curation, evaluation, extensions, network, relational, rendering, streams
+from assetmill.workloads import blocks, curation, evaluation, extensions, network, relational, rendering, shaping, streams
 
 
 def flagship(spark, sf_dir):
@@ -10,7 +10,7 @@ def flagship(spark, sf_dir):
 
 
 def _all() -> dict:
-    return {**curation.QUERIES, **network.QUERIES, **evaluation.QUERIES, **relational.QUERIES, **streams.QUERIES, **rendering.QUERIES, **extensions.QUERIES}
+    return {**curation.QUERIES, **network.QUERIES, **evaluation.QUERIES, **relational.QUERIES, **streams.QUERIES, **rendering.QUERIES, **extensions.QUERIES, **shaping.QUERIES, **blocks.QUERIES}
 
 
 def queries() -> dict:

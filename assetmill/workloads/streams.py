@@ -6,8 +6,12 @@ what the sink holds, which equals the batch query's rows.
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor
+from pyspark.sql.types import IntegerType
 
 from assetmill.plans.scratch import Scratch
 from assetmill.plans.ship import ship
@@ -86,7 +90,77 @@ def user_state(spark, d):
         return spark.read.schema(rows.schema).parquet(out).groupBy("user_id").agg(F.max("n").alias("n"), F.max("failed").alias("failed"))
 
 
+class LastSuccess(StatefulProcessor):
+    """Of each bucket of shapes the last fetch that succeeded, as state of one row; what a failed fetch takes."""
+
+    def init(self, handle):
+        self.kept = handle.getValueState("kept", "ts timestamp, event_id long, value double")
+
+    def handleInputRows(self, key, rows, timerValues):
+        import pandas as pd
+
+        best = self.kept.get() if self.kept.exists() else None
+        for batch in rows:
+            good = batch[batch["event_type"] != "error"]
+            if len(good):
+                last = good.sort_values(["ts", "event_id"]).iloc[-1]
+                now = (last["ts"], int(last["event_id"]), float(last["value"]))
+                if best is None or (now[0], now[1]) > (pd.Timestamp(best[0]).tz_localize(None) if pd.Timestamp(best[0]).tzinfo else pd.Timestamp(best[0]), best[1]):
+                    best = now
+        if best is not None:
+            self.kept.update((pd.Timestamp(best[0]).to_pydatetime(), best[1], best[2]))
+            yield pd.DataFrame({"shape": [key[0]], "event_id": [best[1]], "value": [best[2]]})
+
+    def close(self):
+        pass
+
+
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def refresh(spark, d):
+    """The placeholder of each bucket after all fetches, kept by state that a new success replaces."""
+    ship(spark)
+    at, before = "spark.sql.streaming.stateStore.providerClass", None
+    before = spark.conf.get(at)
+    rows = _stream(spark, d).select(F.pmod("user_id", F.lit(7)).alias("shape"), "ts", "event_id", "event_type", "value")
+    out = rows.groupBy("shape").transformWithStateInPandas(LastSuccess(), "shape long, event_id long, value double", "update", "None")
+    try:
+        spark.conf.set(at, ROCKS)  # the store that this operator needs, for this query only
+        with Scratch(spark, "st-refresh") as s:
+            sink = s.path("sink")
+            q = out.writeStream.outputMode("update").foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{sink}/batch={i}")).option("checkpointLocation", s.path("log")).trigger(availableNow=True).start()
+            q.awaitTermination()
+            last = spark.read.schema(out.schema.add("batch", IntegerType())).parquet(sink)
+    finally:
+        spark.conf.set(at, before)
+    return last.groupBy("shape").agg(F.max_by(F.struct("event_id", "value"), "batch").alias("x")).select("shape", "x.event_id", F.round("x.value", 6).alias("value"))
+
+
+def late_rows(spark, d):
+    """Rows that arrive after the watermark has passed their hour: two batches, the second with rows a day old, and
+    what the query's own progress says it dropped."""
+    e = table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    newest = e.agg(F.max("ts").alias("newest"))
+    with Scratch(spark, "st-late") as s:
+        feed = s.path("feed")
+        e.coalesce(1).write.parquet(f"{feed}/batch=0")
+        read = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{feed}/batch=*")
+        hours = read.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+
+        def drain():
+            q = hours.writeStream.outputMode("append").format("parquet").option("path", s.path("sink")).option("checkpointLocation", s.path("log")).trigger(availableNow=True).start()
+            q.awaitTermination()
+            return sum(int(o["numRowsDroppedByWatermark"]) for p in q.recentProgress for o in json.loads(p.json if isinstance(p.json, str) else json.dumps(p))["stateOperators"])
+
+        before = drain()
+        e.join(newest).where("ts > newest - INTERVAL 10 MINUTES").select("event_id", (F.col("ts") - F.expr("INTERVAL 1 DAY")).alias("ts")).coalesce(1).write.parquet(f"{feed}/batch=1")
+        return spark.createDataFrame([(before, drain())], "on_time long, late long")
+
+
 QUERIES = {
+    "st_placeholder": (refresh, "SELECT user_id % 7 AS shape, arg_max(event_id, (ts, event_id)) AS event_id, round(arg_max(value, (ts, event_id)), 6) AS value FROM events WHERE event_type <> 'error' GROUP BY 1"),
+    "st_late_rows": (late_rows, None),
     "st_session": (session, "WITH g AS (SELECT user_id, ts, (ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 MINUTE)::INTEGER AS same FROM events), k AS (SELECT *, sum(1 - coalesce(same, 0)) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS n FROM k GROUP BY user_id, k"),
     "st_user_state": (user_state, "SELECT user_id, count(*) AS n, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1"),
     "st_tumbling": (tumbling, "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) AS n, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1"),
