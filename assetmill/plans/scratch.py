@@ -22,6 +22,9 @@ def scratch_root(spark: SparkSession) -> str:
         with contextlib.suppress(Exception):
             named = spark.sparkContext.getCheckpointDir()
     if not named:
+        master = spark.sparkContext.master
+        if not (master == "local" or master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         named = _LOCAL.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="assetmill-"))
     return named.rstrip("/")
 

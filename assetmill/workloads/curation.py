@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from assetmill.operators import captions as C
 from assetmill.operators import catalog, collect, curriculum, dedup, quality, validate
 from assetmill.operators.components import components
-from assetmill.plans.bounded import at_most
+from assetmill.plans.bounded import at_most, small_side
 from assetmill.plans.scratch import Scratch
 from assetmill.sources.tables import table
 
@@ -284,7 +284,7 @@ W06_SQL = ASSETS_SQL + ", " + ALIGN_SQL + ", j AS (SELECT a.*, coalesce(s, 0.5)
 def aligned(spark, d) -> DataFrame:
     e = table(spark, d, "embeddings")
     centres = e.select("label", F.posexplode("embedding").alias("i", "x")).groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("m")).groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "m"))), lambda p: p["m"]).alias("centre"))
-    return e.join(F.broadcast(centres), "label").select("vec_id", "label", F.round(C.align_vector(F.col("embedding"), F.col("centre")), 6).alias("s"))
+    return e.join(small_side(centres), "label").select("vec_id", "label", F.round(C.align_vector(F.col("embedding"), F.col("centre")), 6).alias("s"))
 
 
 def w07_vectors(spark, d):
@@ -479,6 +479,25 @@ def w30_diff(spark, d):
 _T = "1 + ({x} >= 5.0)::INTEGER + ({x} >= 7.0)::INTEGER + ({x} >= 8.5)::INTEGER + ({x} >= 9.2)::INTEGER"
 W30_D_SQL = ASSETS_SQL + f", y AS (SELECT doc_id, raw_score AS a, quality_tier AS ta, CASE WHEN doc_id % 10 = 3 THEN raw_score + 1 ELSE raw_score END AS b FROM assets), z AS (SELECT *, {_T.format(x='b')} AS tb, doc_id % 50 <> 0 AS inb FROM y) SELECT 'raw_score' AS item, count(*) FILTER (inb AND a <> b) AS changed FROM z UNION ALL SELECT 'quality_tier', count(*) FILTER (inb AND ta <> tb) FROM z UNION ALL SELECT 'rows_added', 0 UNION ALL SELECT 'rows_removed', count(*) FILTER (NOT inb) FROM z"
 
+# cosine coefficients, rounded, of rows (id, kind, grid), and their signs against the median
+_DCT = """basis AS (SELECT v * 8 + u AS k, list(cos(pi() * (2 * (i // 8) + 1) * v / 16) * (CASE v WHEN 0 THEN sqrt(0.125::DOUBLE) ELSE 0.5 END) * cos(pi() * (2 * (i % 8) + 1) * u / 16) * (CASE u WHEN 0 THEN sqrt(0.125::DOUBLE) ELSE 0.5 END) ORDER BY i) AS b FROM range(8) a(v), range(8) c(u), range(64) d(i) GROUP BY v, u),
+coef AS (SELECT id, kind, list(round(list_dot_product(grid, b), 9) ORDER BY k) AS f FROM grids, basis GROUP BY id, kind),
+bits AS (SELECT id, kind, array_to_string(list_transform(f, lambda x: CASE WHEN x > (list_sort(f)[32] + list_sort(f)[33]) / 2 THEN '1' ELSE '0' END), '') AS bits FROM coef)"""
+W04_PHASH_SQL = "WITH grids AS (SELECT vec_id AS id, 'own' AS kind, embedding::DOUBLE[] AS grid FROM embeddings), " + _DCT + " SELECT id AS vec_id, bits FROM bits"
+W04_PLANTED_SQL = "WITH e AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings), grids AS (SELECT vec_id AS id, 'own' AS kind, x AS grid FROM e UNION ALL SELECT vec_id, 'exact', x FROM e UNION ALL SELECT vec_id, 'brighten', list_transform(x, lambda a: a + 0.1::DOUBLE) FROM e UNION ALL SELECT vec_id, 'noise', list_transform(range(64), lambda i: x[i + 1] + (((i * 7919 + vec_id) % 1009)::DOUBLE / 1009 - 0.5) * 1e-4) FROM e), " + _DCT + " SELECT c.kind, round(avg((hamming(o.bits, c.bits) <= 3)::INTEGER::DOUBLE), 6) AS recall FROM bits c JOIN bits o ON c.id = o.id AND o.kind = 'own' WHERE c.kind <> 'own' GROUP BY 1"
+# weights of two features and a constant by Cramer's rule on the rounded sums
+_DET = "({0}) * (({4}) * ({8}) - ({5}) * ({7})) - ({1}) * (({3}) * ({8}) - ({5}) * ({6})) + ({2}) * (({3}) * ({7}) - ({4}) * ({6}))"
+_M = ["n + 1e-6", "l", "v", "l", "ll + 1e-6", "lv", "v", "lv", "vv + 1e-6"]
+
+
+def _cramer(i: int) -> str:
+    cells = list(_M)
+    cells[i], cells[3 + i], cells[6 + i] = "t", "lt", "vt"
+    return f"({_DET.format(*cells)}) / ({_DET.format(*_M)})"
+
+
+W05_HEAD_SQL = ASSETS_SQL + ", j AS (SELECT letters, variety, quality FROM assets JOIN labels USING (doc_id)), s AS (SELECT round(sum(1.0::DOUBLE), 4) AS n, round(sum(letters), 4) AS l, round(sum(variety), 4) AS v, round(sum(letters * letters), 4) AS ll, round(sum(letters * variety), 4) AS lv, round(sum(variety * variety), 4) AS vv, round(sum(quality::DOUBLE), 4) AS t, round(sum(letters * quality), 4) AS lt, round(sum(variety * quality), 4) AS vt FROM j), " + f"w AS (SELECT {_cramer(0)} AS w0, {_cramer(1)} AS w1, {_cramer(2)} AS w2 FROM s) SELECT quality, round(avg(w0 + w1 * letters + w2 * variety), 4) AS mean_score, count(*) AS n FROM j, w GROUP BY 1"
+
 QUERIES = {
     "w01_retention_funnel": (w01, W01_SQL),
     "w02_crawl_funnel": (w02, W02_SQL),
@@ -491,12 +510,12 @@ QUERIES = {
     "w03_two_stage": (w03_two_stage, W03_TWO_SQL),
     "w03_effective_diversity": (w03_diversity, W03_DIV_SQL),
     "w04_ahash_bits": (w04_ahash, W04_AHASH_SQL),
-    "w04_phash_bits": (w04_phash, None),
-    "w04_planted_recall": (w04_planted, None),
+    "w04_phash_bits": (w04_phash, W04_PHASH_SQL),
+    "w04_planted_recall": (w04_planted, W04_PLANTED_SQL),
     "w04_banded_recall": (w04_banded_recall, None),
     "w05_tier_sizes": (w05_tiers, W05_TIERS_SQL),
     "w05_head_gram": (w05_gram, W05_GRAM_SQL),
-    "w05_head_scores": (w05_head, None),
+    "w05_head_scores": (w05_head, W05_HEAD_SQL),
     "w05_calibration": (w05_calibration, W05_CAL_SQL),
     "w05_tier_quantiles": (w05_quantile, W05_Q_SQL),
     "w05_synthetic_score": (w05_synth, W05_S_SQL),

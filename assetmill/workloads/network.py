@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from assetmill.operators import costmodel, mathkit, routing
+from assetmill.plans.bounded import small_side
 from assetmill.sources.tables import table
 
 E, DIMS = 8, 64
@@ -28,7 +29,7 @@ def scored(spark, d) -> DataFrame:
 
 def capacity(spark, d, c: float):
     n = table(spark, d, "embeddings").groupBy(F.col("label").alias("s")).agg(F.ceil(F.lit(float(c)) * F.count(F.lit(1)) / E).cast("int").alias("cap"))
-    return F.broadcast(n)
+    return small_side(n)
 
 
 def chosen(spark, d, c: float = 2) -> DataFrame:
@@ -291,6 +292,18 @@ def w_costs(spark, d):
     return spark.createDataFrame(rows, "measure string, value double")
 
 
+W15_SQL = f"""WITH t AS (SELECT label AS sample, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS pos, embedding::DOUBLE[] AS x FROM embeddings),
+w AS (SELECT e::INTEGER AS expert, list(((((i * 73856093 + e * 19349663) % 1009)::DOUBLE / 1009 - 0.5) * 2.0) ORDER BY i) AS w FROM range({E}) a(e), range({DIMS + 2}) b(i) GROUP BY e),
+m AS (SELECT sample, pos, mode, s, CASE mode WHEN 'decoupled' THEN list_concat(x, [s, 1 - s]) WHEN 'modulated' THEN list_concat(list_transform(range(64), lambda i: x[i + 1] * (1 + CASE WHEN i % 7 = 0 THEN 10 * s ELSE 0 END)), [0.0::DOUBLE, 0.0::DOUBLE]) ELSE list_concat(x, [0.0::DOUBLE, 0.0::DOUBLE]) END AS h FROM t, (VALUES ('decoupled'), ('modulated'), ('content')) v(mode), (VALUES (0.0::DOUBLE), (1.0)) z(s)),
+l AS (SELECT sample, pos, mode, s, expert, list_dot_product(h, w) AS g FROM m, w), e AS (SELECT *, exp(g - max(g) OVER (PARTITION BY sample, pos, mode, s)) AS z FROM l),
+p AS (SELECT *, round(z / sum(z) OVER (PARTITION BY sample, pos, mode, s), 9) AS score FROM e), r AS (SELECT *, row_number() OVER (PARTITION BY sample, pos, mode, s ORDER BY score DESC, expert) AS place FROM p),
+k AS (SELECT * FROM r WHERE place <= 2), c AS (SELECT mode, count(*) AS n FROM k a JOIN k b USING (sample, pos, mode, expert) WHERE a.s = 0 AND b.s = 1 GROUP BY 1)
+SELECT mode, round(n / (2.0::DOUBLE * (SELECT count(*) FROM t)), 6) AS overlap FROM c"""
+COST_SQL = """WITH p AS (SELECT 32 * (2 * 2048 * 16 * 128 + 2 * 2048 * 4 * 128) + 3 * 3 * 2048 * 8192 + 29 * 2 * 2048 * 64 AS common, (29 * 3 * 2048 * 1344)::BIGINT AS layer)
+SELECT * FROM (VALUES ('padded_share_1_2_9', 1 - 12 / 27.0::DOUBLE), ('fused_gate_saving', 1 - 4 / 6.0::DOUBLE), ('exchange_bytes_64', (2 * 4096 * 2048 * 2 * 63 // 64)::DOUBLE), ('shadow_bytes_17b', 68000000000::DOUBLE),
+('tokens_per_step_1', (4096 * 16 * 16)::DOUBLE), ('tokens_per_step_2', (1024 * 32 * 32)::DOUBLE), ('tokens_per_step_3', (256 * 64 * 64)::DOUBLE)) v(measure, value)
+UNION ALL SELECT 'total_parameters', (common + layer * 65)::DOUBLE FROM p UNION ALL SELECT 'active_parameters', (common + layer * 2)::DOUBLE FROM p"""
+
 QUERIES = {
     "w13_expert_choice": (w13_ec, TOK_SQL + _GATED + "chosen"),
     "w13_token_choice": (w13_tc, TOK_SQL + _GATED + "picked"),
@@ -298,7 +311,7 @@ QUERIES = {
     "w13_token_choice_dropped": (w13_dropped, TOK_SQL + f", s AS (SELECT *, row_number() OVER (PARTITION BY sample, expert ORDER BY score DESC, pos) AS seat FROM picked) SELECT sample, count(*) AS kept FROM s WHERE seat <= ceil(2.0 * n / {E}) GROUP BY sample"),
     "w13_scale": (w13_scale, W13_S_SQL),
     "w14_capacity": (w14, W14_SQL),
-    "w15_router_variants": (w15, None),
+    "w15_router_variants": (w15, W15_SQL),
     "w16_offsets": (lambda s, d: routing.offsets(counts(s, d)), CNT_SQL + " SELECT * FROM o"),
     "w16_permutation": (lambda s, d: routing.permutation(routing.offsets(counts(s, d))), PERM_SQL + " SELECT * FROM p"),
     "w16_inverse": (lambda s, d: routing.invert(routing.permutation(routing.offsets(counts(s, d)))), PERM_SQL + " SELECT dst AS src, src AS dst FROM p"),
@@ -316,6 +329,6 @@ QUERIES = {
     "w19_lr": (w19_lr, W19_L_SQL),
     "w20_groups": (w20, W20_SQL),
     "w21_costs": (w21, W21_SQL),
-    "w21_other_costs": (w_costs, None),
-    "w22_joint_attention": (w22, None),
+    "w21_other_costs": (w_costs, COST_SQL),
+    "w22_joint_attention": (w22, "SELECT label AS sample, count(*) - 8 AS tokens, 0.0::DOUBLE AS gap FROM embeddings GROUP BY 1"),
 }

@@ -6,9 +6,12 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from assetmill.operators import curriculum
+from assetmill.plans.bounded import small_side
 from assetmill.sources.tables import table as T
 
 _J = F.col
+#: Query vectors up to which they go to every executor; more are joined block by block.
+SENT_VECTORS = 20_000
 
 
 def scan_pushdown(s, d):
@@ -175,7 +178,7 @@ def arrays(s, d):
 def knn(s, d):
     """The three nearest vectors of each vector whose id is divisible by 100, against all, in blocks."""
     e = T(s, d, "embeddings").select("vec_id", _J("embedding").cast("array<double>").alias("v"))
-    q = F.broadcast(e.where("vec_id % 100 = 0").select(_J("vec_id").alias("q"), _J("v").alias("qv")))
+    q = small_side(e.where("vec_id % 100 = 0").select(_J("vec_id").alias("q"), _J("v").alias("qv")), SENT_VECTORS)
     dot = F.aggregate(F.zip_with("v", "qv", lambda a, b: a * b), F.lit(0.0), lambda t, x: t + x)
     c = e.join(q, _J("q") != _J("vec_id")).select("q", "vec_id", F.round(dot, 6).alias("sim"))
     return c.withColumn("rn", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("sim"), "vec_id"))).where("rn <= 3")
