@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
+import contextlib
 import gc
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from assetmill.plans.ship import ship
 
-#: Rows that become Python objects at a time.
-SLICE = 512
+#: Rows, and bytes of text, that become Python objects at a time; a longer text goes alone.
+SLICE, SLICE_BYTES = 512, 1 << 20
 
 
 def raw_text(column: str = "text") -> Column:
@@ -23,8 +26,14 @@ def raw_text(column: str = "text") -> Column:
 def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, ...]]:
     """The columns of a few rows at a time, as lists."""
     for batch in batches:
-        for at in range(0, batch.num_rows, SLICE):
-            yield tuple(c.to_pylist() for c in batch.slice(at, SLICE).columns)
+        long = [c for c in batch.columns if pa.types.is_binary(c.type) or pa.types.is_string(c.type)]
+        size = sum((pc.fill_null(pc.binary_length(c), 0).to_numpy(zero_copy_only=False).astype(np.int64) for c in long), np.zeros(batch.num_rows, dtype=np.int64))
+        end, at = np.cumsum(size), 0
+        while at < batch.num_rows:
+            fits = int(np.searchsorted(end, (end[at - 1] if at else 0) + SLICE_BYTES, side="right"))
+            stop = min(max(fits, at + 1), at + SLICE)
+            yield tuple(c.to_pylist() for c in batch.slice(at, stop - at).columns)
+            at = stop
 
 
 def arrow_schema(ddl: str) -> pa.Schema:
@@ -35,6 +44,25 @@ def arrow_schema(ddl: str) -> pa.Schema:
 _HELD: dict[str, dict] = {}
 
 
+def _return_freed() -> None:
+    """Give freed memory back to the system where the C library can."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def tidy(run: Callable) -> Callable:
+    """``run`` over the batches of a task, after which the worker gives back what it does not use."""
+
+    def whole(batches):
+        yield from run(batches)
+        _return_freed()
+
+    return whole
+
+
 def held(owner: str) -> dict:
     """What an operator keeps in this worker between tasks; what others keep is freed."""
     others = [kept for name, kept in _HELD.items() if name != owner and kept]
@@ -43,19 +71,32 @@ def held(owner: str) -> dict:
     if others:
         gc.unfreeze()
         gc.collect()
+        _return_freed()
     return _HELD.setdefault(owner, {})
 
 
-def map_rows(df: DataFrame, make: Callable[[], Callable[..., tuple]], ddl: str, owner: str = "") -> DataFrame:
-    """Each row of ``df``, its columns given in order to the function that ``make`` returns (made
-    once a task), becomes one row with the columns of ``ddl``. ``owner`` names what ``make`` keeps by ``held``."""
+def map_slices(df: DataFrame, make: Callable[[], Callable[..., Iterable[tuple]]], ddl: str, owner: str = "") -> DataFrame:
+    """A few rows of ``df`` at a time, given column by column to the function that ``make`` returns (made once a
+    task), become rows with the columns of ``ddl``. ``owner`` names what ``make`` keeps by ``held``."""
     ship(df.sparkSession)
 
     def run(batches):
         held(owner)
-        one, schema = make(), arrow_schema(ddl)
+        some, schema = make(), arrow_schema(ddl)
         for columns in slices(batches):
-            out = [one(*row) for row in zip(*columns)]
-            yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
+            out = list(some(*columns))
+            if out:
+                yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
+
+    return df.mapInArrow(tidy(run), ddl)
+
+
+def map_rows(df: DataFrame, make: Callable[[], Callable[..., tuple]], ddl: str, owner: str = "") -> DataFrame:
+    """``map_slices`` where each row, its columns given in order to the function that ``make`` returns, becomes
+    one row."""
+
+    def some():
+        one = make()
+        return lambda *columns: (one(*row) for row in zip(*columns))
 
-    return df.mapInArrow(run, ddl)
+    return map_slices(df, some, ddl, owner)

@@ -14,25 +14,38 @@ from __future__ import annotations
 
 import gc
 import json
+import os
 import re
+import unicodedata
+from array import array
+from collections.abc import Iterable
+from functools import cache
 
-import regex
-
+import numpy as np
 from pyspark.sql import DataFrame
 
-from assetmill.llm.batches import held, map_rows, raw_text
+from assetmill.llm.batches import held, map_slices, raw_text
 
-# How byte-level vocabularies cut a text into pieces, and their printable bytes.
-PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+# How byte-level vocabularies cut a text into pieces ({L}, {N}, {S}: letters, numbers, spaces), their
+# printable bytes, their spaces, and the letters and numbers that Unicode 16 has over 15.1.
+PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?[{L}]+| ?[{N}]+| ?[^{S}{L}{N}]+|[{S}]+(?![^{S}])|[{S}]+"
 PRINTABLE = (range(33, 127), range(161, 173), range(174, 256))
-
-#: Encodings that a worker remembers, of pieces and of space-cut chunks, in each of two generations.
-CACHED_TEXTS = 400_000
-#: Texts longer than this are encoded again each time.
-CACHED_LENGTH = 64
-#: Pairs of tokens whose compatibility a worker remembers, in each of two generations.
-CACHED_PAIRS = 200_000
-_NEVER = 1 << 60
+SPACES = ((0x9, 0xD), (0x20, 0x20), (0x85, 0x85), (0xA0, 0xA0), (0x1680, 0x1680), (0x2000, 0x200A), (0x2028, 0x2029), (0x202F, 0x202F), (0x205F, 0x205F), (0x3000, 0x3000))
+LETTERS_16 = (
+    (0x1C89, 0x1C8A), (0xA7CB, 0xA7CD), (0xA7DA, 0xA7DC), (0x105C0, 0x105F3), (0x10D4A, 0x10D65), (0x10D6F, 0x10D85), (0x10EC2, 0x10EC4), (0x11380, 0x11389), (0x1138B, 0x1138B), (0x1138E, 0x1138E), (0x11390, 0x113B5),
+    (0x113B7, 0x113B7), (0x113D1, 0x113D1), (0x113D3, 0x113D3), (0x11BC0, 0x11BE0), (0x13460, 0x143FA), (0x16100, 0x1611D), (0x16D40, 0x16D6C), (0x18CFF, 0x18CFF), (0x1E5D0, 0x1E5ED), (0x1E5F0, 0x1E5F0),
+)
+NUMBERS_16 = ((0x10D40, 0x10D49), (0x116D0, 0x116E3), (0x11BF0, 0x11BF9), (0x16130, 0x16139), (0x16D70, 0x16D79), (0x1CCF0, 0x1CCF9), (0x1E5F1, 0x1E5FA))
+
+#: Bytes of encodings that a worker remembers between batches, by the sizes of its objects, and the longest text of one.
+CACHED_BYTES, CACHED_LENGTH = 16 << 20, 64
+#: Pieces beyond this many bytes are encoded one by one; the pairs of tokens that these remember.
+LONG, PLAIN_PAIRS = 256, 100_000
+#: Places, as a power of two, for pairs of tokens whose compatibility a worker remembers.
+PAIR_BITS = 18
+#: What an entry of a table takes besides its key and value.
+_ENTRY = 104
+_NEVER, _SPREAD = (1 << 31) - 1, np.uint64(0x9E3779B97F4A7C15)
 
 
 def byte_letters() -> list[str]:
@@ -44,68 +57,140 @@ def byte_letters() -> list[str]:
     return out
 
 
-class Remembered(dict):
-    """A bounded cache: a full generation becomes the old one, and what is asked for again moves up."""
+def _ranges(kind: str, more: tuple[tuple[int, int], ...]) -> list[tuple[int, int]]:
+    """Code points of a general category as this Python knows it, and ``more``."""
+    has = bytearray(unicodedata.category(chr(i))[0] == kind for i in range(0x110000))
+    for a, b in more:
+        has[a : b + 1] = b"\1" * (b + 1 - a)
+    return [(m.start(), m.end() - 1) for m in re.finditer(b"\1+", bytes(has))]
+
+
+@cache
+def piece_pattern(plain: bool) -> re.Pattern:
+    """Cuts a text into pieces; ``plain`` serves ASCII texts only. The classes are those of Unicode 16."""
+    if plain:
+        return re.compile(PIECES.format(L="A-Za-z", N="0-9", S=r"\t-\r "))
+    name = lambda ranges: "".join(f"\\U{a:08X}-\\U{b:08X}" for a, b in ranges)
+    return re.compile(PIECES.format(L=name(_ranges("L", LETTERS_16)), N=name(_ranges("N", NUMBERS_16)), S=name(SPACES)))
+
+
+class Table:
+    """A fixed map from numbers below 2^63 to numbers of 32 bits, looked up many at a time; -1 if absent."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        bits = max(4, (4 * len(keys) - 1).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.keys, self.values = np.full(1 << bits, -1, dtype=np.int64), np.full(1 << bits, -1, dtype=np.int32)
+        left = np.arange(len(keys))
+        at = self._home(keys)
+        while len(left):
+            free = left[self.keys[at] == -1]
+            spot = at[self.keys[at] == -1]
+            self.keys[spot] = keys[free]  # of several for one place the last stays
+            self.values[spot] = values[free]
+            lost = self.keys[at] != keys[left]
+            left, at = left[lost], (at[lost] + 1) & (len(self.keys) - 1)
+
+    def _home(self, keys: np.ndarray) -> np.ndarray:
+        return (keys.view(np.uint64) * _SPREAD >> self.shift).view(np.int64)
+
+    def __call__(self, keys: np.ndarray) -> np.ndarray:
+        at = self._home(keys)
+        found, out = self.keys[at], self.values[at]
+        other = np.flatnonzero((found != keys) & (found != -1))
+        while len(other):
+            at[other] = (at[other] + 1) & (len(self.keys) - 1)
+            now = self.keys[at[other]]
+            out[other] = self.values[at[other]]
+            found[other] = now
+            other = other[(now != keys[other]) & (now != -1)]
+        return out
+
+    def items(self):
+        here = self.keys >= 0
+        return zip(self.keys[here].tolist(), self.values[here].tolist())
+
 
-    def __init__(self, make, most: int, longest: int = 0):
-        super().__init__()
-        self.make, self.most, self.longest, self.old = make, most, longest, {}
+class Edges:
+    """The parts on one edge of each token, from its byte to itself, each with the rank of the merge that
+    takes it into the next."""
 
-    def __missing__(self, key):
-        value = self.old.get(key)
-        if value is None:
-            value = self.make(key)
-            if self.longest and len(key) > self.longest:
-                return value
-        if len(self) >= self.most:
-            self.old = dict(self)
-            self.clear()
-        self[key] = value
-        return value
+    def __init__(self, inner: list[int], rank: list[int], words: dict[bytes, int]):
+        self.start = np.zeros(len(inner), dtype=np.int32)
+        part: list[int] = []
+        until: list[int] = []
+        for token in words.values():
+            spine, now, take = [], token, _NEVER
+            while True:
+                spine.append((now, take))
+                if inner[now] < 0:
+                    break
+                take, now = rank[now], inner[now]
+            self.start[token] = len(part)
+            part += [x for x, _ in reversed(spine)]
+            until += [r for _, r in reversed(spine)]
+        self.part, self.until = np.array(part, dtype=np.int32), np.array(until, dtype=np.int32)
 
 
 class BytePairs:
-    """Encoder and decoder for a tokenizer file of byte-level byte pairs."""
+    """Encoder and decoder for a tokenizer file of byte-level byte pairs. It is built once, on the driver;
+    workers get its tables, which are flat arrays, and remember the words of a bounded number of bytes."""
 
-    def __init__(self, source: bytes, cached_texts: int = CACHED_TEXTS):
+    def __init__(self, source: bytes, cached_bytes: int = CACHED_BYTES):
         spec = json.loads(source)
         letters = {c: b for b, c in enumerate(byte_letters())}
         as_bytes = lambda s: bytes(letters[c] for c in s)
         model = spec["model"]
         ids = {as_bytes(t): i for t, i in model["vocab"].items() if all(c in letters for c in t)}
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
-        self.bytes_of: dict[int, bytes] = {i: b for b, i in ids.items()} | {i: s.encode() for s, i in self.special.items()}
+        bytes_of = {i: b for b, i in ids.items()} | {i: s.encode() for s, i in self.special.items()}
         if any(bytes([b]) not in ids for b in range(256)):
             raise ValueError("not a byte-level vocabulary: some byte has no token")
-        self.size = [len(self.bytes_of.get(i, b"")) for i in range(max(self.bytes_of) + 1)]
-        self.digits = {i: str(i) for i in self.bytes_of}
-        self.merges: dict[tuple[int, int], int] = {}
-        self.parts: dict[int, tuple[int, int]] = {}
-        self.rank: dict[int, int] = {}
+        count = max(bytes_of) + 1
+        if count > 1 << 20:
+            raise ValueError("more than 2^20 tokens")
+        self.bytes_of = [bytes_of.get(i, b"") for i in range(count)]
+        self.size = np.array([len(b) for b in self.bytes_of], dtype=np.int32)
+        self.code = np.dtype(np.uint16 if count <= 1 << 16 else np.uint32)
+        merges: dict[int, int] = {}
+        first, second, rank = [-1] * count, [-1] * count, [-1] * count
         for r, m in enumerate(model["merges"]):
             a, b = (as_bytes(x) for x in (m.split(" ") if isinstance(m, str) else m))
-            whole = ids[a + b]
-            self.merges[ids[a], ids[b]] = r
-            if whole not in self.parts:
-                self.parts[whole], self.rank[whole] = (ids[a], ids[b]), r
-        self._right: dict[int, list[tuple[int, int]]] = {}
-        self._left: dict[int, list[tuple[int, int]]] = {}
-        sound: dict[int, bool] = {}
-        words: dict[bytes, int] = {}
-        for b, i in sorted(ids.items(), key=lambda x: len(x[0])):
-            if i in self.parts:
-                x, y = self.parts[i]
-                sound[i] = sound.get(x, False) and sound.get(y, False) and self._walk(x, y, top=True)
-            else:
-                sound[i] = len(b) == 1
-            if sound[i]:
+            whole, left, right = ids[a + b], ids[a], ids[b]
+            merges[left << 20 | right] = r
+            if first[whole] < 0:
+                first[whole], second[whole], rank[whole] = left, right, r
+        self.merges = Table(np.array(list(merges), dtype=np.int64), np.array(list(merges.values()), dtype=np.int32))
+        words = {b: i for b, i in ids.items() if len(b) == 1}
+        longer = sorted(((b, i) for b, i in ids.items() if first[i] >= 0), key=lambda x: len(x[0]))
+        self.left, self.right = Edges(first, rank, ids), Edges(second, rank, ids)
+        # a token is sound if its parts are and meet whole
+        meet = self._apart(np.array([first[i] for _, i in longer], dtype=np.int64), np.array([second[i] for _, i in longer], dtype=np.int64), top=True)
+        sound = set(words.values())
+        for (b, i), whole in zip(longer, meet.tolist()):
+            if whole and first[i] in sound and second[i] in sound:
+                sound.add(i)
                 words[b] = i
-        self.words = words
         self._automaton(words)
-        self.pieces = regex.compile(PIECES)
+        self._ready(cached_bytes)
+
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k not in ("special_split", "pairs", "fit", "known", "bare", "used", "digits", "_plain")}
+
+    def __setstate__(self, state):
+        self.__dict__.update(state)
+        self._ready(self.cached_bytes)
+
+    def _ready(self, cached_bytes: int) -> None:
+        self.cached_bytes = cached_bytes
+        self.digits = [str(i) for i in range(len(self.bytes_of))]
         self.special_split = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        self.fits = Remembered(lambda pair: self._walk(pair >> 20, pair & 0xFFFFF), CACHED_PAIRS)
-        self._known = Remembered(self._chunk, cached_texts, CACHED_LENGTH)
+        self.pairs, self.fit = np.full(1 << PAIR_BITS, -1, dtype=np.int64), np.zeros(1 << PAIR_BITS, dtype=bool)
+        #: Ids by what follows a space, and by whole piece.
+        self.known: dict[str, bytes] = {}
+        self.bare: dict[str, bytes] = {}
+        self.used = 0
+        self._plain: tuple[dict[int, int], dict[int, bool]] | None = None
 
     def _automaton(self, words: dict[bytes, int]) -> None:
         """The matching automaton as flat tables. A step is state << 8 | byte; ``suffix`` leads a state to the
@@ -124,7 +209,7 @@ class BytePairs:
                     came.append((key >> 8, byte))
                     exact.append(-1)
             exact[state] = words[word]
-        self.step, self.suffix, self.ends, self.shorter = step, [0] * len(came), [-1] * len(came), [-1] * len(self.size)
+        suffix, ends, shorter = [0] * len(came), [-1] * len(came), [-1] * len(self.size)
         # a parent's depth is one less, so going by depth finds its suffix known
         depth = [0] * len(came)
         for state in range(1, len(came)):
@@ -132,172 +217,307 @@ class BytePairs:
         for state in sorted(range(1, len(came)), key=depth.__getitem__):
             parent, byte = came[state]
             if parent:
-                at = self.suffix[parent]
+                at = suffix[parent]
                 while at and at << 8 | byte not in step:
-                    at = self.suffix[at]
-                self.suffix[state] = step.get(at << 8 | byte, 0)
-            below = self.ends[self.suffix[state]]
-            self.ends[state] = below if exact[state] < 0 else exact[state]
+                    at = suffix[at]
+                suffix[state] = step.get(at << 8 | byte, 0)
+            below = ends[suffix[state]]
+            ends[state] = below if exact[state] < 0 else exact[state]
             if exact[state] >= 0:
-                self.shorter[exact[state]] = below
-
-    def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
-        """The parts on one edge of a token, from its byte to itself, each with the rank of the merge that
-        takes it into the next."""
-        known = self._right if side else self._left
-        if token not in known:
-            out, now, until = [], token, _NEVER
-            while True:
-                out.append((now, until))
-                if now not in self.parts:
-                    break
-                until, now = self.rank[now], self.parts[now][side]
-            known[token] = out[::-1]
-        return known[token]
-
-    def _walk(self, a: int, b: int, top: bool = False) -> bool:
-        """Whether a and b stay apart; with ``top``, whether they meet whole."""
-        left, right, i, j = self._edge(a, 1), self._edge(b, 0), 0, 0
-        while True:
-            (x, x_until), (y, y_until) = left[i], right[j]
-            if top and x_until == y_until == _NEVER:
-                return True
-            r = self.merges.get((x, y))
+                shorter[exact[state]] = below
+        self.step = Table(np.array(list(step), dtype=np.int64), np.array(list(step.values()), dtype=np.int32))
+        self.suffix, self.ends, self.shorter = (np.array(x, dtype=np.int32) for x in (suffix, ends, shorter))
+
+    def _apart(self, a: np.ndarray, b: np.ndarray, top: bool = False) -> np.ndarray:
+        """Whether the tokens of each pair stay apart; with ``top``, whether they meet whole."""
+        out = np.ones(len(a), dtype=bool)
+        i, j, left = self.right.start[a], self.left.start[b], np.arange(len(a))
+        while len(left):
+            x, x_until, y, y_until = self.right.part[i], self.right.until[i], self.left.part[j], self.left.until[j]
+            whole = (x_until == _NEVER) & (y_until == _NEVER)
+            r = self.merges(x.astype(np.int64) << 20 | y)
             # of equal merges the leftmost comes first: x's own is left of this one, y's own is right of it
-            if r is not None and r < x_until and r <= y_until:
-                return False
-            if x_until == y_until == _NEVER:
-                return True
-            if x_until <= y_until:
-                i += 1
-            else:
-                j += 1
-
-    def encode_piece(self, piece: bytes) -> list[int]:
-        """Ids of one piece. ``last`` holds the last token of each prefix, the empty one first."""
-        whole = self.words.get(piece)
-        if whole is not None:
-            return [whole]
-        step, suffix, ends, shorter, size, fits = self.step, self.suffix, self.ends, self.shorter, self.size, self.fits
-        last, state = [-1], 0
+            met = (r >= 0) & (r < x_until) & (r <= y_until)
+            if top:
+                met &= ~whole
+            out[left[met]] = False
+            on = ~(met | whole)
+            left, i, j, x_until, y_until = left[on], i[on], j[on], x_until[on], y_until[on]
+            up = x_until <= y_until
+            i, j = i + up, j + ~up
+        return out
+
+    def _fits(self, pair: np.ndarray) -> np.ndarray:
+        """``_apart`` of pairs a << 20 | b, by way of a table in which a place holds the pair that came last."""
+        at = (pair.view(np.uint64) * _SPREAD >> np.uint64(64 - PAIR_BITS)).view(np.int64)
+        out, new = self.fit[at], np.flatnonzero(self.pairs[at] != pair)
+        if len(new):
+            asked, back = np.unique(pair[new], return_inverse=True)
+            found = self._apart(asked >> 20, asked & 0xFFFFF)
+            out[new] = found[back]
+            at = (asked.view(np.uint64) * _SPREAD >> np.uint64(64 - PAIR_BITS)).view(np.int64)
+            self.pairs[at], self.fit[at] = asked, found
+        return out
+
+    def encode_short(self, pieces: list[bytes]) -> list[bytes]:
+        """Packed ids of each piece, none empty, all in step with each other: ``last`` holds the last token of each
+        prefix by its length, the empty one first."""
+        n, lengths = len(pieces), np.array([len(p) for p in pieces], dtype=np.int64)
+        by = np.argsort(-lengths, kind="stable")
+        lengths, most = lengths[by], int(lengths.max())
+        text = np.frombuffer(b"".join([pieces[k].ljust(most, b"\0") for k in by.tolist()]), dtype=np.uint8).reshape(n, most).T.astype(np.int64)
+        last = np.full((most + 1, n), -1, dtype=np.int32)
+        flat, state, size = last.reshape(-1), np.zeros(n, dtype=np.int64), self.size
+        going = np.searchsorted(-lengths, -np.arange(most), side="left")  # how many are longer than each prefix
+        for t in range(most):
+            m = int(going[t])
+            byte, now = text[t, :m], state[:m]
+            after = self.step(now << 8 | byte).astype(np.int64)
+            lost = np.flatnonzero(after < 0)
+            while len(lost):
+                now[lost] = self.suffix[now[lost]]
+                after[lost] = self.step(now[lost] << 8 | byte[lost])
+                lost = lost[after[lost] < 0]
+            state[:m] = after
+            token = self.ends[after]
+            start = t + 1 - size[token].astype(np.int64)
+            ask = np.flatnonzero(start > 0)
+            while len(ask):
+                before = flat[start[ask] * n + ask].astype(np.int64)
+                ask = ask[~self._fits(before << 20 | token[ask])]
+                token[ask] = self.shorter[token[ask]]
+                start[ask] = t + 1 - size[token[ask]]
+                ask = ask[start[ask] > 0]
+            last[t + 1, :m] = token
+        at, here, turns = lengths.copy(), np.arange(n), []
+        while len(here):
+            token = flat[at[here] * n + here]
+            turns.append((here, token))
+            at[here] -= size[token]
+            here = here[at[here] > 0]
+        count = np.zeros(n, dtype=np.int64)
+        for here, _ in turns:
+            count[here] += 1
+        stop = np.cumsum(count)
+        ids = np.empty(int(stop[-1]), dtype=self.code)
+        for turn, (here, token) in enumerate(turns):
+            ids[stop[here] - 1 - turn] = token
+        packed, width, out = ids.tobytes(), self.code.itemsize, [b""] * n
+        for k, a, b in zip(by.tolist(), ((stop - count) * width).tolist(), (stop * width).tolist()):
+            out[k] = packed[a:b]
+        return out
+
+    def encode_long(self, piece: bytes) -> bytes:
+        """The same for one piece of any length, byte by byte."""
+        if self._plain is None:
+            self._plain = dict(self.step.items()), {}
+        (step, fits), suffix, ends, shorter, size = self._plain, self.suffix.item, self.ends.item, self.shorter.item, self.size.item
+        last, state = array("i", [-1]), 0
         for end, byte in enumerate(piece, 1):
             after = step.get(state << 8 | byte)
             while after is None:
-                state = suffix[state]
+                state = suffix(state)
                 after = step.get(state << 8 | byte)
             state = after
-            token = ends[state]
-            start = end - size[token]
-            while start and not fits[last[start] << 20 | token]:
-                token = shorter[token]
-                start = end - size[token]
+            token = ends(state)
+            start = end - size(token)
+            while start:
+                pair = last[start] << 20 | token
+                fit = fits.get(pair)
+                if fit is None:
+                    if len(fits) >= PLAIN_PAIRS:
+                        fits.clear()
+                    fit = fits[pair] = bool(self._fits(np.array([pair], dtype=np.int64))[0])
+                if fit:
+                    break
+                token = shorter(token)
+                start = end - size(token)
             last.append(token)
-        out, at = [], len(piece)
+        out, at = array("I"), len(piece)
         while at:
-            token = last[at]
-            out.append(token)
-            at -= size[token]
-        out.reverse()
+            out.append(last[at])
+            at -= size(last[at])
+        return np.array(out[::-1]).astype(self.code).tobytes()
+
+    def _encode_pieces(self, pieces: list[str]) -> list[bytes]:
+        raw, out = [p.encode() for p in pieces], [b""] * len(pieces)
+        by = sorted(range(len(raw)), key=lambda k: len(raw[k]))
+        at = 0
+        while at < len(by) and len(raw[by[at]]) <= LONG:
+            most, end = max(8, 2 * len(raw[by[at]])), at
+            while end < len(by) and len(raw[by[end]]) <= min(most, LONG):
+                end += 1
+            for k, ids in zip(by[at:end], self.encode_short([raw[k] for k in by[at:end]])):
+                out[k] = ids
+            at = end
+        for k in by[at:]:
+            out[k] = self.encode_long(raw[k])
         return out
 
-    def _piece(self, piece: str) -> tuple[str, int, bytes]:
-        ids = self.encode_piece(piece.encode())
-        if len(ids) == 1:
-            return self.digits[ids[0]], 1, self.bytes_of[ids[0]]
-        digits, bytes_of = self.digits, self.bytes_of
-        return ",".join([digits[i] for i in ids]), len(ids), b"".join([bytes_of[i] for i in ids])
-
-    def _chunk(self, text: str) -> tuple[str, int, bytes]:
-        if text.isascii() and text[1:].isalpha() and (text[0] == " " or text[0].isalpha()):
-            return self._piece(text)
-        pieces = self.pieces.findall(text)
-        if len(pieces) == 1:
-            return self._piece(text)
-        found = [self._known[p] for p in pieces]
-        return ",".join([x[0] for x in found]), sum([x[1] for x in found]), b"".join([x[2] for x in found])
-
-    def _segment(self, text: str) -> list[tuple[str, int, bytes]]:
-        """Encodings of the chunks of a text without special tokens. No piece goes across a space that
-        something other than white space follows, so the text is cut before such spaces."""
-        parts = _CUT.split(text) if _SPACES.search(text) else text.split(" ")
-        known = self._known
-        return [self._chunk(parts[0]), *[known[" " + p] for p in parts[1:]]]
-
-    def encode(self, text: str) -> tuple[str, int, bytes]:
-        """Ids joined by commas, their number, and the bytes they decode to."""
-        found: list[tuple[str, int, bytes]] = []
-        for part in self.special_split.split(text) if self.special_split else [text]:
-            if part in self.special:
-                found.append((str(self.special[part]), 1, part.encode()))
+    def _learn(self, spaced: set[str], first: set[str]) -> None:
+        """Ids of chunks that follow a space, and of chunks that do not, into the tables."""
+        known, bare = self.known, self.bare
+        words, pieces, mixed = set(), set(), []
+        for text in [*(" " + w for w in spaced.difference(known)), *first.difference(bare)]:
+            if text[0] == " " and text[1:].isalpha():
+                words.add(text[1:])  # what Python calls letters are letters here too
+                continue
+            parts = piece_pattern(text.isascii()).findall(text)
+            mixed.append((text, parts))
+            for p in parts:
+                if p[0] == " " and p[1:].isalpha():
+                    words.add(p[1:])
+                else:
+                    pieces.add(p)
+        asked_w, asked_p = list(words.difference(known)), list(pieces.difference(bare))
+        ids = self._encode_pieces([" " + w for w in asked_w] + asked_p)
+        known.update(zip(asked_w, ids))
+        bare.update(zip(asked_p, ids[len(asked_w) :]))
+        self.used += _room(asked_w + asked_p, ids)
+        for text, parts in mixed:
+            if len(parts) > 1:
+                found = b"".join([known[p[1:]] if p[0] == " " and p[1:].isalpha() else bare[p] for p in parts])
+            else:
+                found = bare[text]
+            if text[0] == " ":
+                known[text[1:]] = found
             else:
-                found += self._segment(part)
-        return ",".join([x[0] for x in found if x[1]]), sum([x[1] for x in found]), b"".join([x[2] for x in found])
+                bare[text] = found
+            self.used += _ENTRY + 90
+
+    def encode_all(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of each text. No piece goes across a space that something other than white space follows, so
+        texts are cut before such spaces, and each different chunk is encoded once."""
+        cut, spaced, first = [], set(), set()
+        for text in texts:
+            parts = []
+            for part in self.special_split.split(text) if self.special_split else [text]:
+                if part in self.special:
+                    parts.append(self.special[part])
+                elif part:
+                    head, *rest = _CUT.split(part) if _SPACES.search(part) else part.split(" ")
+                    parts.append((head, rest))
+                    spaced.update(rest)
+                    if head:
+                        first.add(head)
+            cut.append(parts)
+        self._learn(spaced, first)
+        out = []
+        for parts in cut:
+            packed: list[bytes] = []
+            for p in parts:
+                if isinstance(p, int):
+                    packed.append(self.code.type(p).tobytes())
+                else:
+                    packed.append(self.bare[p[0]] if p[0] else b"")
+                    packed += map(self.known.__getitem__, p[1])
+            out.append(np.frombuffer(b"".join(packed), dtype=self.code))
+        self._forget(spaced, first)
+        return out
+
+    def _forget(self, spaced: set[str], first: set[str]) -> None:
+        """Long texts are not kept; once the tables are over their bytes, they keep what the last texts asked
+        for, if that is half of it at most."""
+        for k in [k for k in spaced if len(k) > CACHED_LENGTH]:
+            del self.known[k]
+        for k in [k for k in self.bare if len(k) > CACHED_LENGTH]:
+            del self.bare[k]
+        if self.used <= self.cached_bytes:
+            return
+        kept = {k: self.known[k] for k in spaced if k in self.known}
+        self.known.clear()
+        self.bare.clear()
+        self.used = _room(kept, kept.values())
+        if self.used <= self.cached_bytes // 2:
+            self.known.update(kept)
+        else:
+            self.used = 0
+
+    def encode(self, text: str) -> list[int]:
+        return self.encode_all([text])[0].tolist()
+
+    def joined(self, ids: list[int]) -> str:
+        """Ids in decimal, joined by commas."""
+        return ",".join(map(self.digits.__getitem__, ids))
 
     def decode(self, ids: list[int]) -> str:
-        return b"".join(self.bytes_of[i] for i in ids).decode("utf-8", "replace")
+        return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
 
 
 _SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
 
 
-def _loaded(source: bytes, *cached: int) -> BytePairs:
+def _room(keys: Iterable[str], values: Iterable[bytes]) -> int:
+    """Bytes that the entries of a table take."""
+    sizes = [k.__sizeof__() + _ENTRY for k in keys]
+    return sum(sizes) + sum(map(len, values)) + 33 * len(sizes)
+
+
+@cache
+def _built(path: str, changed: float, cached_bytes: int) -> BytePairs:
+    with open(path, "rb") as f:
+        return BytePairs(f.read(), cached_bytes)
+
+
+def _sent(docs: DataFrame, path: str, cached_bytes: int = CACHED_BYTES):
+    """The tables of a tokenizer file, built on the driver and sent to the workers."""
+    return docs.sparkSession.sparkContext.broadcast(_built(path, os.path.getmtime(path), cached_bytes))
+
+
+def _loaded(sent) -> BytePairs:
     """One table a worker, kept between tasks until another operator's task runs there."""
-    loaded, key = held("bytepair"), (hash(source), *cached)
-    if key not in loaded:
+    loaded = held("bytepair")
+    if sent.value not in loaded.values():
         loaded.clear()
-        loaded[key] = BytePairs(source, *cached)
+        loaded["table"] = sent.value
         gc.freeze()  # the collector need not walk tables and caches; ``held`` undoes this
-    return loaded[key]
+    return loaded["table"]
 
 
 def encode(docs: DataFrame, tokenizer_path: str, digest: bool = True) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids and decoded. With ``digest`` the last two are SHA-256
     hex digests (``ids_sha256``, ``decoded_sha256``), else comma-joined ids and the decoded text.
 
-    The driver reads the tokenizer file and sends it to the workers. Null texts count as empty and have
-    no ids; every row is encoded whole and on its own, so equal rows give equal results; an empty table
-    gives none. Other columns are not read.
+    The driver reads the tokenizer file and sends its tables to the workers. Null texts count as empty and
+    have no ids; every row is encoded whole and on its own, so equal rows give equal results; an empty
+    table gives none. Other columns are not read.
     """
-    with open(tokenizer_path, "rb") as f:
-        sent = docs.sparkSession.sparkContext.broadcast(f.read())
+    sent = _sent(docs, tokenizer_path)
 
     def make():
         from hashlib import sha256
 
-        table = _loaded(sent.value)
+        table = _loaded(sent)
 
-        def one(doc_id, buf):
-            ids, n, back = table.encode(buf.decode("utf-8", "replace"))
-            text = back.decode("utf-8", "replace")
-            if digest:
-                return doc_id, n, sha256(ids.encode()).hexdigest(), sha256(text.encode()).hexdigest()
-            return doc_id, n, ids, text
+        def some(doc_ids, bufs):
+            for doc_id, found in zip(doc_ids, table.encode_all([b.decode("utf-8", "replace") for b in bufs])):
+                ids = found.tolist()
+                listed, text = table.joined(ids), table.decode(ids)
+                if digest:
+                    listed, text = sha256(listed.encode()).hexdigest(), sha256(text.encode()).hexdigest()
+                yield doc_id, len(ids), listed, text
 
-        return one
+        return some
 
     names = ("ids_sha256", "decoded_sha256") if digest else ("ids", "decoded")
-    return map_rows(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string", "bytepair")
+    return map_slices(docs.select("doc_id", raw_text()), make, f"doc_id long, n_tokens long, {names[0]} string, {names[1]} string", "bytepair")
 
 
-def token_rows(docs: DataFrame, tokenizer_path: str, cached_texts: int = 160_000) -> DataFrame:
+def token_rows(docs: DataFrame, tokenizer_path: str) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids (array of int), decoded_sha256. Nulls and empty texts as
-    in ``encode``. By then executors hold more than in a run of ``encode`` alone, so workers remember less here."""
-    with open(tokenizer_path, "rb") as f:
-        sent = docs.sparkSession.sparkContext.broadcast(f.read())
+    in ``encode``."""
+    sent = _sent(docs, tokenizer_path)
 
     def make():
         from hashlib import sha256
 
-        import numpy as np
-
-        table = _loaded(sent.value, cached_texts)
+        table = _loaded(sent)
 
-        def one(doc_id, buf):
-            ids, n, back = table.encode(buf.decode("utf-8", "replace"))
-            found = np.fromstring(ids, dtype=np.int32, sep=",") if n else np.zeros(0, dtype=np.int32)
-            return doc_id, n, found, sha256(back.decode("utf-8", "replace").encode()).hexdigest()
+        def some(doc_ids, bufs):
+            for doc_id, ids in zip(doc_ids, table.encode_all([b.decode("utf-8", "replace") for b in bufs])):
+                yield doc_id, len(ids), ids.astype(np.int32), sha256(table.decode(ids.tolist()).encode()).hexdigest()
 
-        return one
+        return some
 
-    return map_rows(docs.select("doc_id", raw_text()), make, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string", "bytepair")
+    return map_slices(docs.select("doc_id", raw_text()), make, "doc_id long, n_tokens long, ids array<int>, decoded_sha256 string", "bytepair")
