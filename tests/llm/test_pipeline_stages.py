@@ -55,13 +55,11 @@ def planted():
 
 
 @pytest.mark.parametrize("block, common", [(2048, 100_000), (4, 0)])
-def test_near_copies(spark, monkeypatch, block, common):
-    monkeypatch.setattr(overlap, "BLOCK", block)
-    monkeypatch.setattr(overlap, "COMMON", common)
+def test_near_copies(spark, block, common):
     texts = planted()
     want = groups(texts)
     with Scratch(spark, "near") as s:
-        got = dict(overlap.near_copies(spark.createDataFrame(list(enumerate(texts)), "key long, text string").repartition(3), s).collect())
+        got = dict(overlap.near_copies(spark.createDataFrame(list(enumerate(texts)), "key long, text string").repartition(3), s, block=block, most_common=common).collect())
     assert len(got) == len(texts) and len(set(want)) < len(texts) - 20
     first = {}
     for i in range(len(texts)):
@@ -69,6 +67,24 @@ def test_near_copies(spark, monkeypatch, block, common):
     assert [first[got[i]] for i in range(len(texts))] == want
 
 
+def test_company_of_long_cells(monkeypatch):
+    """Cells that end, go on over batches, or are too long to be held, with repeated rows."""
+    import numpy as np
+    import pyarrow as pa
+
+    monkeypatch.setattr(overlap, "HELD_NODES", 6)
+    rng = random.Random(3)
+    rows = sorted((c, n) for c in range(12) for n in set(rng.choices(range(40), k=rng.randint(1, 30))) for _ in range(rng.randint(1, 2)))
+    batches = [pa.record_batch([pa.array([r[i] for r in rows[at : at + 5]], pa.int64()) for i in (0, 1)], names=["cell", "node"]) for at in range(0, len(rows), 5)]
+    got = {}
+    for b in overlap._company(iter(batches)):
+        for g, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+            got.setdefault(g, set()).add(n)
+    want = {c: {n for x, n in rows if x == c} for c in range(12)}
+    assert sorted(map(sorted, got.values())) == sorted(sorted(v) for v in want.values() if len(v) > 1)
+    assert any(len(v) > 6 for v in want.values()) and np.array(list(got)).dtype == np.int64
+
+
 def test_stage_removes_near_copies(spark):
     texts = planted()
     rows = [(i, t, "en", "src0", len(t or "")) for i, t in enumerate(texts)]
@@ -110,3 +126,48 @@ def test_row_stages_keep_rows_apart(spark, stage):
     rows = [(i, text.format(w), "en", "src0", len(text.format(w))) for i, w in ((None, "cat"), (None, "dog"), (7, "bird"), (7, "fish"), (7, "fish"))]
     got = [tuple(r) for r in stage(spark, spark.createDataFrame([*rows, (7, "12 34", "en", "src0", 5), (None, "12 34", "en", "src0", 5)], SCHEMA), "").collect()]
     assert sorted(map(str, got)) == sorted(map(str, rows + ([] if stage is corpus_pipeline.keep_known_language else [(7, "12 34", "en", "src0", 5), (None, "12 34", "en", "src0", 5)])))
+
+
+STAGES = dict(corpus_pipeline.STAGES)
+CLASHING = "_row long, row long, doc string, key long, size long, turn string, position double, gone string, text2 string"
+
+
+def rough():
+    """Nulls in every column, empty and very long texts, ties, repeated rows, and columns named as a stage's own."""
+    rng = random.Random(12)
+    words = "the of and to in a is that it was for on with as his they be at one have this".split()
+    say = lambda n: " ".join(rng.choice(words) + rng.choice(["", "", "x", "ly"]) for _ in range(n))
+    long = say(120_000)
+    texts = [None, "", "12 34", say(30), say(60), long, say(50) + " token = abcdef123456 " + say(40), say(9)]
+    rows = [(i, t, "en" if i % 3 else None, "src0" if i % 2 else None, None if t is None else len(t)) for i, t in enumerate(texts)]
+    rows += [(None, say(40), None, None, None), (None, None, None, None, None), (3, say(25), "en", "src1", 1), rows[4], rows[4]]
+    return [(*r, i % 2, 7, "d", 5, 6, "t", 0.5, None, "u") for i, r in enumerate(rows[:-2])] + [(*rows[4], 0, 7, "d", 5, 6, "t", 0.5, None, "u")] * 2
+
+
+def test_stages_on_rough_rows(spark):
+    schema = SCHEMA + ", " + CLASHING
+    rows = rough()
+    docs = spark.createDataFrame(rows, schema).repartition(3)
+    run = lambda name, df: [tuple(r) for r in STAGES[name](spark, df, "").collect()]
+    kept = run("language_id", docs)
+    assert sorted(map(str, kept)) == sorted(str(r) for r in rows if r[1] and r[1] != "12 34")
+    single = run("simhash_near_dedup", docs)
+    assert len(single) == len(set(map(str, single))) == len(set(groups([r[1] for r in rows])))
+    hidden = run("secret_scan", docs)
+    assert len(hidden) == len(rows) and sum("[assign]" in (r[1] or "") for r in hidden) == 1
+    plain = lambda rs: sorted(str(r[:4] + r[5:]) for r in rs if r[0] != 6)  # n_chars follows the text
+    assert plain(hidden) == plain(rows) and all(r[4] == len(r[1]) for r in hidden if r[1] is not None)
+    mixed = run("source_mixing", docs)
+    assert {str(r) for r in mixed} <= {str(r) for r in rows if r[1]} and all(mixed.count(r) <= 2 * rows.count(r) for r in rows)
+    tokens = run("bpe_tokens", docs)
+    assert len(tokens) == len(rows) and sum(r[1] for r in tokens if r[0] == 5) > 100_000
+    import hashlib
+
+    assert sorted(r[3] for r in tokens) == sorted(hashlib.sha256((r[1] or "").encode()).hexdigest() for r in rows)
+
+
+def test_stages_on_an_empty_table(spark):
+    empty = spark.createDataFrame([], SCHEMA + ", " + CLASHING)
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, empty, "")
+        assert out.count() == 0 and (name == "bpe_tokens" or out.columns == empty.columns)
