@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import re
+
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from assetmill.operators.validate import dct_basis
+from assetmill.plans.ship import ship
 
 
 def exact(df: DataFrame, key: str, order: list[Column]) -> DataFrame:
@@ -39,8 +43,6 @@ def phash(grid: Column, side: int = 8) -> Column:
 
 def phash_column(df: DataFrame, grid: str, name: str = "bits") -> DataFrame:
     """``phash`` by an Arrow kernel, one matrix product a batch, for whole tables."""
-    import numpy as np
-
     b = np.array(dct_basis())
     basis = np.kron(b, b).T
     schema = T.StructType([*df.schema.fields, T.StructField(name, T.StringType())])
@@ -63,18 +65,53 @@ def phash_column(df: DataFrame, grid: str, name: str = "bits") -> DataFrame:
 
 #: Words of a shingle, and the least Jaccard similarity of near copies as a fraction.
 SHINGLE, NEAR = 5, (4, 5)
-#: A shingle that stands in the prefixes of more texts than this goes behind all others in the order.
-OFTEN = 32
-_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: A shingle that stands in the prefixes of more texts than this goes behind all others in the order, and how many
+#: such shingles are told apart, the most frequent first.
+OFTEN, MOST_OFTEN = 32, 100_000
+_WORDS = re.compile(rb"[^\x20\x09-\x0D]+")
+#: Word hashes that a task remembers.
+KNOWN_WORDS = 200_000
+
+
+def _shingle_hashes(words: list[bytes], size: int, known: dict[bytes, int]) -> np.ndarray:
+    """Sorted distinct hashes of the runs of ``size`` words, from hashes of the words."""
+    from hashlib import blake2b
+
+    if not words:
+        return np.zeros(0, dtype=np.int64)
+    if len(known) > KNOWN_WORDS:
+        known.clear()
+    ids = []
+    for w in words:
+        h = known.get(w)
+        if h is None:
+            h = known[w] = int.from_bytes(blake2b(w, digest_size=8).digest(), "little")
+        ids.append(h)
+    x = np.array(ids, dtype=np.uint64)
+    n = max(1, len(x) - size + 1)
+    total = np.full(n, min(len(x), size), dtype=np.uint64)
+    for k in range(min(size, len(x))):
+        total = (total + x[k : k + n]) * np.uint64(0x9E3779B97F4A7C15)
+        total ^= total >> np.uint64(29)
+    return np.unique((total * np.uint64(0xBF58476D1CE4E5B9)).view(np.int64))
 
 
 def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     """doc_id, set (sorted hashes of the distinct shingles of words) and n, its size. Words lie between spaces and
     the controls 9 to 13, A-Z is lower-cased; fewer words than ``size`` are one shingle, none or null an empty set."""
-    words = F.filter(F.split(F.translate(F.coalesce("text", F.lit("")), _UPPER, _LOWER), r"[\x20\x09-\x0D]+"), lambda w: w != "")
-    gram = lambda i: F.xxhash64(F.array_join(F.slice("_w", i + 1, size), " "))
-    grams = F.when(F.size("_w") > 0, F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.size("_w") - size)), gram)).otherwise(F.array().cast("array<long>"))
-    return docs.select("doc_id", words.alias("_w")).select("doc_id", F.array_sort(F.array_distinct(grams)).alias("set")).withColumn("n", F.size("set"))
+    ship(docs.sparkSession)
+
+    def run(batches):
+        import pyarrow as pa
+
+        known: dict[bytes, int] = {}
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                ids, texts = batch.slice(at, 512).columns
+                sets = [_shingle_hashes(_WORDS.findall(t.as_buffer().to_pybytes().lower()), size, known) for t in texts]
+                yield pa.record_batch([ids, pa.array(sets, pa.list_(pa.int64())), pa.array(list(map(len, sets)), pa.int32())], names=["doc_id", "set", "n"])
+
+    return docs.select("doc_id", F.coalesce("text", F.lit("")).cast("binary").alias("t")).mapInArrow(run, "doc_id long, set array<long>, n int")
 
 
 def set_nodes(sets: DataFrame) -> DataFrame:
@@ -101,11 +138,25 @@ def near_sets(nodes: DataFrame, near: tuple[int, int] = NEAR) -> DataFrame:
     up, down = near
     most = lambda n: n - F.floor((up * n + down - 1) / down) + 1
     some = nodes.where("n > 0")
-    often = some.select(F.explode(F.slice("set", F.lit(1), most(F.col("n")).cast("int"))).alias("_s")).groupBy("_s").count().where(F.col("count") > OFTEN).select("_s")
-    hit = some.select("node", F.explode("set").alias("_s")).join(often, "_s", "left_semi").groupBy("node").agg(F.array_sort(F.collect_list("_s")).alias("_late"))
-    late = F.coalesce("_late", F.array().cast("array<long>"))
-    first = F.slice(F.concat(F.array_except("set", late), late), F.lit(1), most(F.col("n")).cast("int"))
-    cells = some.join(hit.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left").select("node", "n", F.explode(first).alias("cell"))
+    seen = some.select(F.explode(F.slice("set", F.lit(1), most(F.col("n")).cast("int"))).alias("s")).groupBy("s").count()
+    late = np.sort(seen.where(F.col("count") > OFTEN).orderBy(F.desc("count"), "s").limit(MOST_OFTEN).select("s").toPandas()["s"].to_numpy(dtype=np.int64))
+    ship(nodes.sparkSession)
+
+    def first(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            node, n, cell = [], [], []
+            for i, k, own in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
+                h = own.values.to_numpy()
+                often = np.isin(h, late, assume_unique=True) if len(late) else np.zeros(k, dtype=bool)
+                cell.append(np.concatenate([h[~often], h[often]])[: k - (up * k + down - 1) // down + 1])
+                node.append(np.full(len(cell[-1]), i))
+                n.append(np.full(len(cell[-1]), k, dtype=np.int32))
+            if node:
+                yield pa.record_batch([pa.array(np.concatenate(node)), pa.array(np.concatenate(n)), pa.array(np.concatenate(cell))], names=["node", "n", "cell"])
+
+    cells = some.select("node", "n", "set").mapInArrow(first, "node long, n int, cell long")
     a, b = cells.alias("a"), cells.alias("b")
     sizes = (up * F.col("a.n") <= down * F.col("b.n")) & (up * F.col("b.n") <= down * F.col("a.n"))
     pairs = a.join(b, (F.col("a.cell") == F.col("b.cell")) & (F.col("a.node") < F.col("b.node")) & sizes).select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
