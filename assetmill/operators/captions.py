@@ -14,8 +14,9 @@ def granular(text: Column) -> tuple[Column, Column, Column, Column]:
     return F.substring_index(text, "\n", 1), F.substring_index(text, ".", 1), F.array_join(F.slice(words, 1, 60), " "), F.array_join(F.slice(words, 1, 250), " ")
 
 
-def token_len(caption: Column) -> Column:
-    return F.size(F.split(caption, " "))
+def token_len(caption: Column, tokenizer=None) -> Column:
+    """Tokens of a caption: words, or what ``tokenizer``, a function of the column, counts."""
+    return tokenizer(caption) if tokenizer else F.size(F.split(caption, " "))
 
 
 def assemble(df: DataFrame) -> DataFrame:

@@ -46,6 +46,11 @@ def difficulty(text: Column) -> Column:
     return F.when(words == 1, "word").when(words <= 12, "line").otherwise("paragraph")
 
 
+def script(text: Column) -> Column:
+    """Stage of the script curriculum that a text belongs to: logographic, other alphabets, Latin with marks, Latin."""
+    return F.when(text.rlike(r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsHangul}]"), "logographic").when(text.rlike(r"[\p{IsCyrillic}\p{IsGreek}\p{IsArabic}\p{IsHebrew}\p{IsDevanagari}]"), "other_alphabet").when(text.rlike("[\u00C0-\u024F]"), "latin_extended").otherwise("latin")
+
+
 def rows(df: DataFrame, key: str, text: str) -> DataFrame:
     """Training rows: the exact text as caption, where it comes from, and how often it is drawn."""
     level = difficulty(F.col(text))

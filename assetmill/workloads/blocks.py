@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from assetmill.operators import costmodel, mathkit, routing
+from assetmill.operators import allocation, costmodel, mathkit, routing
 from assetmill.plans.ship import ship
 from assetmill.sources.tables import table
 from assetmill.workloads.evaluation import CHECKS_SQL, checks
@@ -341,6 +341,21 @@ _U = lambda t: f"((('0x' || substr(md5('{t}:' || o_orderkey::VARCHAR), 1, 13))::
 SHARE_SQL = f"WITH z AS (SELECT share, 1 / (1 + exp(-(sqrt(-2 * ln({_U('a')})) * cos(2 * pi() * {_U('b')})))) AS p, {_U('c')} AS c, {_U('d')} AS d, exp(0.5::DOUBLE + 768 * (0.65::DOUBLE / 3840)) AS m FROM orders, (VALUES (0.0::DOUBLE), (0.1), (1.0)) v(share)), t AS (SELECT share, CASE WHEN c < share THEN d ELSE m / (m + (1 / p - 1)) END AS s, CASE WHEN c < share THEN d ELSE p END AS u FROM z) SELECT share, round(avg(s), 6) AS shifted, round(avg(u), 6) AS unshifted, round(avg((s < 0.1)::INTEGER), 6) AS early FROM t GROUP BY 1"
 
 
+def interpolated(s, d):
+    """A quarter of the way from data to noise, the velocity there, and the data that both give back."""
+    x, r, t = F.col("x"), F.col("r"), 0.25
+    z = mathkit.interpolate(x, r, F.lit(t))
+    v = mathkit.velocity(x, r)
+    back = F.zip_with(z, v, lambda a, b: a + t * b)
+    gap = F.array_max(F.zip_with(back, x, lambda a, b: F.abs(a - b)))
+    return vectors(s, d).select("vec_id", _ramp(z).alias("z"), _ramp(v).alias("v"), F.round(gap, 9).alias("gap"))
+
+
+def overlaid(s, d):
+    """A heat grid blended over the picture it belongs to."""
+    return vectors(s, d).select("vec_id", _ramp(allocation.overlay(F.col("x"), F.col("r"), 0.4)).alias("blend"))
+
+
 def merge_gain(s, d):
     """Points that one scorer has over another by category and in all: checks at two thresholds stand for merged and
     unmerged weights."""
@@ -380,6 +395,8 @@ QUERIES = {
     "w16_single_expert": (single_expert, f"SELECT n, y AS grouped, y AS plain FROM (SELECT count(*) AS n, round(sum({_ONE}), 4) AS y FROM lineitem WHERE l_partkey % {E} = 3)"),
     "w16_placement": (placement, "SELECT e::INTEGER AS expert, e::INTEGER AS device, (e // 8)::INTEGER AS node FROM range(64) t(e)"),
     "w17_forward_unchanged": (forward_unchanged, "SELECT count(*) AS tokens, 0::BIGINT AS changed_by_z, 0::BIGINT AS changed_by_step FROM embeddings"),
+    "w18_interpolate": (interpolated, VEC_SQL + f" SELECT vec_id, round(0.75::DOUBLE * list_dot_product(x, {_RAMP}) + 0.25::DOUBLE * list_dot_product(r, {_RAMP}), 5) AS z, round(list_dot_product(x, {_RAMP}) - list_dot_product(r, {_RAMP}), 5) AS v, 0.0::DOUBLE AS gap FROM v"),
+    "w27_overlay": (overlaid, VEC_SQL + f" SELECT vec_id, round(0.6::DOUBLE * list_dot_product(x, {_RAMP}) + 0.4::DOUBLE * list_dot_product(r, {_RAMP}), 5) AS blend FROM v"),
     "w18_uniform_share": (uniform_share, SHARE_SQL),
     "w19_sparse_merge": (sparse_merge, "SELECT k::INTEGER AS k, round(pow(0.9999::DOUBLE, k * 2500), 9) AS left_out FROM range(1, 33) t(k)"),
     "w19_remerge": (remerge, REMERGE_SQL),

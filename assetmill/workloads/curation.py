@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assetmill.operators import captions as C
@@ -42,11 +42,12 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w01(spark, d):
-    a = assets(spark, d).join(table(spark, d, "labels").select("doc_id", "toxic", "quality"), "doc_id", "left")
-    first = F.row_number().over(Window.partitionBy("sha256").orderBy("doc_id")) == 1
-    a = a.withColumn("first", first)
+    a = assets(spark, d).select("doc_id", "sha256", F.col("text").isNotNull().alias("fetched"), "width", "height", "aesthetic_score", "quality_tier")  # no payload is shuffled
+    a = a.join(table(spark, d, "labels").select("doc_id", "toxic"), "doc_id", "left")
+    first = a.groupBy("sha256").agg(F.min("doc_id").alias("doc_id")).withColumn("first", F.lit(True)).drop("sha256")
+    a = a.join(first, "doc_id", "left").withColumn("first", F.coalesce("first", F.lit(False)))
     W, H = F.col("width"), F.col("height")
-    return catalog.funnel(a, [("fetched", F.col("text").isNotNull()), ("valid", validate.positive_geometry(W, H) & validate.min_side(W, H)), ("heuristic", validate.aspect_ok(W, H, 8.0)), ("dedup", F.col("first")), ("safety", F.coalesce(F.col("toxic"), F.lit(0)) == 0), ("scored", F.col("aesthetic_score").isNull() | (F.col("aesthetic_score") >= 5.0)), ("curated", F.col("quality_tier") >= 3)])
+    return catalog.funnel(a, [("fetched", F.col("fetched")), ("valid", validate.positive_geometry(W, H) & validate.min_side(W, H)), ("heuristic", validate.aspect_ok(W, H, 8.0)), ("dedup", F.col("first")), ("safety", F.coalesce(F.col("toxic"), F.lit(0)) == 0), ("scored", F.col("aesthetic_score").isNull() | (F.col("aesthetic_score") >= 5.0)), ("curated", F.col("quality_tier") >= 3)])
 
 
 W01_SQL = ASSETS_SQL + """, f AS (SELECT a.*, row_number() OVER (PARTITION BY sha256 ORDER BY a.doc_id) = 1 AS first, coalesce(toxic, 0) AS toxic FROM assets a LEFT JOIN labels l ON a.doc_id = l.doc_id),

@@ -21,6 +21,10 @@ def render_rows(s, d):
     return textrender.rows(table(s, d, "part").select("p_partkey", "p_name"), "p_partkey", "p_name")
 
 
+def scripts(s, d):
+    return table(s, d, "documents").groupBy(textrender.script(F.col("text")).alias("script")).agg(F.count(F.lit(1)).alias("n"))
+
+
 def glyphs(s, d):
     return table(s, d, "part").select("p_partkey", (8 * F.char_length("p_name")).alias("width"), textrender.ink(F.col("p_name")).cast("long").alias("ink"))
 
@@ -126,7 +130,10 @@ def latent_round_trip(s, d):
     return latents.apply(z, "vec_id", "x", codec, back=True).select("vec_id", F.round(F.aggregate("x", F.lit(0.0), _add), 5).alias("total"))
 
 
+SCRIPT_SQL = r"SELECT CASE WHEN regexp_matches(text, '[\p{Han}\p{Hiragana}\p{Katakana}\p{Hangul}]') THEN 'logographic' WHEN regexp_matches(text, '[\p{Cyrillic}\p{Greek}\p{Arabic}\p{Hebrew}\p{Devanagari}]') THEN 'other_alphabet' WHEN regexp_matches(text, '[\x{00C0}-\x{024F}]') THEN 'latin_extended' ELSE 'latin' END AS script, count(*) AS n FROM documents GROUP BY 1"
+
 QUERIES = {
+    "w29_scripts": (scripts, SCRIPT_SQL),
     "w08_render_specs": (render_specs, "SELECT p_partkey, " + ", ".join(f"{textrender.pick_sql('p_partkey', a)}{'::DOUBLE' if isinstance(v[0], float) else '::INTEGER' if isinstance(v[0], int) else ''} AS {a}" for a, v in textrender.AXES.items()) + " FROM part"),
     "w08_render_rows": (render_rows, "WITH p AS (SELECT p_partkey, p_name, len(string_split(trim(p_name), ' ')) AS n FROM part) SELECT p_partkey, 'Text that reads: ' || p_name AS caption, 'text-render' AS provenance, CASE WHEN n = 1 THEN 'word' WHEN n <= 12 THEN 'line' ELSE 'paragraph' END AS difficulty, (CASE WHEN n = 1 THEN 1.0 WHEN n <= 12 THEN 0.5 ELSE 0.25 END)::DOUBLE AS weight, sha256(p_name) AS sha256 FROM p"),
     "w08_glyph_raster": (glyphs, "WITH c AS (SELECT p_partkey, p_name, unnest(range(1, length(p_name) + 1)) AS k FROM part) SELECT p_partkey, (8 * any_value(length(p_name)))::INTEGER AS width, sum(((ascii(p_name[k]) * (i % 8 + 1) * 31 + (i // 8) * 17 + (i % 8) * 7) % 5 = 0)::INTEGER)::BIGINT AS ink FROM c, range(128) t(i) GROUP BY 1"),
