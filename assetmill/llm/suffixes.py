@@ -9,14 +9,17 @@ anchor at the same offset, and the strings of a corpus fall into classes by anch
 looks inside classes:
 
 1. Each document is cut into segments, the bytes of a run of strings with one anchor. Equal segments of
-   a class keep their first occurrence; all others go whole. Each batch of documents does this on its
-   own before anything is shuffled, so that what a third of all documents share is sent once a batch.
+   a class (by a cryptographic digest of their bytes) keep their first occurrence; all others go whole. Each
+   batch of documents does this on its own before anything is shuffled, so that what a third of all documents
+   share is sent once a batch.
 2. Classes with several different segments get their bytes. Segments are trimmed to what another
    segment of the class can share with them on both sides of the anchor, and equal pieces merge.
 3. The pieces left form a text whose suffix array is built by groups; neighbours that agree in 100 bytes
    are one string, and all but its first occurrence go.
-4. Classes with very many different segments are not gathered in one task: their single strings are
-   grouped by digest with partial aggregation instead.
+
+A class with more segments than one suffix array should cover is cut into finer ones, which another step treats
+in the same way: first by a second anchor of each string beside its own, then, where that is not enough, by the
+whole string. Equal strings stay together at every level, and bytes decide at every level.
 """
 
 from __future__ import annotations
@@ -25,17 +28,21 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assetmill.llm.batches import arrow_schema, raw_text
+from assetmill.llm.batches import arrow_schema, raw_text, tidy
 from assetmill.plans.scratch import Scratch
 from assetmill.plans.ship import ship
 
 LENGTH, GRAM = 100, 16
 WINDOW = LENGTH - GRAM + 1
-#: Different segments up to which a class is compared in one task.
+#: Different segments that one suffix array covers; classes with more are cut into finer ones.
 CLASS_ROWS = 512
 #: Bytes of a document that are anchored in one piece; positions inside it take 24 bits.
 PIECE = 1 << 23
 _LOW = np.uint64(0xFFFFFF)
+#: Different strings that a task holds before it passes them on.
+HELD_STRINGS = 50_000
+# Odd numbers that mix a gram's halves, for the first and the second anchor of a string.
+_MIX = ((np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)), (np.uint64(0x9FB21C651E98DF25), np.uint64(0xD6E8FEB86659FD93)))
 
 
 # --- suffix array -------------------------------------------------------------------------------
@@ -120,17 +127,20 @@ def suffix_array(text: list[int]) -> list[int]:
 # --- anchors ------------------------------------------------------------------------------------
 
 
-def anchors(buf: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Hash and place of each anchor, and the first and last start of the strings that pick it."""
+def anchors(buf: bytes, level: int = 0, without: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hash and place of each anchor, and the first and last start of the strings that pick it. ``without`` is a
+    place that none may pick."""
     b = np.frombuffer(buf, np.uint8).astype(np.uint64)
     two = b[:-1] | b[1:] << np.uint64(8)
     four = two[:-2] | two[2:] << np.uint64(16)
     eight = four[:-4] | four[4:] << np.uint64(32)
-    h = eight[:-8] * np.uint64(0x9E3779B97F4A7C15) ^ eight[8:] * np.uint64(0xC2B2AE3D27D4EB4F)
+    h = eight[:-8] * _MIX[level][0] ^ eight[8:] * _MIX[level][1]
     h ^= h >> np.uint64(29)
     h *= np.uint64(0xBF58476D1CE4E5B9)
     h ^= h >> np.uint64(32)
     least, width = (h & ~_LOW) | np.arange(len(h), dtype=np.uint64), 1
+    if without is not None:
+        least[without] |= ~_LOW
     while width * 2 <= WINDOW:
         least, width = np.minimum(least[:-width], least[width:]), width * 2
     rest = WINDOW - width
@@ -152,7 +162,11 @@ def unpack(pos):
     return at, lo, lo + (pos & 255)
 
 
-_FOUND = "kind int, key long, digest long, ord long, pos long"
+#: Kinds of rows: a mark (strings that go), a segment, a single string.
+MARK, SEGMENT, STRING = 1, 2, 3
+_FOUND = "kind int, key long, high long, low long, ord long, pos long"
+#: A mark has its first start in pos and its last in last; a segment and a string have their bytes.
+_STEP = "kind int, key long, ord long, pos long, last long, bytes binary"
 
 
 def _batch(ddl: str, *columns):
@@ -162,140 +176,86 @@ def _batch(ddl: str, *columns):
     return pa.record_batch([pa.array(c, f.type) for c, f in zip(columns, schema)], schema=schema)
 
 
-def _cut(batches):
-    """Rows (ord, text): segments that are first in their batch (kind 0) and marks for the rest (kind 1)."""
-    from xxhash import xxh3_64_intdigest
+def _digests(view: memoryview, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """128 bits of each segment, as two columns."""
+    from hashlib import blake2b
+
+    raw = b"".join([blake2b(view[a:b], digest_size=16).digest() for a, b in zip(lo.tolist(), (hi + LENGTH).tolist())])
+    return np.frombuffer(raw, dtype=np.int64).reshape(-1, 2)
 
+
+def _cut(batches, piece: int):
+    """Rows (ord, text): segments that are first in their batch, and marks for the rest."""
     for batch in batches:
         hs, ds, os_, ps = [], [], [], []
         for ord_, buf in zip(batch.column(0).to_pylist(), batch.column(1)):
             buf = buf.as_py()
-            for base in range(0, max(1, len(buf) - LENGTH + 1), PIECE):
-                part = buf[base : base + PIECE + LENGTH - 1]
+            for base in range(0, max(1, len(buf) - LENGTH + 1), piece):
+                part = buf[base : base + piece + LENGTH - 1]
                 if len(part) < LENGTH:
                     continue
                 h, at, lo, hi = anchors(part)
-                view = memoryview(part)
                 hs.append(h)
-                ds.append(np.fromiter((xxh3_64_intdigest(view[a:b]) for a, b in zip(lo.tolist(), (hi + LENGTH).tolist())), dtype=np.uint64, count=len(lo)))
+                ds.append(_digests(memoryview(part), lo, hi))
                 os_.append(np.full(len(h), ord_, dtype=np.int64))
                 ps.append(pack(at + base, lo + base, hi + base))
         if not hs:
             continue
         h, d, o, p = (np.concatenate(x) for x in (hs, ds, os_, ps))
-        by = np.lexsort((p, o, d, h))
+        by = np.lexsort((p, o, d[:, 1], d[:, 0], h))
         h, d, o, p = h[by], d[by], o[by], p[by]
-        first = np.append(True, (h[1:] != h[:-1]) | (d[1:] != d[:-1]))
+        first = np.append(True, (h[1:] != h[:-1]) | (d[1:] != d[:-1]).any(axis=1))
         # marks travel on keys of their own, spread evenly
         key = np.where(first, h, (o.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)))
-        yield _batch(_FOUND, np.where(first, 0, 1).astype(np.int32), key.view(np.int64), d.view(np.int64), o, p)
+        yield _batch(_FOUND, np.where(first, SEGMENT, MARK).astype(np.int32), key.view(np.int64), d[:, 0], d[:, 1], o, p)
 
 
 def _classes(batches):
-    """Rows sorted by key, kind, digest, ord, pos: marks (1), segments of classes with several (2), and of
-    classes with too many for one task (3)."""
-    held = [np.zeros(0, dtype=np.int64)] * 4
-    before, over = None, None
+    """Rows sorted by key, digest, ord, pos: marks, and the different segments of classes with several."""
+    held, tied = None, False
 
-    def done(h, d, o, p):
-        if not len(h):
-            return
-        starts = np.flatnonzero(np.append(True, h[1:] != h[:-1]))
-        sizes = np.diff(np.append(starts, len(h)))
-        size = np.repeat(sizes, sizes)
-        keep = size > 1
-        if keep.any():
-            yield _batch(_FOUND, np.where(size[keep] > CLASS_ROWS, 3, 2).astype(np.int32), h[keep], d[keep], o[keep], p[keep])
+    def rows(keep, kind, h, o, p):
+        n = int(keep.sum())
+        if n:
+            yield _batch("kind int, key long, ord long, pos long", np.full(n, kind, dtype=np.int32), h[keep], o[keep], p[keep])
 
     for batch in batches:
-        kind, h, d, o, p = (c.to_numpy() for c in batch.columns)
-        if (kind == 1).any():
-            m = kind == 1
-            yield _batch(_FOUND, kind[m], h[m], d[m], o[m], p[m])
-            h, d, o, p = h[~m], d[~m], o[~m], p[~m]
-        if not len(h):
-            continue
-        first = np.append(before is None or (int(h[0]), int(d[0])) != before, (h[1:] != h[:-1]) | (d[1:] != d[:-1]))
-        before = (int(h[-1]), int(d[-1]))
-        if not first.all():
-            m = ~first
-            yield _batch(_FOUND, np.ones(m.sum(), dtype=np.int32), h[m], d[m], o[m], p[m])
-        h, d, o, p = h[first], d[first], o[first], p[first]
-        if over is not None:
-            m = h == over
-            if m.any():
-                yield _batch(_FOUND, np.full(m.sum(), 3, dtype=np.int32), h[m], d[m], o[m], p[m])
-                h, d, o, p = h[~m], d[~m], o[~m], p[~m]
-            if len(h):
-                over = None
+        kind, *columns = (c.to_numpy() for c in batch.columns)
+        marked = kind == MARK
+        h, high, low, o, p = columns
+        yield from rows(marked, MARK, h, o, p)
+        h, high, low, o, p = (c[~marked] for c in columns)
+        if held is not None:
+            h, high, low, o, p = (np.append(x, y) for x, y in zip(held, (h, high, low, o, p)))
         if not len(h):
             continue
-        h, d, o, p = (np.concatenate([a, b]) for a, b in zip(held, (h, d, o, p)))
-        last = np.flatnonzero(h != h[-1])
-        last = int(last[-1]) + 1 if len(last) else 0
-        yield from done(h[:last], d[:last], o[:last], p[:last])
-        held = [h[last:], d[last:], o[last:], p[last:]]
-        if len(held[0]) > CLASS_ROWS:
-            over = int(held[0][0])
-            yield _batch(_FOUND, np.full(len(held[0]), 3, dtype=np.int32), *held)
-            held = [x[:0] for x in held]
-    yield from done(*held)
-
-
-_SENT = "kind int, key long, digest long, ord long, pos long, bytes binary"
-
-
-#: Different strings that a task holds before it passes them on.
-HELD_STRINGS = 300_000
+        again = np.append(False, (h[1:] == h[:-1]) & (high[1:] == high[:-1]) & (low[1:] == low[:-1]))
+        yield from rows(again, MARK, h, o, p)
+        h, high, low, o, p = (c[~again] for c in (h, high, low, o, p))
+        same = h[1:] == h[:-1]
+        keep = np.append(tied, same) | np.append(same, False)
+        tied = bool(np.append(tied, same)[-1])
+        keep[-1] = False
+        yield from rows(keep, SEGMENT, h, o, p)
+        held = tuple(c[-1:] for c in (h, high, low, o, p))
+    if held is not None and tied:
+        yield from rows(np.ones(1, dtype=bool), SEGMENT, held[0], held[3], held[4])
 
 
 def _fetch(batches):
-    """Rows (ord, text, wanted): the bytes of segments (kind 2), and of classes with too many the digests of
-    their single strings (kind 3). Of equal strings seen by one task only the earliest is sent on, the
-    others are marks already (kind 1: first start in pos, last in digest)."""
-    from xxhash import xxh3_128_intdigest
-
-    earliest: dict[int, tuple[int, int]] = {}
-    out: list[tuple] = []
-
-    def passed_on():
-        for x, (o, s) in earliest.items():
-            out.append((3, (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63), o, s, None))
-        earliest.clear()
-
+    """Rows (ord, text, wanted): the bytes of segments."""
     for batch in batches:
+        out: list[tuple] = []
         for ord_, buf, wanted in zip(*batch.columns):
             o, buf = ord_.as_py(), buf.as_py()
-            view = memoryview(buf)
             for w in wanted.as_py():
                 _, lo, hi = unpack(w["pos"])
-                if w["kind"] == 2:
-                    out.append((2, w["key"], 0, o, w["pos"], buf[lo : hi + LENGTH]))
-                    continue
-                run = None
-                for s in range(lo, hi + 1):
-                    x = xxh3_128_intdigest(view[s : s + LENGTH])
-                    held = earliest.setdefault(x, (o, s))
-                    late = (o, s) if held < (o, s) else None
-                    if held > (o, s):
-                        earliest[x] = (o, s)
-                        out.append((1, 0, held[1], held[0], held[1], None))
-                    if late and run and run[1] == s - 1:
-                        run[1] = s
-                    elif late:
-                        if run:
-                            out.append((1, 0, run[1], o, run[0], None))
-                        run = [s, s]
-                if run:
-                    out.append((1, 0, run[1], o, run[0], None))
-            if len(earliest) > HELD_STRINGS:
-                passed_on()
+                out.append((SEGMENT, w["key"], o, w["pos"], 0, buf[lo : hi + LENGTH]))
             if len(out) > 20_000:
-                yield _batch(_SENT, *zip(*out))
+                yield _batch(_STEP, *zip(*out))
                 out = []
-    passed_on()
-    for at in range(0, len(out), 50_000):
-        yield _batch(_SENT, *zip(*out[at : at + 50_000]))
+        if out:
+            yield _batch(_STEP, *zip(*out))
 
 
 # --- one class ----------------------------------------------------------------------------------
@@ -384,23 +344,101 @@ def class_marks(segments: list[tuple[int, int, bytes]]) -> list[tuple[int, int,
     return marks
 
 
-def _compare(batches):
-    held, key = [], None
-    out: list[tuple[int, int, int]] = []
+def finer(key: int, pos: int, seg: bytes) -> list[tuple[int, int, bytes]]:
+    """(key, pos, bytes) of a segment's strings by their second anchors."""
+    at, lo, _ = unpack(pos)
+    h, near, first, last = anchors(seg, 1, at - lo)
+    mixed = (h ^ np.uint64(key * 0x9E3779B97F4A7C15 & (1 << 64) - 1)).view(np.int64)
+    return [(k, int(pack(lo + n, lo + a, lo + b)), seg[a : b + LENGTH]) for k, n, a, b in zip(mixed.tolist(), near.tolist(), first.tolist(), last.tolist())]
+
+
+def _later(strings: list[tuple[int, int]]) -> list[tuple]:
+    """Marks for starts (ord, start), as runs."""
+    runs: list[list[int]] = []
+    for o, x in sorted(strings):
+        if runs and runs[-1][0] == o and runs[-1][2] == x - 1:
+            runs[-1][2] = x
+        else:
+            runs.append([o, x, x])
+    return [(MARK, 0, o, a, b, None) for o, a, b in runs]
+
+
+def _compare(batches, level: int, most: int, held_strings: int):
+    """Segments sorted by key: marks of each class, or of classes with over ``most`` segments finer ones, after the
+    second level single strings. Of equal strings that one task takes apart only the earliest goes on."""
+    from xxhash import xxh3_64_intdigest
+
+    held: list[tuple[int, int, bytes]] = []
+    key, over, out = None, False, []
+    earliest: dict[bytes, tuple[int, int]] = {}
+    late: list[tuple[int, int]] = []
+
+    def pass_on():
+        out.extend((STRING, (n := xxh3_64_intdigest(x)) - (n >> 63 << 64), o, at, 0, x) for x, (o, at) in earliest.items())
+        out.extend(_later(late))
+        earliest.clear()
+        late.clear()
+
+    def apart():
+        for o, pos, seg in held:
+            if level == 1:
+                out.extend((SEGMENT, k, o, q, 0, part) for k, q, part in finer(key, pos, seg))
+                continue
+            _, lo, hi = unpack(pos)
+            for i in range(hi - lo + 1):
+                x, now = seg[i : i + LENGTH], (o, lo + i)
+                before = earliest.setdefault(x, now)
+                if before > now:
+                    earliest[x] = now
+                    late.append(before)
+                elif before != now:
+                    late.append(now)
+            if len(earliest) + len(late) > held_strings:
+                pass_on()
+        held.clear()
+
+    def settle():
+        if over:
+            apart()
+        elif len(held) > 1:
+            out.extend((MARK, 0, o, a, b, None) for o, a, b in class_marks(held))
+        held.clear()
+
+    for batch in batches:
+        for at in range(0, batch.num_rows, 2048):
+            for k, o, p, seg in zip(*(c.to_pylist() for c in batch.slice(at, 2048).columns)):
+                if k != key:
+                    settle()
+                    key, over = k, False
+                held.append((o, p, seg))
+                if len(held) > most:
+                    over = True
+                    apart()
+                if len(out) > 20_000:
+                    yield _batch(_STEP, *zip(*out))
+                    out.clear()
+    settle()
+    pass_on()
+    for at in range(0, len(out), 20_000):
+        yield _batch(_STEP, *zip(*out[at : at + 20_000]))
+
+
+def _compare_strings(batches):
+    """Strings sorted by key, ord and start: marks for all but the first of equal bytes."""
+    key, first, late = None, set(), []
     for batch in batches:
-        for k, o, p, seg in zip(*(c.to_pylist() for c in batch.columns)):
-            if k != key:
-                if len(held) > 1:
-                    out += class_marks(held)
-                held, key = [], k
-            held.append((o, p, seg))
-        if len(out) > 10_000:
-            yield _batch("ord long, first long, last long", *zip(*out))
-            out = []
-    if len(held) > 1:
-        out += class_marks(held)
-    if out:
-        yield _batch("ord long, first long, last long", *zip(*out))
+        for at in range(0, batch.num_rows, 2048):
+            for k, o, p, x in zip(*(c.to_pylist() for c in batch.slice(at, 2048).columns)):
+                if k != key:
+                    key, first = k, set()
+                if x in first:
+                    late.append((o, p))
+                first.add(x)
+            if len(late) > 20_000:
+                yield _batch(_STEP, *zip(*_later(late)))
+                late = []
+    if late:
+        yield _batch(_STEP, *zip(*_later(late)))
 
 
 # --- whole corpus -------------------------------------------------------------------------------
@@ -433,14 +471,14 @@ def _remove(batches, ddl: str, keep_text: bool):
             yield _batch(ddl, *zip(*out))
 
 
-def remove_repeats(docs: DataFrame, scratch: Scratch, keep_text: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, scratch: Scratch, keep_text: bool = False, class_rows: int = CLASS_ROWS, piece: int = PIECE, held_strings: int = HELD_STRINGS) -> DataFrame:
     """One row per document: doc_id, n_bytes, n_removed, n_spans (maximal removed runs) and kept_sha256, or
     with ``keep_text`` the remaining bytes as ``kept``.
 
     Null texts are empty; texts under 100 bytes lose nothing; matches never cross documents and are judged
     on the input. Null ids come last; rows that share an id come in the order of a hash of their text, and
     of equal rows one comes first and the rest go. An empty table gives no rows; other columns are not
-    read.
+    read. ``class_rows``, ``piece`` and ``held_strings`` bound what a task holds and change no result.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -448,18 +486,23 @@ def remove_repeats(docs: DataFrame, scratch: Scratch, keep_text: bool = False) -
     total, ids = docs.agg(F.count(F.lit(1)), F.count_distinct("doc_id")).first()
     if total != ids:  # an order of rows that ids alone do not give
         rows = scratch.keep(rows.orderBy(F.col("doc_id").asc_nulls_last(), F.md5("text")).withColumn("ord", F.monotonically_increasing_id()), "ordered")
-    segments = rows.select("ord", "text").where(F.octet_length("text") >= LENGTH).mapInArrow(_cut, _FOUND)
-    found = scratch.keep(segments.repartition("key").sortWithinPartitions("key", "kind", "digest", "ord", "pos").mapInArrow(_classes, _FOUND), "found")
-    wanted = found.where("kind > 1").groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("kind", "key", "pos")).alias("wanted"))
-    sent = scratch.keep(rows.join(wanted, F.col("ord") == F.col("o")).select("ord", "text", "wanted").mapInArrow(_fetch, _SENT), "sent")
-    compared = sent.where("kind = 2").select("key", "ord", "pos", "bytes").repartition("key").sortWithinPartitions("key").mapInArrow(_compare, "ord long, first long, last long")
-    strings = sent.where("kind = 3").select("key", "digest", "ord", F.col("pos").alias("first"))
-    earliest = strings.groupBy("key", "digest").agg(F.min(F.struct("ord", "first")).alias("e"), F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("key").alias("k"), F.col("digest").alias("g"), "e")
-    later = strings.join(earliest, (F.col("key") == F.col("k")) & (F.col("digest") == F.col("g"))).where(F.struct("ord", "first") != F.col("e")).select("ord", "first", F.col("first").alias("last"))
+    segments = rows.select("ord", "text").where(F.octet_length("text") >= LENGTH).mapInArrow(tidy(lambda batches: _cut(batches, piece)), _FOUND)
+    found = scratch.keep(segments.repartition("key").sortWithinPartitions("key", "high", "low", "ord", "pos").mapInArrow(tidy(_classes), "kind int, key long, ord long, pos long"), "found")
+    wanted = found.where(F.col("kind") == SEGMENT).groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("key", "pos")).alias("wanted"))
+    sent = rows.join(wanted, F.col("ord") == F.col("o")).select("ord", "text", "wanted").mapInArrow(tidy(_fetch), _STEP)
     at, low = F.shiftright("pos", 16), F.shiftright("pos", 8).bitwiseAND(F.lit(255))
-    whole = found.where("kind = 1").select("ord", (at - low).alias("first"), (at - low + F.col("pos").bitwiseAND(F.lit(255))).alias("last"))
-    seen = sent.where("kind = 1").select("ord", F.col("pos").alias("first"), F.col("digest").alias("last"))
-    marks = whole.union(compared).union(seen).union(later).groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("first", "last")).alias("m"))
+    marks = found.where(F.col("kind") == MARK).select("ord", (at - low).alias("first"), (at - low + F.col("pos").bitwiseAND(F.lit(255))).alias("last"))
+
+    def level(df: DataFrame, n: int) -> DataFrame:
+        by_key = df.select("key", "ord", "pos", "bytes").repartition("key").sortWithinPartitions("key")
+        return scratch.keep(by_key.mapInArrow(tidy(lambda batches: _compare(batches, n, class_rows, held_strings)), _STEP), f"level-{n}")
+
+    one = level(sent, 1)
+    two = level(one.where(F.col("kind") == SEGMENT), 2)
+    strings = two.where(F.col("kind") == STRING).select("key", "ord", "pos", "bytes").repartition("key").sortWithinPartitions("key", "ord", "pos")
+    for more in (one.where(F.col("kind") == MARK), two.where(F.col("kind") == MARK), strings.mapInArrow(_compare_strings, _STEP)):
+        marks = marks.union(more.select("ord", F.col("pos").alias("first"), "last"))
+    marks = marks.groupBy(F.col("ord").alias("o")).agg(F.collect_list(F.struct("first", "last")).alias("m"))
     ddl = f"doc_id long, n_bytes long, n_removed long, n_spans long, {'kept binary' if keep_text else 'kept_sha256 string'}"
     joined = rows.join(marks, F.col("ord") == F.col("o"), "left").select("doc_id", "text", F.col("m.first").alias("first"), F.col("m.last").alias("last"))
     return joined.mapInArrow(lambda batches: _remove(batches, ddl, keep_text), ddl)
