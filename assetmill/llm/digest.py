@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assetmill.llm.batches import arrow_schema, raw_text
+from assetmill.llm.batches import arrow_schema, raw_text, tidy
 from assetmill.plans.ship import ship
 
 BUCKETS = 256
@@ -79,7 +79,10 @@ def difference(a, b) -> int:
 
 
 def likeness(a, b) -> float:
-    return max(0.0, 1.0 - difference(a, b) / (SPAN * MOST))
+    """1 for equal digests, 0 from half of the largest difference on. Texts that fill few buckets can only differ in
+    these, so the body counts against what both fill, if that is less."""
+    body = min(SPAN * int(CODE_COST[-1]) * BUCKETS, float(CODE_COST[a[0]].sum() + CODE_COST[b[0]].sum()))
+    return max(0.0, 1.0 - difference(a, b) / (body + SPAN * (LENGTH_MOST + 2 * RATIO_MOST)))
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
@@ -96,35 +99,44 @@ def edited_likeness(docs: DataFrame, parts: int | None = None) -> DataFrame:
     last floor(n_chars/2) code points replaced by the first as many (or all) of the next text. Columns:
     doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
 
-    Texts are moved once, into ranges of doc_id cut at quantiles; the first rows of a range go to the
-    range before as well, so that every row meets its next one inside one sorted partition. Null texts
-    count as empty, null ids come last, rows with the same id stand by text; one row is its own next;
-    an empty table gives no rows. Other columns are not read.
+    Texts are moved once, into ranges of doc_id cut at quantiles, and of a hash of the text inside an id that several
+    quantiles fall on; the first rows of a range go to the range before as well, so that every row meets its next
+    one inside one sorted partition. Null texts count as empty, null ids come last, rows with the same id stand by a
+    hash of their text; one row is its own next; an empty table gives no rows. Other columns are not read.
     """
     spark = docs.sparkSession
     ship(spark)
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
     low = -(1 << 63)
-    own = docs.select("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(low)).alias("at"), raw_text().alias("text"))
-    cuts: list[int] = []
+    text = raw_text()
+    own = docs.select("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(low)).alias("at"), F.shiftrightunsigned(F.xxhash64(text), 1).alias("turn"), text.alias("text"))
+    found: list[int] = []
     if parts > 1:
-        found = own.agg(F.percentile_approx("at", F.array(*(F.lit(i / parts) for i in range(1, parts))), F.lit(max(10_000, 20 * parts))).alias("c")).first()["c"]
-        cuts = sorted(set(found or []), reverse=True)
+        found = own.agg(F.percentile_approx("at", F.array(*(F.lit(i / parts) for i in range(1, parts))), F.lit(max(10_000, 20 * parts))).alias("c")).first()["c"] or []
+    cuts = sorted(set(found), reverse=True)
     n = len(cuts)
-    edges = F.array(*(F.lit(c).cast("long") for c in cuts)) if cuts else F.array().cast("array<long>")
+    shares = [found.count(c) for c in cuts]  # an id that several quantiles fall on gets as many ranges
+    base = [i + sum(shares[:i]) - i for i in range(n + 1)]
+    total = base[-1] + 1
+    longs = lambda xs: F.array(*(F.lit(x).cast("long") for x in xs)) if xs else F.array().cast("array<long>")
+    edges = longs(cuts)
     # how many cuts are above the id, by binary search
     steps = [1 << i for i in reversed(range(max(1, n).bit_length()))]
-    where = F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), lambda p, s: F.when((p + s <= n) & (F.coalesce(F.get(edges, p + s - 1), F.lit(low)) > F.col("at")), p + s).otherwise(p))
-    own = own.withColumn("range", where)
-    firsts = dict(own.groupBy("range").agg(F.max("at")).collect())  # one row a range
+    above = F.aggregate(F.array(*map(F.lit, steps)), F.lit(0), lambda p, s: F.when((p + s <= n) & (F.coalesce(F.get(edges, p + s - 1), F.lit(low)) > F.col("at")), p + s).otherwise(p))
+    own = own.withColumn("above", above)
+    share = F.coalesce(F.get(longs(shares), F.col("above")), F.lit(1).cast("long"))
+    inside = F.least(share - 1, F.floor(F.col("turn") / F.lit(float(1 << 63)) * share))
+    own = own.withColumn("range", (F.get(longs(base), F.col("above")) + F.when(F.get(edges, F.col("above")) == F.col("at"), inside).otherwise(F.lit(0).cast("long"))).cast("int")).drop("above")
+    firsts = dict(own.groupBy("range").agg(F.max(F.struct("at", (-F.col("turn")).alias("turn")))).collect())  # one row a range
     filled = sorted(firsts)
     before = {r: filled[i - 1] for i, r in enumerate(filled)}
-    first_id = F.array(*(F.lit(firsts.get(r, low)).cast("long") for r in range(n + 1)))
-    echo_to = F.array(*(F.lit(before.get(r, 0)) for r in range(n + 1)))
-    echo = F.col("at") == F.get(first_id, F.col("range"))
-    target = F.when(echo, F.array(F.struct(F.col("range").alias("to"), F.lit(0).alias("echo")), F.struct(F.get(echo_to, F.col("range")).alias("to"), F.lit(1).alias("echo")))).otherwise(F.array(F.struct(F.col("range").alias("to"), F.lit(0).alias("echo"))))
-    sent = own.withColumn("_t", F.explode(target)).select(F.col("_t.to").alias("to"), F.col("_t.echo").alias("echo"), "doc_id", "at", "text")
-    placed = sent.repartitionById(n + 1, F.col("to")).sortWithinPartitions("to", "echo", F.desc("at"), "text").select("to", "echo", "doc_id", "text")
+    first = lambda k: longs([firsts[r][k] if r in firsts else low for r in range(total)])
+    echo_to = F.array(*(F.lit(before.get(r, 0)) for r in range(total)))
+    echo = (F.col("at") == F.get(first("at"), F.col("range"))) & (-F.col("turn") == F.get(first("turn"), F.col("range")))
+    here = F.struct(F.col("range").alias("to"), F.lit(0).alias("echo"))
+    target = F.when(echo, F.array(here, F.struct(F.get(echo_to, F.col("range")).alias("to"), F.lit(1).alias("echo")))).otherwise(F.array(here))
+    sent = own.withColumn("_t", F.explode(target)).select(F.col("_t.to").alias("to"), F.col("_t.echo").alias("echo"), "doc_id", "at", "turn", "text")
+    placed = sent.repartitionById(total, F.col("to")).sortWithinPartitions("to", "echo", F.desc("at"), "turn", "text").select("to", "echo", "doc_id", "text")
     ddl = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
     def run(batches):
@@ -156,4 +168,4 @@ def edited_likeness(docs: DataFrame, parts: int | None = None) -> DataFrame:
             if out:
                 yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
 
-    return placed.mapInArrow(run, ddl)
+    return placed.mapInArrow(tidy(run), ddl)
