@@ -12,13 +12,14 @@ import binascii
 import json
 import re
 import zlib
+from bisect import bisect_left
 from functools import cache
 
 import ahocorasick
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assetmill.llm.batches import map_rows, raw_text
+from assetmill.llm.batches import SLICE, map_rows, raw_text
 
 KINDS = ("assign", "access", "hex", "github", "npm", "jwt", "pem")
 
@@ -35,10 +36,12 @@ def _either_case(words: str) -> str:
 
 ASSIGN = re.compile((_either_case("(?:password|passwd|secret|token|api_?key)") + r"""["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""").encode())
 ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
-HEX = re.compile(rb"[0-9a-f]{%d,}" % LEAST_HEX)
+HEX = re.compile(rb"[0-9a-f]+")
 CHECKED = re.compile(rb"(?:gh[pousr]_|npm_)([A-Za-z0-9]{30})([A-Za-z0-9]{6})(?![A-Za-z0-9])")
-JWT = re.compile(rb"(eyJ[A-Za-z0-9_-]+)\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+")
-PEM = re.compile(rb"-----BEGIN ((?:[A-Z0-9]+ )*PRIVATE KEY)-----[A-Za-z0-9+/=\s:,-]*?-----END \1-----")
+TOKEN_RUN = re.compile(rb"[A-Za-z0-9_-]*")
+PEM_HEAD = re.compile(rb"-----BEGIN ((?:[A-Z0-9]+ )*PRIVATE KEY)-----")
+PEM_END = re.compile(rb"(?=-----END ((?:[A-Z0-9]+ )*PRIVATE KEY)-----)")
+PEM_BODY = re.compile(rb"[A-Za-z0-9+/=\s:,-]*")
 #: Hex digits become one letter, so that a run of enough of them is a fixed keyword.
 _HEX_CLASS = bytes(0x68 if chr(i) in "0123456789abcdef" else 0x20 for i in range(256))
 _HEX_RUN = b"h" * LEAST_HEX
@@ -76,22 +79,59 @@ def _is_jwt(head: bytes) -> bool:
         return False
 
 
-def _look(buf: bytes, at: int, kind: str) -> tuple[int, bool] | None:
-    """End of the match of ``kind`` that starts exactly here, and whether it counts."""
-    if kind == "assign":
-        m = ASSIGN.match(buf, at)
-        return m and (m.end(), len(m[1]) >= LEAST_ASSIGNED)
-    if kind == "access":
-        m = ACCESS.match(buf, at)
-        return m and (m.end(), len(m[0]) >= LEAST_ACCESS)
-    if kind in ("github", "npm"):
-        m = CHECKED.match(buf, at)
-        return m and (m.end(), checksum62(m[1]) == m[2].decode())
-    if kind == "jwt":
-        m = JWT.match(buf, at)
-        return m and (m.end(), _is_jwt(m[1]))
-    m = PEM.match(buf, at)
-    return m and (m.end(), True)
+class _Reader:
+    """One text. What a hit finds out about the run of characters that it stands in serves all hits of that run,
+    so that no text costs more than its length."""
+
+    def __init__(self, buf: bytes):
+        self.buf = buf
+        self.token = (0, 0, None)  # run of token characters: start, end, end of the whole token if there is one
+        self.body = (0, 0)  # run of characters that a key block may hold
+        self.ends: dict[bytes, list[int]] | None = None
+
+    def jwt(self, at: int) -> tuple[int, bool] | None:
+        buf, run = self.buf, lambda i: TOKEN_RUN.match(buf, i).end()
+        if not buf.startswith(b"eyJ", at):
+            return None
+        if not self.token[0] <= at < self.token[1]:
+            head, end = run(at), None
+            if buf.startswith(b".eyJ", head):
+                body = run(head + 4)
+                if body > head + 4 and buf.startswith(b".", body) and run(body + 1) > body + 1:
+                    end = run(body + 1)
+            self.token = (at, head, end)
+        _, head, end = self.token
+        return (end, _is_jwt(buf[at:head])) if end and head > at + 3 else None
+
+    def pem(self, at: int) -> tuple[int, bool] | None:
+        m = PEM_HEAD.match(self.buf, at)
+        if not m:
+            return None
+        if self.ends is None:
+            self.ends = {}
+            for e in PEM_END.finditer(self.buf):
+                self.ends.setdefault(e[1], []).append(e.start())
+        if not self.body[0] <= m.end() < self.body[1]:
+            self.body = (m.end(), PEM_BODY.match(self.buf, m.end()).end())
+        places = self.ends.get(m[1], [])
+        k = bisect_left(places, m.end())
+        if k == len(places) or places[k] > self.body[1]:
+            return None
+        return places[k] + len(b"-----END -----") + len(m[1]), True
+
+    def look(self, at: int, kind: str) -> tuple[int, bool] | None:
+        """End of the match of ``kind`` that starts exactly here, and whether it counts."""
+        buf = self.buf
+        if kind == "assign":
+            m = ASSIGN.match(buf, at)
+            return m and (m.end(), len(m[1]) >= LEAST_ASSIGNED)
+        if kind == "access":
+            m = ACCESS.match(buf, at)
+            return m and (m.end(), len(m[0]) >= LEAST_ACCESS)
+        if kind in ("github", "npm"):
+            m = CHECKED.match(buf, at)
+            return m and (m.end(), checksum62(m[1]) == m[2].decode())
+        return self.jwt(at) if kind == "jwt" else self.pem(at)
 
 
 def byte_spans(buf: bytes) -> list[tuple[int, int, str]]:
@@ -99,13 +139,18 @@ def byte_spans(buf: bytes) -> list[tuple[int, int, str]]:
     a match that fails its own test still uses up its characters."""
     found, past = [], dict.fromkeys(KINDS, 0)
     hits = sorted((end + 1 - n, kind) for end, (n, kind) in keyword_automaton().iter(buf.lower().decode("latin-1")))
+    reader = _Reader(buf)
     for at, kind in hits:
-        if at >= past[kind] and (m := _look(buf, at, kind)):
+        if at >= past[kind] and (m := reader.look(at, kind)):
             past[kind] = m[0]
             if m[1]:
                 found.append((at, m[0], kind))
-    if _HEX_RUN in buf.translate(_HEX_CLASS):
-        found += [(m.start(), m.end(), "hex") for m in HEX.finditer(buf)]
+    shape = buf.translate(_HEX_CLASS)
+    at = shape.find(_HEX_RUN)
+    while at >= 0:
+        end = HEX.match(buf, at).end()
+        found.append((at, end, "hex"))
+        at = shape.find(_HEX_RUN, end)
     return sorted(found, key=lambda x: (x[0], KINDS.index(x[2])))
 
 
@@ -181,10 +226,12 @@ def with_rows(docs: DataFrame, make) -> DataFrame:
 
     def run(batches):
         one = make()
-        for batch in batches:
-            texts = [one(None if v is None else v.encode("utf-8", "replace"))[0] for v in batch.column(at).to_pylist()]
-            columns = list(batch.columns)
-            columns[at] = pa.array(texts, batch.schema.field(at).type)
-            yield pa.record_batch(columns, schema=batch.schema)
+        for whole in batches:
+            for first in range(0, whole.num_rows, SLICE):
+                batch = whole.slice(first, SLICE)
+                texts = [one(v.as_buffer().to_pybytes() if v.is_valid else None)[0] for v in batch.column(at)]
+                columns = list(batch.columns)
+                columns[at] = pa.array(texts, batch.schema.field(at).type)
+                yield pa.record_batch(columns, schema=batch.schema)
 
     return docs.mapInArrow(run, schema)
