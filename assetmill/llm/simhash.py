@@ -20,8 +20,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assetmill.llm.batches import map_rows, raw_text
-from assetmill.operators.components import components
+from assetmill.llm.batches import map_rows, raw_text, tidy
+from assetmill.operators.components import components, spread
 from assetmill.plans.scratch import Scratch
 from assetmill.plans.ship import ship
 
@@ -78,8 +78,8 @@ def _edge_batch(kind: int, a: np.ndarray, b: np.ndarray):
     return pa.record_batch([pa.array(np.full(len(a), kind, dtype=np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["kind", "a", "b"])
 
 
-def _compare_cells(batches):
-    """Rows (cell, fp) sorted by cell: links (kind 0), and the rows of cells over ``BLOCK`` (kind 1)."""
+def _compare_cells(batches, block: int):
+    """Rows (cell, fp) sorted by cell: links (kind 0), and the rows of cells over ``block`` (kind 1)."""
     held_cell, held_fp = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.uint64)
     over: int | None = None
 
@@ -126,20 +126,20 @@ def _compare_cells(batches):
         last = np.searchsorted(cell, cell[-1]) if len(cell) and (cell[1:] >= cell[:-1]).all() else int(np.flatnonzero(cell != cell[-1])[-1] + 1) if (cell != cell[-1]).any() else 0
         held_cell, held_fp = cell[last:], fp[last:]
         cell, fp = cell[:last], fp[:last]
-        if len(held_cell) > BLOCK:
+        if len(held_cell) > block:
             over = int(held_cell[0])
             yield _edge_batch(1, held_cell, held_fp)
             held_cell, held_fp = held_cell[:0], held_fp[:0]
         if len(cell):
-            yield from _split_large(cell, fp, work)
+            yield from _split_large(cell, fp, work, block)
     if len(held_cell):
-        yield from _split_large(held_cell, held_fp, work)
+        yield from _split_large(held_cell, held_fp, work, block)
 
 
-def _split_large(cell, fp, work):
+def _split_large(cell, fp, work, block):
     starts = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
     sizes = np.diff(np.append(starts, len(cell)))
-    large = np.repeat(sizes > BLOCK, sizes)
+    large = np.repeat(sizes > block, sizes)
     if large.any():
         yield _edge_batch(1, cell[large], fp[large])
         cell, fp = cell[~large], fp[~large]
@@ -174,9 +174,9 @@ def _compare_blocks(batches):
         yield from work()
 
 
-def links(prints: DataFrame, scratch: Scratch) -> DataFrame:
+def links(prints: DataFrame, scratch: Scratch, block: int = BLOCK) -> DataFrame:
     """Links (a, b) among the distinct fingerprints of ``prints`` (column fp): enough of them that two
-    fingerprints reach each other exactly if they do by pairs within ``MOST_BITS``."""
+    fingerprints reach each other exactly if they do by pairs within ``MOST_BITS``. ``block`` changes no result."""
     ship(prints.sparkSession)
     cells = []
     for half in (0, 1):
@@ -188,9 +188,9 @@ def links(prints: DataFrame, scratch: Scratch) -> DataFrame:
         own = F.concat(F.array(v), up, down)
         cells.append(F.transform(own, lambda x: x.bitwiseOR(F.lit(1 << 32))) if half else own)
     placed = prints.select("fp").select(F.explode(F.concat(*cells)).alias("cell"), "fp")
-    found = scratch.keep(placed.repartition("cell").sortWithinPartitions("cell").mapInArrow(_compare_cells, "kind int, a long, b long"), "found")
+    found = scratch.keep(placed.repartition("cell").sortWithinPartitions("cell").mapInArrow(tidy(lambda batches: _compare_cells(batches, block)), "kind int, a long, b long"), "found")
     large = found.where("kind = 1").select(F.col("a").alias("cell"), F.col("b").alias("fp"))
-    sizes = large.groupBy("cell").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK // 2)).cast("int").alias("parts")).withColumnRenamed("cell", "c")
+    sizes = large.groupBy("cell").agg(F.ceil(F.count(F.lit(1)) / F.lit(block // 2)).cast("int").alias("parts")).withColumnRenamed("cell", "c")
     part = F.pmod(F.xxhash64("fp", F.lit("part")), F.col("parts").cast("long")).cast("int")
     tasks = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda k: F.concat_ws(":", F.col("cell"), F.least(k, F.col("part")), F.greatest(k, F.col("part"))))
     blocks = large.join(sizes, large.cell == sizes.c).withColumn("part", part).select(F.explode(tasks).alias("task"), "fp")
@@ -211,7 +211,7 @@ def near_duplicates(docs: DataFrame, scratch: Scratch, shingle: int = 4) -> Data
     rows = scratch.keep(map_rows(docs.select("doc_id", raw_text()), lambda: lambda i, buf: (i, fingerprint(buf, shingle)), "doc_id long, fp long"), "prints")
     classes = scratch.keep(rows.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("copies")), "classes")
     reach = components(links(classes, scratch), scratch)
-    named = classes.join(reach, classes.fp == reach.node, "left").select("fp", "first", "copies", F.coalesce("component", "fp").alias("root"))
-    roots = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    known = scratch.keep(named.join(roots, "root").select(F.col("fp").alias("cfp"), "component_id", "copies"), "known")
+    named = scratch.keep(classes.join(reach, classes.fp == reach.node, "left").select("fp", "first", "copies", F.coalesce("component", "fp").alias("root")), "named")
+    known = scratch.keep(spread(named, "root", F.min("first"), "component_id").select(F.col("fp").alias("cfp"), "component_id", "copies"), "known")
+    scratch.drop("found", "classes", "named")
     return rows.join(known, rows.fp == known.cfp).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "copies")

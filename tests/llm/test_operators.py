@@ -170,8 +170,24 @@ def test_bytepair(docs, empty, tokenizer):
 def test_bytepair_any(pairs, tokenizer, text, special):
     text = text + "<|endoftext|>" + text if special else text
     ids = tokenizer.encode(text, add_special_tokens=False).ids
-    mine, n, back = pairs.encode(text)
-    assert mine == ",".join(map(str, ids)) and back.decode() == tokenizer.decode(ids, skip_special_tokens=False)
+    mine = pairs.encode(text)
+    assert mine == ids and pairs.joined(mine) == ",".join(map(str, ids)) and pairs.decode(mine) == tokenizer.decode(ids, skip_special_tokens=False)
+
+
+def test_bytepair_every_code_point(pairs, tokenizer):
+    """Letters, numbers and spaces are those of the library, for all of Unicode."""
+    points = [c for c in (*range(0x34000), *range(0xE0000, 0xE0200), *range(0x34000, 0x110000, 211)) if not 0xD800 <= c < 0xE000]
+    texts = ["".join(f"{chr(c)}'s {chr(c)}1 a{chr(c)}{chr(c)}\n" for c in points[at : at + 512]) for at in range(0, len(points), 512)]
+    for text, ids in zip(texts, tokenizer.encode_batch(texts, add_special_tokens=False)):
+        assert pairs.encode(text) == ids.ids
+
+
+def test_bytepair_long_pieces_and_small_caches(tokenizer):
+    with open(queries.tokenizer_path(), "rb") as f:
+        small = bytepair.BytePairs(f.read(), 4000)
+    texts = ["ab" * 3000, "x" + "é" * 700, sentence(3000), " " * 900, "a" * 5000 + " " + sentence(40), "=" * 257, "日本" * 100, ""] * 2
+    assert [x.tolist() for x in small.encode_all(texts)] == [tokenizer.encode(t, add_special_tokens=False).ids for t in texts]
+    assert small.used <= 4000 and not any(len(k) > bytepair.CACHED_LENGTH for k in (*small.known, *small.bare))
 
 
 def plain_print(t):
@@ -207,14 +223,16 @@ def check_components(got, near):
     assert got == {i: find(i) for i in got}
 
 
-def test_simhash_links_of_crowded_cells(spark, scratch, monkeypatch):
-    monkeypatch.setattr(simhash, "BLOCK", 8)
+@pytest.mark.parametrize("block", [8, 2048])
+def test_simhash_links_of_crowded_cells(spark, scratch, block):
     prints = {i: sum(1 << b for b in random.sample(range(12), random.randint(0, 4))) for i in range(150)}
     prints |= {1000 + i: random.getrandbits(64) - (1 << 63) for i in range(50)}
     df = spark.createDataFrame([(p,) for p in set(prints.values())], "fp long")
     from assetmill.operators.components import components
 
-    reach = dict(components(simhash.links(df, scratch), scratch).collect())
+    reach = dict(components(simhash.links(df, scratch, block), scratch).collect())
+    crowded = spark.read.parquet(scratch.path("found")).where("kind = 1").count()
+    assert (crowded > 0) == (block == 8)
     check_components({p: reach.get(p, p) for p in set(prints.values())}, lambda a, b: ((a ^ b) & (1 << 64) - 1).bit_count() <= 4)
 
 
@@ -256,17 +274,27 @@ def plain_removed(rows):
     return out
 
 
-@pytest.mark.parametrize("crowd", [512, 2])
-def test_repeats(spark, docs, empty, scratch, monkeypatch, crowd):
-    monkeypatch.setattr(suffixes, "CLASS_ROWS", crowd)
+@pytest.mark.parametrize("limits", [{}, {"class_rows": 2}, {"class_rows": 1, "held_strings": 50}, {"piece": 300}])
+def test_repeats(spark, docs, empty, scratch, limits):
     line = "A passage that stands in many of these documents, long enough to be a repeated string of over one hundred bytes."
     more = [(1000 + i, sentence(random.randint(0, 9)) + line * random.randint(0, 3) + "aaaa" * random.randint(0, 90) + sentence(4)) for i in range(60)]
     df = docs.select("doc_id", "text").union(spark.createDataFrame(more, "doc_id long, text string"))
-    got = sorted(tuple(r) for r in suffixes.remove_repeats(df, scratch).collect())
+    got = sorted(tuple(r) for r in suffixes.remove_repeats(df, scratch, **limits).collect())
     assert got == sorted(plain_removed(sorted([(r[0], r[1]) for r in ROWS] + more, key=lambda r: r[0])))
+    finer = [spark.read.parquet(scratch.path(f"level-{n}")).where(f"kind = {n + 1}").count() for n in (1, 2)]
+    assert all(finer) if "class_rows" in limits else finer == [0, 0] or not limits
     assert suffixes.remove_repeats(empty, scratch).count() == 0
 
 
+def test_repeats_of_null_and_repeated_ids(spark, scratch):
+    """Null ids come last; rows of one id in the order of a hash of their text."""
+    base = sentence(40)
+    rows = [(None, base), (3, base + " x"), (3, "y " + base), (None, base), (5, base), (None, None), (7, "")]
+    got = [tuple(r)[:4] for r in suffixes.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), scratch).collect()]
+    order = sorted(rows, key=lambda r: (r[0] is None, r[0] or 0, hashlib.md5((r[1] or "").encode()).hexdigest()))
+    assert sorted(map(str, got)) == sorted(str((i, *x[1:4])) for (i, _), x in zip(order, plain_removed(order)))
+
+
 def test_digest(spark, docs, empty):
     unique = docs.dropDuplicates(["doc_id"])
     got = {r.doc_id: r for r in digest.edited_likeness(unique, 4).collect()}
