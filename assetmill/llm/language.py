@@ -19,6 +19,8 @@ from assetmill.plans.scratch import Scratch
 CELLS = 1 << 16
 #: Labelled rows that the trigram tables are fitted on, the first by a hash of doc_id.
 FIT_ROWS = 4000
+#: Tasks that count the sample, and different languages that may be in it: each task sends one vector a language.
+FIT_TASKS, MOST_LANGUAGES = 4, 100
 #: Share of a trigram's log-likelihood that counts, as neighbouring trigrams overlap.
 TEMPER = 0.33
 #: Weight, in rows, of a domain's languages in its hosts' and of the corpus's in its domains'.
@@ -42,9 +44,14 @@ def trigram_cells(buf: bytes) -> np.ndarray:
 
 def fit(docs: DataFrame, rows: int = FIT_ROWS) -> tuple[list[str], np.ndarray]:
     """Languages in order and their log-probabilities of cells, from a bounded sample of rows with a
-    label in ``lang``. Counting runs on executors; the driver gets one count vector a language and task."""
-    chosen = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id").orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(rows)
-    sample = docs.where(F.col("lang").isNotNull()).join(F.broadcast(chosen.distinct()), "doc_id", "left_semi").select("lang", raw_text()).coalesce(4)
+    label in ``lang``: the first by a hash of doc_id, among equal ids by a hash of the text. The sample is
+    drawn where rows are scanned and then dealt to a few tasks; the driver gets one count vector a language
+    and task. More than ``MOST_LANGUAGES`` labels raise an error."""
+    named = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull())
+    turn = F.md5(F.col("doc_id").cast("string"))
+    ids = named.select("doc_id").orderBy(turn, "doc_id").limit(rows).distinct()
+    sample = named.join(F.broadcast(ids), "doc_id", "left_semi").select(turn.alias("turn"), "doc_id", F.xxhash64("text").alias("h"), "lang", raw_text().alias("text")).orderBy("turn", "doc_id", "h", "lang").limit(rows)
+    sample = sample.select("lang", "text").repartition(FIT_TASKS)
 
     def run(batches):
         import pyarrow as pa
@@ -56,6 +63,8 @@ def fit(docs: DataFrame, rows: int = FIT_ROWS) -> tuple[list[str], np.ndarray]:
             for lang, buf in zip(langs, texts):
                 own = sums.setdefault(lang, np.zeros(CELLS, dtype=np.int64))
                 own += np.bincount(trigram_cells(buf), minlength=CELLS)
+                if len(sums) > MOST_LANGUAGES:
+                    raise ValueError(f"more than {MOST_LANGUAGES} languages")
         yield pa.record_batch([pa.array(list(sums), pa.string()), pa.array([v.astype(np.int32).tobytes() for v in sums.values()], pa.binary())], names=["lang", "counts"])
 
     from assetmill.plans.ship import ship
@@ -65,6 +74,8 @@ def fit(docs: DataFrame, rows: int = FIT_ROWS) -> tuple[list[str], np.ndarray]:
     for lang, raw in sample.mapInArrow(run, "lang string, counts binary").collect():
         totals[lang] = totals.get(lang, 0) + np.frombuffer(raw, dtype=np.int32).astype(np.float64)
     langs = sorted(totals)
+    if len(langs) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages")
     if not langs:
         return [], np.zeros((CELLS, 0), dtype=np.float32)
     table = np.stack([np.log((totals[k] + 0.1) / (totals[k].sum() + 0.1 * CELLS)) for k in langs], axis=1)
@@ -107,7 +118,8 @@ def identify(docs: DataFrame, scratch: Scratch, host: Column | None = None, suff
 
         return one
 
-    rows = scratch.keep(map_rows(read, make, "doc_id long, host string, domain string, suffix string, declared string, n_letters int, loglik array<double>, own array<double>"), "scored")
+    name_type = "string" if read.schema["doc_id"].dataType.simpleString() == "string" else "long"
+    rows = scratch.keep(map_rows(read, make, f"doc_id {name_type}, host string, domain string, suffix string, declared string, n_letters int, loglik array<double>, own array<double>"), "scored")
     if not n:
         return rows.select("doc_id", none.alias("lang"), F.lit(None).cast("double").alias("posterior"), none.alias("text_lang"), "n_letters", F.lit(True).alias("rejected"))
     flat = F.array(*[F.lit(1.0 / n)] * n)
