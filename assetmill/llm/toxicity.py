@@ -85,7 +85,8 @@ def fold(doc_id: Column) -> Column:
 
 def fit(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> tuple[np.ndarray, np.ndarray, float]:
     """Cells with a weight, their weights, and the bias. Labels of held-out rows are never read into the
-    fit. The sample is bounded, so one task fits it, in the order of a hash of doc_id."""
+    fit. Texts become cells where they are scanned; the ``rows`` first of these, by a hash of doc_id and
+    among equal ids by their cells, go to one task that fits them in that order."""
     ship(docs.sparkSession)
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & (fold(F.col("doc_id")) != 0)).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     turn = F.md5(F.concat(F.lit("fit:"), F.col("doc_id").cast("string")))
@@ -113,7 +114,7 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> tuple[np.nd
         yield pa.record_batch([pa.array(np.append(used, CELLS), pa.int32()), pa.array(np.append(w[used], bias).astype(np.float64), pa.float64())], names=["cell", "weight"])
 
     ready = sample.select("turn", "doc_id", F.col("toxic").cast("int").alias("toxic"), "text").mapInArrow(features, "turn string, toxic int, cells binary")
-    got = ready.coalesce(1).sortWithinPartitions("turn", "cells").mapInArrow(learn, "cell int, weight double").toPandas()
+    got = ready.orderBy("turn", "cells").limit(rows).mapInArrow(learn, "cell int, weight double").toPandas()
     cells, weights = got["cell"].to_numpy(), got["weight"].to_numpy()
     body = cells != CELLS
     return cells[body].astype(np.int32), weights[body].astype(np.float32), float(weights[~body][0]) if (~body).any() else 0.0
