@@ -75,6 +75,18 @@ def held(owner: str) -> dict:
     return _HELD.setdefault(owner, {})
 
 
+@contextlib.contextmanager
+def no_walks():
+    """The collector rests: it would walk all that a slice makes, again and again, where nothing is a cycle."""
+    was = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if was:
+            gc.enable()
+
+
 def map_slices(df: DataFrame, make: Callable[[], Callable[..., Iterable[tuple]]], ddl: str, owner: str = "") -> DataFrame:
     """A few rows of ``df`` at a time, given column by column to the function that ``make`` returns (made once a
     task), become rows with the columns of ``ddl``. ``owner`` names what ``make`` keeps by ``held``."""
@@ -84,9 +96,11 @@ def map_slices(df: DataFrame, make: Callable[[], Callable[..., Iterable[tuple]]]
         held(owner)
         some, schema = make(), arrow_schema(ddl)
         for columns in slices(batches):
-            out = list(some(*columns))
-            if out:
-                yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
+            with no_walks():
+                out = list(some(*columns))
+                made = [pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)] if out else []
+            del columns, out
+            yield from made
 
     return df.mapInArrow(tidy(run), ddl)
 

@@ -18,8 +18,8 @@ import os
 import re
 import unicodedata
 from array import array
-from collections.abc import Iterable
 from functools import cache
+from itertools import chain, compress
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -43,6 +43,8 @@ CACHED_BYTES, CACHED_LENGTH = 16 << 20, 64
 LONG, PLAIN_PAIRS = 256, 100_000
 #: Places, as a power of two, for pairs of tokens whose compatibility a worker remembers.
 PAIR_BITS = 18
+#: Places, a power of two, for what tells a worker that a piece came before.
+MET = 1 << 20
 #: What an entry of a table takes besides its key and value.
 _ENTRY = 104
 _NEVER, _SPREAD = (1 << 31) - 1, np.uint64(0x9E3779B97F4A7C15)
@@ -175,7 +177,7 @@ class BytePairs:
         self._ready(cached_bytes)
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("special_split", "pairs", "fit", "known", "bare", "used", "digits", "_plain")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("special_split", "pairs", "fit", "known", "bare", "used", "met", "marks", "digits", "_plain")}
 
     def __setstate__(self, state):
         self.__dict__.update(state)
@@ -190,6 +192,8 @@ class BytePairs:
         self.known: dict[str, bytes] = {}
         self.bare: dict[str, bytes] = {}
         self.used = 0
+        #: Which pieces came before, by some bits of a hash, and how many places are marked.
+        self.met, self.marks = np.zeros(MET, dtype=bool), 0
         self._plain: tuple[dict[int, int], dict[int, bool]] | None = None
 
     def _automaton(self, words: dict[bytes, int]) -> None:
@@ -265,7 +269,7 @@ class BytePairs:
         n, lengths = len(pieces), np.array([len(p) for p in pieces], dtype=np.int64)
         by = np.argsort(-lengths, kind="stable")
         lengths, most = lengths[by], int(lengths.max())
-        text = np.frombuffer(b"".join([pieces[k].ljust(most, b"\0") for k in by.tolist()]), dtype=np.uint8).reshape(n, most).T.astype(np.int64)
+        text = np.array(pieces, dtype=f"S{most}").view(np.uint8).reshape(n, most)[by].T.astype(np.int64)
         last = np.full((most + 1, n), -1, dtype=np.int32)
         flat, state, size = last.reshape(-1), np.zeros(n, dtype=np.int64), self.size
         going = np.searchsorted(-lengths, -np.arange(most), side="left")  # how many are longer than each prefix
@@ -340,13 +344,12 @@ class BytePairs:
         return np.array(out[::-1]).astype(self.code).tobytes()
 
     def _encode_pieces(self, pieces: list[str]) -> list[bytes]:
-        raw, out = [p.encode() for p in pieces], [b""] * len(pieces)
-        by = sorted(range(len(raw)), key=lambda k: len(raw[k]))
-        at = 0
-        while at < len(by) and len(raw[by[at]]) <= LONG:
-            most, end = max(8, 2 * len(raw[by[at]])), at
-            while end < len(by) and len(raw[by[end]]) <= min(most, LONG):
-                end += 1
+        raw, out = list(map(str.encode, pieces)), [b""] * len(pieces)
+        sizes = np.fromiter(map(len, raw), dtype=np.int64, count=len(raw))
+        by = np.argsort(sizes, kind="stable")
+        sizes, by, at = sizes[by], by.tolist(), 0
+        while at < len(by) and sizes[at] <= LONG:
+            end = int(np.searchsorted(sizes, min(max(8, 2 * sizes[at]), LONG), side="right"))
             for k, ids in zip(by[at:end], self.encode_short([raw[k] for k in by[at:end]])):
                 out[k] = ids
             at = end
@@ -354,16 +357,17 @@ class BytePairs:
             out[k] = self.encode_long(raw[k])
         return out
 
-    def _learn(self, spaced: set[str], first: set[str]) -> None:
-        """Ids of chunks that follow a space, and of chunks that do not, into the tables."""
+    def _learn(self, spaced: set[str], first: set[str]) -> tuple[dict[str, bytes], dict[str, bytes]]:
+        """Ids of chunks that follow a space, and of chunks that do not."""
         known, bare = self.known, self.bare
-        words, pieces, mixed = set(), set(), []
-        for text in [*(" " + w for w in spaced.difference(known)), *first.difference(bare)]:
-            if text[0] == " " and text[1:].isalpha():
-                words.add(text[1:])  # what Python calls letters are letters here too
-                continue
-            parts = piece_pattern(text.isascii()).findall(text)
-            mixed.append((text, parts))
+        new, alone = spaced.difference(known), first.difference(bare)
+        after, whole = {w: known[w] for w in spaced.difference(new)}, {p: bare[p] for p in first.difference(alone)}
+        hits_w, hits_p = list(after), list(whole)
+        words = set(filter(str.isalpha, new))  # what Python calls letters are letters here too
+        pieces = set(filter(str.isalpha, alone))
+        cut_w = [(w, piece_pattern(w.isascii()).findall(" " + w)) for w in new.difference(words)]
+        cut_p = [(p, piece_pattern(p.isascii()).findall(p)) for p in alone.difference(pieces)]
+        for _, parts in chain(cut_w, cut_p):
             for p in parts:
                 if p[0] == " " and p[1:].isalpha():
                     words.add(p[1:])
@@ -371,19 +375,22 @@ class BytePairs:
                     pieces.add(p)
         asked_w, asked_p = list(words.difference(known)), list(pieces.difference(bare))
         ids = self._encode_pieces([" " + w for w in asked_w] + asked_p)
-        known.update(zip(asked_w, ids))
-        bare.update(zip(asked_p, ids[len(asked_w) :]))
-        self.used += _room(asked_w + asked_p, ids)
-        for text, parts in mixed:
-            if len(parts) > 1:
-                found = b"".join([known[p[1:]] if p[0] == " " and p[1:].isalpha() else bare[p] for p in parts])
-            else:
-                found = bare[text]
-            if text[0] == " ":
-                known[text[1:]] = found
-            else:
-                bare[text] = found
-            self.used += _ENTRY + 90
+        fresh_w, fresh_p = dict(zip(asked_w, ids)), dict(zip(asked_p, ids[len(asked_w) :]))
+
+        def packed(p: str) -> bytes:
+            if p[0] == " " and p[1:].isalpha():
+                return fresh_w.get(p[1:]) or known[p[1:]]
+            return fresh_p.get(p) or bare[p]
+
+        made_w, made_p = ([(text, b"".join(map(packed, parts))) for text, parts in cut] for cut in (cut_w, cut_p))
+        self._remember(known, fresh_w)
+        self._remember(bare, fresh_p)
+        self._forget(hits_w, hits_p)
+        after.update(fresh_w)
+        whole.update(fresh_p)
+        after.update(made_w)
+        whole.update(made_p)
+        return after, whole
 
     def encode_all(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text. No piece goes across a space that something other than white space follows, so
@@ -401,7 +408,7 @@ class BytePairs:
                     if head:
                         first.add(head)
             cut.append(parts)
-        self._learn(spaced, first)
+        after, whole = self._learn(spaced, first)
         out = []
         for parts in cut:
             packed: list[bytes] = []
@@ -409,28 +416,40 @@ class BytePairs:
                 if isinstance(p, int):
                     packed.append(self.code.type(p).tobytes())
                 else:
-                    packed.append(self.bare[p[0]] if p[0] else b"")
-                    packed += map(self.known.__getitem__, p[1])
+                    packed.append(whole[p[0]] if p[0] else b"")
+                    packed += map(after.__getitem__, p[1])
             out.append(np.frombuffer(b"".join(packed), dtype=self.code))
-        self._forget(spaced, first)
         return out
 
-    def _forget(self, spaced: set[str], first: set[str]) -> None:
-        """Long texts are not kept; once the tables are over their bytes, they keep what the last texts asked
-        for, if that is half of it at most."""
-        for k in [k for k in spaced if len(k) > CACHED_LENGTH]:
-            del self.known[k]
-        for k in [k for k in self.bare if len(k) > CACHED_LENGTH]:
-            del self.bare[k]
+    def _remember(self, table: dict[str, bytes], fresh: dict[str, bytes]) -> None:
+        """Into a table go the pieces that were asked for before, as far as one bit of a hash tells, so that words
+        which come once do not drive out those that come often. Long ones are not kept."""
+        if not fresh:
+            return
+        at = np.fromiter(map(hash, fresh), dtype=np.int64, count=len(fresh)) & (len(self.met) - 1)
+        again = self.met[at]
+        self.met[at] = True
+        self.marks += len(at) - int(np.count_nonzero(again))
+        if self.marks > len(self.met) // 2:
+            self.met[:] = False
+            self.marks = 0
+        kept = {k: v for k, v in compress(fresh.items(), again.tolist()) if len(k) <= CACHED_LENGTH}
+        table.update(kept)
+        self.used += _room(kept)
+
+    def _forget(self, words: list[str], pieces: list[str]) -> None:
+        """Once the tables are over their bytes, they keep what they could give to the last texts, if that is
+        nine tenths of it at most."""
         if self.used <= self.cached_bytes:
             return
-        kept = {k: self.known[k] for k in spaced if k in self.known}
-        self.known.clear()
-        self.bare.clear()
-        self.used = _room(kept, kept.values())
-        if self.used <= self.cached_bytes // 2:
-            self.known.update(kept)
-        else:
+        for table, hits in ((self.known, words), (self.bare, pieces)):
+            kept = {k: table[k] for k in hits}
+            table.clear()
+            table.update(kept)
+        self.used = _room(self.known) + _room(self.bare)
+        if self.used > self.cached_bytes * 9 // 10:
+            self.known.clear()
+            self.bare.clear()
             self.used = 0
 
     def encode(self, text: str) -> list[int]:
@@ -448,10 +467,9 @@ _SPACES = re.compile(r" (?:\s|$)")
 _CUT = re.compile(r" (?=\S)")
 
 
-def _room(keys: Iterable[str], values: Iterable[bytes]) -> int:
+def _room(table: dict[str, bytes]) -> int:
     """Bytes that the entries of a table take."""
-    sizes = [k.__sizeof__() + _ENTRY for k in keys]
-    return sum(sizes) + sum(map(len, values)) + 33 * len(sizes)
+    return sum(map(str.__sizeof__, table)) + sum(map(bytes.__sizeof__, table.values())) + _ENTRY * len(table)
 
 
 @cache
