@@ -45,7 +45,11 @@ def fingerprint(buf: bytes, shingle: int = 4) -> int:
     else:
         join = b" ".join
         hashes = [xxh64_intdigest(join(words[i : i + shingle]), SEED) for i in range(n - shingle + 1)]
-    h = np.array(hashes, dtype="<u8")
+    return of_hashes(np.array(hashes, dtype="<u8"))
+
+
+def of_hashes(h: np.ndarray) -> int:
+    """A bit is set if it is in over half of ``h``; zero without any."""
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(h), 1 << 15):
         ones += np.unpackbits(h[at : at + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
