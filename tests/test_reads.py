@@ -4,7 +4,7 @@ import pytest
 
 from assetmill import workloads
 
-NAMES = """src_python w09_mixture""".split()
+NAMES = """src_python w09_mixture w10_crops""".split()
 
 
 @pytest.mark.parametrize("name", NAMES)
