@@ -4,7 +4,7 @@ import pytest
 
 from assetmill import workloads
 
-NAMES = """src_python w09_mixture w10_crops""".split()
+NAMES = """src_python w09_mixture w10_crops w10_token_counts""".split()
 
 
 @pytest.mark.parametrize("name", NAMES)
