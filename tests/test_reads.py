@@ -4,7 +4,7 @@ import pytest
 
 from assetmill import workloads
 
-NAMES = """src_python w09_mixture w10_crops w10_token_counts w14_capacity w14_capacity_compare w15_timestep_embedding w16_placement w17_ortho_loss w19_lr""".split()
+NAMES = """src_python w09_mixture w10_crops w10_token_counts w14_capacity w14_capacity_compare w15_timestep_embedding w16_placement w17_ortho_loss w19_lr w19_sparse_merge""".split()
 
 
 @pytest.mark.parametrize("name", NAMES)
