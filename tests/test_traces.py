@@ -46,3 +46,14 @@ def test_allocation_counts_claims(spark, tmp_path):
         want |= {(label, i): float(round((c - count.min()) / span, 4)) if span else 0.0 for i, c in enumerate(count)}
     got = {(r["sample"], r["pos"]): r["share"] for r in workloads.queries()["w27_allocation"](spark, str(tmp_path / "sf")).collect()}
     assert got.keys() == want.keys() and all(abs(got[k] - want[k]) <= 2e-4 for k in want)
+
+
+def test_allocation_shuffles_no_scores(spark, monkeypatch):
+    """A token leaves as one row for each part of the steps and layers, and parts change no result."""
+    from assetmill.workloads import evaluation
+
+    whole = evaluation.claims(spark, SF).groupBy("sample", "pos").sum("c")
+    want = {tuple(r) for r in whole.collect()}
+    monkeypatch.setattr(evaluation, "HELD_TOKENS", 10)
+    parts = evaluation.claims(spark, SF)
+    assert evaluation.claims(spark, SF).count() < 29 * 50 * len(want) and {tuple(r) for r in parts.groupBy("sample", "pos").sum("c").collect()} == want
